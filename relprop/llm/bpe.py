@@ -16,6 +16,7 @@ from __future__ import annotations
 
 import json
 import unicodedata
+from array import array
 from bisect import bisect_left
 
 import numpy as np
@@ -26,7 +27,7 @@ from pyspark.sql import functions as F
 from .base import arrow_map
 
 #: Words kept per worker with their ids; beyond it the memo is emptied.  It only saves time.
-MEMO_WORDS = 300_000
+MEMO_WORDS = 600_000
 MEMO_CELLS = 1_000_000
 
 
@@ -72,13 +73,21 @@ class Automaton:
             j = bisect_left(ages, t)  # of age t: c itself where a = b
             start = self.first[kids[b][j]] if j < len(ages) else self.last[b]
             self.lost[a].append((t, self.first[b], start, self.last[b]))
-        self._asked: dict[tuple[int, int], bool] = {}
+        self._asked: dict[int, bool] = {}
+        # A trie over symbols; a node keeps the id of the token that ends in it under the key "".
         self._trie: dict = {}
+        self.size, self.shorter = [0] * n, [-1] * n
         for text, i in vocab.items():
-            node = self._trie
-            for s in self._symbols(text):
+            node, symbols = self._trie, self._symbols(text)
+            self.size[i] = len(symbols)
+            for s in symbols:
                 node = node.setdefault(s, {})
-            node[None] = i
+            node[""] = i
+        for text, i in vocab.items():  # the longest token that is a proper prefix of this one
+            node = self._trie
+            for s in self._symbols(text)[:-1]:
+                node = node[s]
+                self.shorter[i] = node.get("", self.shorter[i])
 
     def _number(self, left: list[int]) -> None:
         clock = 0
@@ -104,10 +113,11 @@ class Automaton:
 
     def allowed(self, a: int, b: int) -> bool:
         """Is there an arc b in the state after a?  Cells of the table are filled in as they are first asked for."""
-        if (known := self._asked.get((a, b))) is None:
+        cell = a << 32 | b
+        if (known := self._asked.get(cell)) is None:
             if len(self._asked) >= MEMO_CELLS:
                 self._asked.clear()
-            known = self._asked[a, b] = self._find(a, b)
+            known = self._asked[cell] = self._find(a, b)
         return known
 
     def _find(self, a: int, b: int) -> bool:
@@ -123,37 +133,53 @@ class Automaton:
     def encode(self, symbols: list[str]) -> list[int]:
         """Ids of the one path that spells ``symbols``; symbols outside the vocabulary are left out first."""
         symbols = [s for s in symbols if s in self.vocab]
-        n, path, dead = len(symbols), [], set()
-        options: list[list[int]] = []
-        pos, last = 0, -1
-
-        def arcs(at: int, prev: int) -> list[int]:
-            node, found = self._trie, []
-            for j in range(at, n):
-                node = node.get(symbols[j])
-                if node is None:
-                    break
-                if (tok := node.get(None)) is not None and (j + 1, tok) not in dead and (prev < 0 or self.allowed(prev, tok)):
-                    found.append((j + 1, tok))
-            return found  # longest at the end, so pop() takes it first
-
+        n, pos, path = len(symbols), 0, []
         if not n:
-            return []
-        options.append(arcs(0, -1))
+            return path
+        allowed, shorter, size = self.allowed, self.shorter, self.size
+        # The path to a position is unique, so a position that has led nowhere never needs another visit.
+        dead, tok, prev = bytearray(n + 1), self._longest(symbols, 0, n), -1
         while True:
-            if options[-1]:
-                pos, last = options[-1].pop()
-                if (pos, last) in dead:
-                    continue
-                path.append((pos, last))
+            while tok >= 0 and (dead[pos + size[tok]] or prev >= 0 and not allowed(prev, tok)):
+                tok = shorter[tok]
+            if tok >= 0:
+                path.append(tok)
+                pos += size[tok]
                 if pos == n:
-                    return [t for _, t in path]
-                options.append(arcs(pos, last))
+                    return path
+                prev, tok = tok, self._longest(symbols, pos, n)
             else:
-                options.pop()
+                dead[pos] = 1
                 if not path:
                     raise ValueError("no path spells this word")
-                dead.add(path.pop())
+                last = path.pop()
+                pos -= size[last]
+                prev, tok = path[-1] if path else -1, shorter[last]
+
+    def _longest(self, symbols: list[str], pos: int, n: int) -> int:
+        node, tok = self._trie, -1
+        for j in range(pos, n):
+            if (node := node.get(symbols[j])) is None:
+                break
+            tok = node.get("", tok)
+        return tok
+
+
+class Memo(dict):
+    """A look-up that fills itself; beyond its size the older half of what it holds is given up."""
+
+    def __init__(self, make, size: int):
+        super().__init__()
+        self.make, self.size, self.old = make, size, {}
+
+    def __missing__(self, key):
+        if (value := self.old.get(key)) is None:
+            value = self.make(key)
+        if len(self) >= self.size // 2:
+            self.old = dict(self)
+            self.clear()
+        self[key] = value
+        return value
 
 
 class Tokenizer:
@@ -174,22 +200,20 @@ class Tokenizer:
         self.bytes = byte_symbols()
         self.odd_space = regex.compile(r"[\x1c-\x1f]")
         self.space = regex.compile(r"[\t-\r \x85\xa0  -     　]+")
-        self.memo: dict[str, bytes] = {}
+        self.memo, self.words = Memo(self._chunk, MEMO_WORDS), Memo(self._word, MEMO_WORDS)
+
+    def _word(self, piece: str) -> bytes:
+        """Packed ids of one pre-split word."""
+        symbols = [self.bytes[b] for b in piece.encode("utf-8")]
+        symbols[-1] += self.suffix
+        return array("I", self.auto.encode(symbols)).tobytes()
 
     def _chunk(self, chunk: str) -> bytes:
         """Packed ids of a stretch without white space."""
         text = unicodedata.normalize("NFC", chunk).replace("Σ", "σ").lower()
-        ids: list[int] = []
-        for piece in self.pieces.findall(text):
-            symbols = [self.bytes[b] for b in piece.encode("utf-8")]
-            symbols[-1] += self.suffix
-            ids += self.auto.encode(symbols)
-        if len(self.memo) >= MEMO_WORDS:
-            self.memo.clear()
-        packed = np.asarray(ids, "<u4").tobytes()
-        if len(chunk) <= 64:
-            self.memo[chunk] = packed
-        return packed
+        if len(text) > 64:  # not worth keeping
+            return b"".join([self._word(p) if len(p) > 64 else self.words[p] for p in self.pieces.findall(text)])
+        return b"".join(map(self.words.__getitem__, self.pieces.findall(text)))
 
     def packed(self, text: str) -> bytes:
         """Ids of a text as little-endian unsigned 32-bit integers."""
@@ -203,11 +227,9 @@ class Tokenizer:
 
     def _plain(self, text: str) -> bytes:
         chunks = self.space.split(text) if self.odd_space.search(text) else text.split()
-        memo, out = self.memo, []
-        for c in chunks:
-            if c:
-                out.append(memo.get(c) if c in memo else self._chunk(c))
-        return b"".join(out)
+        if "" in chunks or max(map(len, chunks), default=0) > 64:
+            return b"".join([self.memo[c] if len(c) <= 64 else self._chunk(c) for c in chunks if c])
+        return b"".join(map(self.memo.__getitem__, chunks))
 
     def encode(self, text: str) -> list[int]:
         return np.frombuffer(self.packed(text), "<u4").tolist()
