@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, decontaminate, htmltext, merkle, quality, secrets, simhash, suffix_dedup, toxicity
+from . import bpe, decontaminate, htmltext, licenses, merkle, quality, secrets, simhash, suffix_dedup, toxicity
 from .base import table
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -38,6 +38,11 @@ def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
 ORACLE["op2_decontaminate"] = decontaminate.SQL
 
 
+@query
+def op3_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.scan_licenses(table(spark, sf_dir, "documents"))
+
+
 @query
 def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
