@@ -116,19 +116,21 @@ def next_smaller(keys: DataFrame, span: int, width: int = BUCKET) -> DataFrame:
     return inside.join(follow, F.col("b") == F.col("fb"), "left").select("k", F.coalesce("inner", "top").alias("next"))
 
 
-def with_next(docs: DataFrame, text: str = "text", out: str = "next_text") -> DataFrame:
+def with_next(docs: DataFrame, text: str = "text", out: str = "next_text", carry: tuple[str, ...] = ()) -> DataFrame:
     """doc_id, ``text``, ``out``: each document with the text of the one that follows in descending doc_id, in a ring.
 
+    ``carry``: further columns to take along; next_ of each is null where the follower comes from another bucket.
+
     Texts are shuffled once, into buckets of BUCKET consecutive ids; only the first text of each bucket travels again.
     """
-    base = docs.select("doc_id", F.coalesce(text, F.lit("")).alias(text))
+    base = docs.select("doc_id", F.coalesce(text, F.lit("")).alias(text), *carry)
     low, high = base.agg(F.min("doc_id"), F.max("doc_id")).first()
     low, high = (low, high) if low is not None else (0, 0)
     # Rows without an id get bucket -1 - x, behind all others, spread by their text.
     b = F.coalesce(F.expr(f"(doc_id - {low}) div {BUCKET}"), F.lit(-1) - F.pmod(F.xxhash64(text), F.lit(BUCKET)))
-    rows = base.select("doc_id", text, b.alias("b"))
+    rows = base.select("doc_id", text, *carry, b.alias("b"))
     order = [F.desc_nulls_last("doc_id"), F.xxhash64(text)]
-    inside = rows.withColumn("inner", F.lead(text).over(W.partitionBy("b").orderBy(*order)))
+    inside = rows.withColumn("inner", F.lead(F.struct(text, *carry)).over(W.partitionBy("b").orderBy(*order)))
     heads = rows.groupBy("b").agg(F.max_by(text, F.struct(F.coalesce("doc_id", F.lit(low)).alias("i"), (-F.xxhash64(text)).alias("t"))).alias("head"))
     n = (high - low) // BUCKET + 1 + BUCKET
     keys = rows.select((F.col("b") + BUCKET).alias("k")).distinct()
@@ -136,16 +138,18 @@ def with_next(docs: DataFrame, text: str = "text", out: str = "next_text") -> Da
     top = keys.agg(F.max("k").alias("top"))
     ring = ring.crossJoin(F.broadcast(top)).select((F.col("k") - BUCKET).alias("fb"), (F.coalesce("next", "top") - BUCKET).alias("nb"))
     follow = ring.join(heads.withColumnRenamed("b", "hb"), F.col("nb") == F.col("hb")).select("fb", "head")
-    return inside.join(follow, F.col("b") == F.col("fb"), "left").select("doc_id", text, F.coalesce("inner", "head").alias(out))
+    return inside.join(follow, F.col("b") == F.col("fb"), "left").select("doc_id", text, *carry, F.coalesce(F.col("inner")[text], "head").alias(out), *[F.col("inner")[c].alias(f"next_{c}") for c in carry])
 
 
 def fingerprints(docs: DataFrame) -> DataFrame:
     """The digest of the registered query: fingerprints of each text, of its edited text, and their likeness."""
     n = F.length("text")
     half = F.floor(n / 2).cast("int")
-    rows = with_next(docs).withColumn("edited", F.concat(F.substring("text", 1, n - half), F.substring("next_text", 1, half)))
-    for text, out in (("text", "fingerprint"), ("edited", "edited_fingerprint"), ("next_text", "next_fingerprint")):
-        rows = with_fingerprint(rows, text, out)
+    own = with_fingerprint(docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")))
+    rows = with_next(own, carry=("fingerprint",)).withColumn("edited", F.concat(F.substring("text", 1, n - half), F.substring("next_text", 1, half)))
+    rows = with_fingerprint(rows, "edited", "edited_fingerprint")
+    # Only the last row of a bucket has to work out its follower's.
+    rows = rows.withColumn("next_fingerprint", F.coalesce("next_fingerprint", fingerprint_of(tree(F.col("next_text")))))
     return rows.select(
         "doc_id", n.cast("long").alias("n_chars"), F.sha2("edited", 256).alias("edited_sha256"), "fingerprint", "edited_fingerprint",
         likeness(F.col("fingerprint"), F.col("edited_fingerprint")).alias("near_edited"), likeness(F.col("fingerprint"), F.col("next_fingerprint")).alias("near_next"),
