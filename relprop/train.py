@@ -153,6 +153,8 @@ class Fit:
     sync: str = "epoch"  # or "step"
     patience: int = 6
     seed: int = 0
+    #: Passes over a partition's batches in one job; averaging comes after all of them.
+    passes: int = 1
 
 
 def loss_of(model, batch: Packed, w: ParamStore, rng=None, kind: str = "binary") -> tuple[float, np.ndarray]:
@@ -215,7 +217,7 @@ def fit(packed: DataFrame, model, how: Fit | None = None, kind: str = "binary")
     w = model.init(how.seed)
     shape = ParamStore({k: np.zeros_like(v) for k, v in w.items()})
     train, valid = packed.filter("part = 'train'").select("batch_id", "blob"), packed.filter("part = 'valid'").select("blob")
-    rate, decay, seed = how.rate, how.decay, how.seed
+    rate, decay, seed, passes = how.rate, how.decay, how.seed, how.passes if how.sync == "epoch" else 1
     opt, best, since, history = Adam(rate, decay), (-np.inf, w), 0, []
 
     def epoch(shared, number):
@@ -226,7 +228,7 @@ def fit(packed: DataFrame, model, how: Fit | None = None, kind: str = "binary")
             a.t = shared.value["t"]
             held = [(i, b) for pdf in batches for i, b in zip(pdf.batch_id, pdf.blob, strict=True)]
             grad = np.zeros(len(shared.value["w"]))
-            for k in rng.permutation(len(held)):
+            for k in [k for _ in range(passes) for k in rng.permutation(len(held))]:
                 batch, _ = pickle.loads(held[k][1])
                 value, g = loss_of(model, batch, p, rng, kind)
                 loss, n = loss + value, max(1, len(batch.target))
