@@ -16,7 +16,7 @@ QUICK = Fit(epochs=6, rate=0.02, patience=6, passes=4)
 WITH_SUMS = ("mean", "max", "min", "sum", "count")
 
 
-def order_sensitivity(spark: SparkSession, how: Fit = Fit(epochs=12, rate=0.02, patience=12, passes=10), d: int = 8) -> list[RunReport]:
+def order_sensitivity(spark: SparkSession, how: Fit = Fit(epochs=10, rate=0.01, patience=10, passes=40), d: int = 8) -> list[RunReport]:
     """Both synthetic databases: roll-up by two traversals and deeper, and propagation.
 
     The roll-up gets sums and counts as well, so that only the paths it follows make a difference.
@@ -27,9 +27,9 @@ def order_sensitivity(spark: SparkSession, how: Fit = Fit(epochs=12, rate=0.02,
         for i, order in enumerate(synth.ORDERS[name], 1):
             for k in (depth,) if i == 1 else (depth, depth + 1):
                 flat = rollup.rollup(task.catalog, rollup.rollup_plan(task.catalog, "A", k, order, WITH_SUMS))
-                r = run(task, "flat", 0, how, flat=flat, d=d, batch_size=200)[1]
+                r = run(task, "flat", 0, how, flat=flat, d=d, batch_size=2000)[1]
                 out.append(replace(r, method=f"rollup traversal {i}", depth=k, n_features=len(flat.columns) - 1))
-        out.append(replace(run(task, "rep", depth, how, d=d, batch_size=200)[1], method="propagation"))
+        out.append(replace(run(task, "rep", depth, how, d=d, batch_size=2000)[1], method="propagation"))
     return out
 
 

@@ -67,7 +67,7 @@ class MinMaxCodec:
         x = F.col(column).cast("double")
         if lo is None or hi == lo:
             return F.when(x.isNotNull(), F.lit(0.0))
-        return F.greatest(F.lit(0.0), F.least(F.lit(1.0), (x - F.lit(lo)) / F.lit(hi - lo)))
+        return F.when(x.isNotNull(), F.greatest(F.lit(0.0), F.least(F.lit(1.0), (x - F.lit(lo)) / F.lit(hi - lo))))  # greatest passes over nulls
 
     def transform(self, df: DataFrame, suffix: str = "_unit") -> DataFrame:
         return df.withColumns({f"{c}{suffix}": self.unit(c) for c in self.bounds})

@@ -143,6 +143,9 @@ class Adam:
         return w - self.rate * (hat + self.decay * w)
 
 
+BATCHES_A_WORKER = 8
+
+
 @dataclass
 class Fit:
     """How to train."""
@@ -216,7 +219,9 @@ def fit(packed: DataFrame, model, how: Fit | None = None, kind: str = "binary")
     spark = packed.sparkSession
     w = model.init(how.seed)
     shape = ParamStore({k: np.zeros_like(v) for k, v in w.items()})
-    train, valid = packed.filter("part = 'train'").select("batch_id", "blob"), packed.filter("part = 'valid'").select("blob")
+    # Averaging over workers with few batches each loses most of what they learn: BATCHES_A_WORKER or more each.
+    workers = max(1, packed.filter("part = 'train'").count() // BATCHES_A_WORKER)
+    train, valid = packed.filter("part = 'train'").select("batch_id", "blob").repartition(workers), packed.filter("part = 'valid'").select("blob")
     rate, decay, seed, passes = how.rate, how.decay, how.seed, how.passes if how.sync == "epoch" else 1
     opt, best, since, history = Adam(rate, decay), (-np.inf, w), 0, []
 
