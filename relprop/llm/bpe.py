@@ -74,6 +74,12 @@ class Automaton:
             start = self.first[kids[b][j]] if j < len(ages) else self.last[b]
             self.lost[a].append((t, self.first[b], start, self.last[b]))
         self._asked: dict[int, bool] = {}
+        # A merge whose two parts no path has side by side makes nothing: its token, and those built from it, stay out.
+        dead = [False] * n
+        for t, a, b in gadgets:
+            if dead[a] or dead[b] or not self._find(a, b, t):
+                dead[vocab[self.labels[a] + self.labels[b]]] |= age[vocab[self.labels[a] + self.labels[b]]] == t
+        vocab = {text: i for text, i in vocab.items() if not dead[i]}
         # A trie over symbols; a node keeps the id of the token that ends in it under the key "".
         self._trie: dict = {}
         self.size, self.shorter = [0] * n, [-1] * n
@@ -120,8 +126,8 @@ class Automaton:
             known = self._asked[cell] = self._find(a, b)
         return known
 
-    def _find(self, a: int, b: int) -> bool:
-        x, until, at = a, 1 << 60, self.first[b]
+    def _find(self, a: int, b: int, until: int = 1 << 60) -> bool:
+        x, at = a, self.first[b]
         while x >= 0:
             for t, own, lo, hi in self.lost[x]:
                 if t < until and (at == own or lo <= at < hi):
