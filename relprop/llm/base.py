@@ -58,3 +58,31 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 def partitions_of(spark: SparkSession, at_least: int = 1) -> int:
     return max(at_least, int(spark.conf.get("spark.sql.shuffle.partitions")))
+
+
+def dealt_table(df: DataFrame, column: str, parts: int) -> DataFrame:
+    """Write ``df`` as a bucketed table in the checkpoint folder and read it: joins on ``column`` leave its rows in place.
+
+    The rows are not shuffled: each task writes a file for each bucket it has rows of.
+    """
+    import uuid
+
+    spark = df.sparkSession
+    ensure_checkpoint_dir(spark)
+    name = f"dealt_{uuid.uuid4().hex}"
+    path = f"{spark.sparkContext._jsc.sc().getCheckpointDir().get()}/{name}"
+    df.write.bucketBy(parts, column).option("path", path).saveAsTable(name)
+    return spark.table(name)
+
+
+def drop_dealt(df: DataFrame) -> None:
+    """Remove a table of ``dealt_table`` and its files."""
+    spark, path = df.sparkSession, None
+    for f in df.inputFiles()[:1]:
+        path = f.rsplit("/", 1)[0]
+    if path:
+        jvm = spark.sparkContext._jvm
+        name = path.rsplit("/", 1)[1]
+        spark.sql(f"DROP TABLE IF EXISTS {name}")
+        p = jvm.org.apache.hadoop.fs.Path(path)
+        p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)

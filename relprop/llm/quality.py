@@ -3,7 +3,7 @@
 Texts are read once.  Each task packs its rows into blocks of BLOCK_CHARS characters and adds what the block has to ask
 and to tell: its distinct n-grams, and how often each occurs in its trusted texts.  Everything after that is equi-joins
 of distinct n-grams, sharded by n-gram: counts of each order, the sums of each context, the probabilities of every
-n-gram that some block asked for.  The answers go back to the blocks, which score their documents.  No model is
+n-gram that some block asked for.  The answers go back to where the blocks lie, and documents are scored there.  No model is
 collected or broadcast; what is gathered grows with the blocks.
 
 An n-gram is one long of ORDER characters of 15 bits.  Code points beyond 32,000 are folded into the codes above.
@@ -23,11 +23,11 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .base import cut, partitions_of
+from .base import cut, dealt_table, drop_dealt, partitions_of
 
 ORDER, CHAR = 4, 15
 FOLD, START, END = 32_000, 0, 1
-BLOCK_CHARS = 6_000_000
+BLOCK_CHARS = 12_000_000
 QUANTILE, MARGIN = 0.995, 1.2
 #: Up to so many trusted ids the flag is joined by broadcast (16 bytes each).
 BROADCAST_IDS = 2_000_000
@@ -130,7 +130,7 @@ def _to_stream(parts: list[pa.RecordBatch]) -> bytes:
     sink = pa.BufferOutputStream()
     whole = pa.Table.from_batches(parts).combine_chunks()
     with pa.ipc.new_stream(sink, whole.schema, options=pa.ipc.IpcWriteOptions(compression=pa.Codec("zstd", 3))) as w:
-        w.write_table(whole)
+        w.write_table(whole, max_chunksize=256)
     return sink.getvalue().to_pybytes()
 
 
@@ -190,32 +190,49 @@ def probabilities(asked: DataFrame, tables: dict[int, DataFrame], order: int = O
     return prob(asked, order)
 
 
+def answers_of(grams: DataFrame, p: DataFrame) -> DataFrame:
+    """block, data: the log probabilities (base 2) of each block's n-grams, in the order of the block's keys."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict[int, list] = {}
+        for batch in batches:
+            block, key, lp = (c.to_numpy(zero_copy_only=False) for c in batch.columns)
+            by = np.argsort(block, kind="stable")
+            for part in np.split(by, np.flatnonzero(np.diff(block[by])) + 1):
+                if len(part):
+                    held.setdefault(int(block[part[0]]), []).append((key[part], lp[part]))
+        for b, parts in held.items():
+            key, lp = (np.concatenate(x) for x in zip(*parts, strict=True))
+            yield pa.RecordBatch.from_arrays([pa.array([b], pa.int64()), pa.array([lp[np.argsort(key)].astype(np.float32).tobytes()], pa.binary())], names=["block", "data"])
+
+    joined = grams.select("block", "key").join(p.select(F.col("key").alias("pk"), F.log2("p").cast("float").alias("lp")), F.col("key") == F.col("pk"))
+    return joined.select("block", "key", "lp").repartition(partitions_of(grams.sparkSession), "block").mapInArrow(run, "block long, data binary")
+
+
 def score_blocks(packed: DataFrame, answers: DataFrame, schema: str, order: int = ORDER) -> DataFrame:
-    """All columns of the packed rows, then perplexity double."""
+    """All columns of the packed rows, then perplexity double.
+
+    ``packed`` is bucketed by block and stays where it is; only the answers travel.
+    """
     from .base import _arrow_schema
 
-    held = answers.groupBy("block").agg(F.collect_list(F.struct("key", "lp")).alias("a"))  # as many as a block has n-grams
-    held = held.select(F.col("block").alias("b"), F.col("a.key").alias("keys"), F.col("a.lp").alias("lps"))
     out = _arrow_schema(packed.sparkSession, schema)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
+            rows, grams, data = batch.columns
             for i in range(batch.num_rows):
-                keys = batch.column(1).slice(i, 1).flatten().to_numpy(zero_copy_only=False)
-                lps = batch.column(2).slice(i, 1).flatten().to_numpy(zero_copy_only=False)
-                by = np.argsort(keys)
-                keys, lps = keys[by], lps[by]
-                for part in pa.ipc.open_stream(batch.column(0)[i].as_buffer()):
+                keys, lps = _from_bytes(grams[i].as_py())[0], np.frombuffer(data[i].as_py(), np.float32)
+                for part in pa.ipc.open_stream(rows[i].as_buffer()):
                     for at in range(0, part.num_rows, 64):
-                        rows = part.slice(at, 64)
-                        k, sizes = gram_keys(rows.column(rows.schema.names.index("text")).to_pylist(), order)
-                        lp = lps[np.searchsorted(keys, k)]
-                        starts = np.cumsum(sizes) - sizes
-                        mean = np.add.reduceat(lp.astype(np.float64), starts) / sizes
-                        cols = [c.cast(f.type) for c, f in zip(rows.columns, out, strict=False)]
+                        piece = part.slice(at, 64)
+                        k, sizes = gram_keys(piece.column(piece.schema.names.index("text")).to_pylist(), order)
+                        mean = np.add.reduceat(lps[np.searchsorted(keys, k)].astype(np.float64), np.cumsum(sizes) - sizes) / sizes
+                        cols = [c.cast(f.type) for c, f in zip(piece.columns, out, strict=False)]
                         yield pa.RecordBatch.from_arrays([*cols, pa.array(np.exp2(-mean))], schema=out)
 
-    return packed.select("block", "rows").join(held, F.col("block") == F.col("b")).select("rows", "keys", "lps").repartition(partitions_of(packed.sparkSession)).mapInArrow(run, schema)
+    got = answers.select(F.col("block").alias("b"), "data")
+    return packed.join(got, F.col("block") == F.col("b")).select("rows", "grams", "data").mapInArrow(run, schema)
 
 
 def mark_trusted(docs: DataFrame, labels: DataFrame, out: str) -> DataFrame:
@@ -225,17 +242,16 @@ def mark_trusted(docs: DataFrame, labels: DataFrame, out: str) -> DataFrame:
     return docs.join(ids, docs["doc_id"] == F.col("_id"), "left").select(*[docs[c] for c in docs.columns], F.col("_id").isNotNull().alias(out))
 
 
-def with_perplexity(docs: DataFrame, labels: DataFrame, trusted: str = "trusted", out: str = "perplexity", order: int = ORDER, block_chars: int = BLOCK_CHARS) -> DataFrame:
-    """``docs`` with two more columns: trusted and perplexity."""
+def with_perplexity(docs: DataFrame, labels: DataFrame, trusted: str = "trusted", out: str = "perplexity", order: int = ORDER, block_chars: int = BLOCK_CHARS) -> tuple[DataFrame, DataFrame]:
+    """``docs`` with two more columns, trusted and perplexity; and the table of packed blocks that it reads."""
     rows = mark_trusted(docs, labels, trusted)
-    packed = cut(pack_blocks(rows, trusted, order, block_chars))
+    packed = dealt_table(pack_blocks(rows, trusted, order, block_chars), "block", partitions_of(docs.sparkSession))
     grams = grams_of(packed)
     tables = count_tables(grams, order)
     asked = grams.select("key").distinct()
-    p = probabilities(asked, tables, order).select(F.col("key").alias("pk"), F.log2("p").cast("float").alias("lp"))
-    answers = grams.select("block", "key").join(p, F.col("key") == F.col("pk")).select("block", "key", "lp")
+    answers = cut(answers_of(grams, probabilities(asked, tables, order)))
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema) + f", `{out}` double"
-    return score_blocks(packed, answers, schema, order)
+    return score_blocks(packed, answers, schema, order), packed
 
 
 def thresholds(scored: DataFrame, quantile: float = QUANTILE, margin: float = MARGIN) -> tuple[DataFrame, float | None]:
@@ -257,14 +273,17 @@ def judged(scored: DataFrame, quantile: float = QUANTILE, margin: float = MARGIN
 
 def classify(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """The registered query: doc_id, lang, trusted, perplexity, threshold, keep."""
-    return judged(cut(with_perplexity(docs.select("doc_id", "lang", "text"), labels).drop("text")))
+    scored, packed = with_perplexity(docs.select("doc_id", "lang", "text"), labels)
+    scored = cut(scored.drop("text"))
+    drop_dealt(packed)
+    return judged(scored)
 
 
 def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """The rows of ``docs`` that are not rejected, all columns."""
     own = docs.select(*[F.col(c).alias(c) for c in docs.columns])
     trusted, score = (next(n for n in (base, *(f"{base}_{i}" for i in range(99))) if n not in docs.columns) for base in ("trusted", "perplexity"))
-    scored = cut(with_perplexity(own, labels, trusted, score))
+    scored, _ = with_perplexity(own, labels, trusted, score)  # read once for the thresholds, once for the rows
     small = scored.select("lang", F.col(trusted).alias("trusted"), F.col(score).alias("perplexity"))
     by_lang, overall = thresholds(small)
     by_lang = cut(by_lang).select(F.col("lang").alias("_lang"), F.col("threshold").alias("_threshold"))
