@@ -35,6 +35,8 @@ from .base import arrow_map
 LENGTH, SEED_BYTES = 200, 32
 MARK = 0xFF
 FLUSH_BYTES = 6_000_000
+#: Bytes of contexts that are merged at once.
+MERGE_BYTES = 1_000_000
 #: Bytes of text whose contexts one task gets, about a fourth of the contexts' bytes.
 TASK_BYTES = 6_000_000
 _MIX = np.random.default_rng(20240).integers(1, 1 << 63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -89,12 +91,12 @@ def contexts_of(texts: list[bytes], length: int = LENGTH, width: int = SEED_BYTE
 def doubling_order(symbols: np.ndarray, depth: int) -> np.ndarray:
     """Order of all suffixes of one shard by their first ``depth`` symbols (further ones may or may not count)."""
     rank, size, n = symbols.astype(np.int64), 1, len(symbols)
-    order = np.argsort(symbols, kind="stable")
+    order = np.argsort(symbols)
     while size < depth:
         after = np.full(n, -1, np.int64)
         after[: n - size] = rank[size:]
         key = rank * (max(n, 260) + 1) + after + 1
-        order = np.argsort(key, kind="stable")
+        order = np.argsort(key)
         k = key[order]
         new = np.r_[0, np.cumsum(k[1:] != k[:-1])]
         rank[order] = new
@@ -113,8 +115,8 @@ class Shard:
     def __init__(self, contexts: list[tuple[np.ndarray, int]], length: int):
         self.text = np.concatenate([np.r_[b, np.uint8(MARK)] for b, _ in contexts])
         self.order = doubling_order(self.text, length)
-        row = np.empty(len(self.order), np.int64)
-        row[self.order] = np.arange(len(self.order))
+        row = np.empty(len(self.order), np.int32)
+        row[self.order] = np.arange(len(self.order), dtype=np.int32)
         self.transform = self.text[self.order - 2].astype(np.uint16) << 8 | self.text[self.order - 1]
         self.longer = row[self.order - 2]
         sizes, starts = np.array([len(b) + 1 for b, _ in contexts]), np.array([k for _, k in contexts])
@@ -175,6 +177,27 @@ def _spans(mask: np.ndarray, offset: int, length: int) -> list[tuple[int, int]]:
     return [(offset + int(a), offset + int(b) - 1 + length) for a, b in zip(edge[::2], edge[1::2], strict=True)]
 
 
+def row_key(text: str = "text"):
+    """32 bits of a text's hash: tells rows of one doc_id apart."""
+    return F.xxhash64(text).bitwiseAND(F.lit(0xFFFFFFFF))
+
+
+def pack_meta(seed: np.ndarray, ids: np.ndarray, keys: np.ndarray, start: np.ndarray, count: np.ndarray) -> bytes:
+    """Columns one behind the other, in few bytes.  Of a seed 32 bits do: contexts that share them by chance are merely
+    compared for nothing."""
+    low = (seed >> np.uint64(32)).astype(np.uint32)
+    return b"".join([low.tobytes(), np.diff(ids, prepend=np.int64(0)).tobytes(), keys.astype(np.uint32).tobytes(), start.astype(np.uint32).tobytes(), count.astype(np.uint16).tobytes()])
+
+
+def unpack_meta(data: bytes) -> np.ndarray:
+    """Rows: seed, doc_id, row_key, first start, number of starts."""
+    n = len(data) // 22
+    parts = np.split(np.frombuffer(data, np.uint8), np.cumsum([4 * n, 8 * n, 4 * n, 4 * n]))
+    kinds = (np.uint32, np.int64, np.uint32, np.uint32, np.uint16)
+    seed, ids, keys, start, count = (p.view(k).astype(np.int64) for p, k in zip(parts, kinds, strict=True))
+    return np.stack([seed, np.cumsum(ids), keys, start, count])
+
+
 def deal(docs: DataFrame, buckets: int, length: int = LENGTH) -> DataFrame:
     """bucket, meta, data: the contexts of each reading task, by bucket of their seed."""
 
@@ -196,9 +219,9 @@ def deal(docs: DataFrame, buckets: int, length: int = LENGTH) -> DataFrame:
                 wide = count[mine] + length - 1
                 ends = np.cumsum(wide)
                 byte = flat[np.repeat(at[mine] - (ends - wide), wide) + np.arange(ends[-1])]
-                meta = np.stack([seed[mine].view(np.int64), ids[mine], keys[mine], start[mine], count[mine]])
+                meta = pack_meta(seed[mine], ids[mine], keys[mine], start[mine], count[mine])
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array([int(bucket[mine[0]])], pa.int64()), pa.array([pack.compress(meta.tobytes())], pa.binary()), pa.array([pack.compress(byte.tobytes())], pa.binary())], names=["bucket", "meta", "data"])
+                    [pa.array([int(bucket[mine[0]])], pa.int64()), pa.array([pack.compress(meta)], pa.binary()), pa.array([pack.compress(byte.tobytes())], pa.binary())], names=["bucket", "meta", "data"])
 
         for batch in batches:
             for at in range(0, batch.num_rows, 64):
@@ -214,7 +237,7 @@ def deal(docs: DataFrame, buckets: int, length: int = LENGTH) -> DataFrame:
         if held:
             yield from flush()
 
-    return docs.select("doc_id", F.xxhash64("text").alias("row_key"), "text").mapInArrow(run, "bucket long, meta binary, data binary")
+    return docs.select("doc_id", row_key().alias("row_key"), "text").mapInArrow(run, "bucket long, meta binary, data binary")
 
 
 #: Stands for a null doc_id among numbers.
@@ -241,23 +264,33 @@ def resolve(shards: list[tuple[np.ndarray, np.ndarray]], length: int = LENGTH) -
     for (s, _), members in first.items():
         by_seed.setdefault(s, []).append(members)
     left: dict[int, list[tuple[int, int]]] = {}
-    for s, kinds in by_seed.items():
+    size = 0
+
+    def merged() -> Iterator[tuple[int, int, int, int]]:
+        """Merge what has gathered and give the ranges of contexts that stand alone."""
+        work = [[(shards[s][1][inner[i] : inner[i] + wide[i]], int(count[i])) for i, _ in rows] for s, rows in left.items()]
+        for rows, masks in zip(left.values(), repeated_starts(work, length), strict=True):
+            for (i, n), mask in zip(rows, masks, strict=True):
+                if n == 1:
+                    for a, b in _spans(mask, int(start[i]), length):
+                        yield int(ids[i]), int(keys[i]), a, b
+
+    for kinds in by_seed.values():
         for members in kinds:
             if len(members) > 1:
                 for i in members:
                     yield int(ids[i]), int(keys[i]), int(start[i]), int(start[i] + wide[i])
         if len(kinds) > 1:
+            # Seeds never match one another, so a bucket is merged in portions of whole seeds.
             for members in kinds:
                 i = members[0]
                 left.setdefault(int(shard_of[i]), []).append((i, len(members)))
-    if not left:
-        return
-    work = [[(shards[s][1][inner[i] : inner[i] + wide[i]], int(count[i])) for i, _ in rows] for s, rows in left.items()]
-    for rows, masks in zip(left.values(), repeated_starts(work, length), strict=True):
-        for (i, n), mask in zip(rows, masks, strict=True):
-            if n == 1:
-                for a, b in _spans(mask, int(start[i]), length):
-                    yield int(ids[i]), int(keys[i]), a, b
+                size += int(wide[i])
+            if size >= MERGE_BYTES:
+                yield from merged()
+                left, size = {}, 0
+    if left:
+        yield from merged()
 
 
 def repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
@@ -274,7 +307,7 @@ def repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
             for b, m, d in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 by_bucket.setdefault(b, []).append((m, d))
         for b in list(by_bucket):
-            shards = [(np.frombuffer(unpack.decompress(m), np.int64).reshape(5, -1), np.frombuffer(unpack.decompress(d), np.uint8)) for m, d in by_bucket.pop(b)]
+            shards = [(unpack_meta(unpack.decompress(m)), np.frombuffer(unpack.decompress(d), np.uint8)) for m, d in by_bucket.pop(b)]
             rows = list(resolve(shards, length))
             if rows:
                 i, k, a, e = zip(*rows, strict=True)
@@ -290,14 +323,14 @@ def spans(docs: DataFrame, length: int = LENGTH) -> DataFrame:
 
 def _with_spans(docs: DataFrame, length: int) -> DataFrame:
     found = spans(docs, length).select(F.col("doc_id").alias("_id"), F.col("row_key").alias("_key"), "spans")
-    return docs.join(found, docs["doc_id"].eqNullSafe(F.col("_id")) & (F.xxhash64(docs["text"]) == F.col("_key")), "left")
+    return docs.join(found, docs["doc_id"].eqNullSafe(F.col("_id")) & (row_key() == F.col("_key")), "left")
 
 
 def cut_out(data: bytes, ranges) -> tuple[bytes, int, int]:
     """(what is left, bytes removed, maximal runs removed)."""
     kept, at, gone, runs = [], 0, 0, 0
     last = -1
-    for a, b in sorted(ranges or ()):
+    for a, b in sorted(ranges):
         if a > last:
             runs += 1
         if b > at:
@@ -325,17 +358,32 @@ def summary(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     from hashlib import sha256
 
     def make():
+        import zstandard
+
+        unpack = zstandard.ZstdDecompressor()
+
         def kernel(cols):
-            ids, texts, ranges = cols
+            ids, texts, starts, ends = cols
             out = [ids, [], [], [], []]
-            for t, r in zip(texts, ranges, strict=True):
-                data = (t or "").encode("utf-8", "surrogatepass")
-                kept, gone, runs = cut_out(data, [(x["start"], x["end"]) for x in r or ()])
+            for t, a, b in zip(texts, starts, ends, strict=True):
+                data = unpack.decompress(t)
+                kept, gone, runs = cut_out(data, zip(a or (), b or (), strict=True))
                 for c, v in zip(out[1:], (len(data), gone, runs, sha256(kept).hexdigest()), strict=True):
                     c.append(v)
             return out
 
         return kernel
 
-    rows = _with_spans(docs.select("doc_id", "text"), length).select("doc_id", "text", "spans")
+    # Texts travel to their spans compressed one by one.
+    packed = arrow_map(docs.select("doc_id", row_key().alias("row_key"), "text"), _squeezer, "doc_id long, row_key long, packed binary")
+    found = spans(docs, length).select(F.col("doc_id").alias("_id"), F.col("row_key").alias("_key"), "spans")
+    rows = packed.join(found, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("row_key") == F.col("_key")), "left")
+    rows = rows.select("doc_id", "packed", F.col("spans.start").cast("array<int>").alias("starts"), F.col("spans.end").cast("array<int>").alias("ends"))
     return arrow_map(rows, make, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+
+
+def _squeezer():
+    import zstandard
+
+    pack = zstandard.ZstdCompressor(level=3)
+    return lambda cols: [cols[0], cols[1], [pack.compress((t or "").encode("utf-8", "surrogatepass")) for t in cols[2]]]
