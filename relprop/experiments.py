@@ -9,6 +9,7 @@ from pyspark.sql import SparkSession
 from . import flatten, rollup, synth, tasks
 from .metrics import RunReport
 from .schema import Task
+from .ml import fit_ml
 from .train import Fit, run
 
 #: Small enough for one machine; a cluster run passes its own.
@@ -52,6 +53,12 @@ def row_networks(task: Task, depth: int, how: Fit = QUICK, d: int = 8, width: in
     return [*out, replace(run(task, "rep", depth, how, d=d)[1], method="propagation")]
 
 
+def ml_heads(task: Task, depth: int = 1, heads: tuple[str, ...] = ("logistic", "fm", "gbt")) -> list[RunReport]:
+    """The library's own classifiers over the rolled-up table, as a cross-check of the flat models."""
+    flat = rollup.rollup(task.catalog, rollup.rollup_plan(task.catalog, task.target, depth))
+    return [fit_ml(task, flat, h) for h in heads]
+
+
 def row_block_ablation(task: Task, depth: int, how: Fit = QUICK, d: int = 8) -> list[RunReport]:
     return [replace(run(task, "rep", depth, how, d=d, row=b, head="deepfm")[1], method=f"rows {b}, head deepfm") for b in ("mlp", "deepfm")]
 
@@ -82,12 +89,15 @@ def grid(spark: SparkSession, folder: str, names: tuple[str, ...] = ("orders", "
 
 _SHORT = Fit(epochs=2, rate=0.02, patience=2, passes=2)
 QUERY = {
-    "train_order_sensitivity": lambda s, d: order_sensitivity(s, Fit(epochs=2, rate=0.02, patience=3, passes=3), d=4),
+    "train_order_sensitivity": lambda s, d: order_sensitivity(s, Fit(epochs=4, rate=0.01, patience=4, passes=50), d=6),
     "train_rep_orders": lambda s, d: [run(tasks.orders_task(s, d), "rep", 2, _SHORT, d=4)[1]],
     "train_baselines_orders": lambda s, d: baselines(tasks.orders_task(s, d), _SHORT, ("deepfm",), 1, 4),
     "train_rowgnn_orders": lambda s, d: [r for r in row_networks(tasks.orders_task(s, d), 1, _SHORT, 4, 8)],
     "ablation_rowblock": lambda s, d: row_block_ablation(tasks.orders_task(s, d), 1, _SHORT, 4),
     "ablation_basemodel": lambda s, d: base_model_ablation(tasks.orders_task(s, d), 1, _SHORT, 4),
     "ablation_aggregator": lambda s, d: aggregator_ablation(tasks.orders_task(s, d), 1, _SHORT, 4),
+    "train_flat_ml_heads": lambda s, d: ml_heads(tasks.orders_task(s, d), 1, ("logistic", "gbt")),
+    "train_user_day": lambda s, d: [replace(run(tasks.user_day_task(s, d, as_of=24), "rep", 2, _SHORT, d=4)[1], method="propagation")],
+    "train_seen": lambda s, d: [replace(run(tasks.seen_task(s, d), "rep", 2, _SHORT, d=4)[1], method="propagation")],
     "depth_sweep": lambda s, d: depth_sweep(tasks.orders_task(s, d), [0, 1, 2], _SHORT, 4),
 }

@@ -117,13 +117,24 @@ class RunReport:
         return tuple(getattr(self, f.split()[0]) for f in self.SCHEMA.split(", "))
 
 
+def shuffle_written(spark) -> int:
+    """Shuffle bytes that the application has written so far, from the status store."""
+    executors = spark.sparkContext._jsc.sc().statusStore().executorList(False)
+    return sum(executors.apply(i).totalShuffleWrite() for i in range(executors.length()))
+
+
+def peak_memory() -> int:
+    """Peak resident bytes of this Python process."""
+    return resource.getrusage(resource.RUSAGE_SELF).ru_maxrss * 1024
+
+
 @contextmanager
 def measured(report: RunReport, catalog: Catalog | None = None, target: str | None = None):
     """Wall time and peak resident memory of the driver's Python; tables reached where a catalog is given."""
     began = time.time()
     yield report
     report.seconds = time.time() - began
-    report.peak_rss = resource.getrusage(resource.RUSAGE_SELF).ru_maxrss * 1024
+    report.peak_rss = peak_memory()
     if catalog is not None:
         report.tables_reached = tables_reached(catalog, target, report.depth)[report.depth]
 

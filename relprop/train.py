@@ -23,7 +23,7 @@ from . import tape as T
 from .blocks import BlockSpec
 from .features import CategoryCodec, MinMaxCodec, feature_columns
 from .graph import degrees, khop_subgraph, node_key
-from .metrics import RunReport, auc, auc_local
+from .metrics import RunReport, auc, auc_local, peak_memory, shuffle_written
 from .model import Packed, Rep, RowGnn, TableMeta
 from .params import ParamStore, load_model, save_model
 from .schema import Catalog, TableSpec, Task, bucket_of
@@ -310,13 +310,15 @@ def run(task: Task, method: str, depth: int, how: Fit | None = None, flat: DataF
     if method == "flat":
         task, depth = flat_task(task, flat), 0
     coder = Coder.fit(task)
-    packed = packed_batches(task, coder, depth, batch_size, how.seed if how.seed < 0 else 0)
-    packed = _kept(packed)
+    spark = task.catalog.frame(task.target).sparkSession
+    before = shuffle_written(spark)
+    packed = _kept(packed_batches(task, coder, depth, batch_size))
     model = gnn_model(coder, task, depth, method, d, **options) if method in ("rgcn", "gat", "hgt") else rep_model(coder, task, depth, d, **options)
     trained = fit(packed, model, how, task.kind)
     report = RunReport(task.name, method, depth, how.seed, trained.test_auc(packed) if task.kind == "binary" else float("nan"), trained.seconds, trained.seconds / max(1, len(trained.history)))
     report.tables_reached = tables_reached(task.catalog, task.target, depth)[depth]
     report.n_features = coder.meta[task.target].fields
+    report.peak_rss, report.shuffle_bytes = peak_memory(), shuffle_written(spark) - before
     return trained, report, packed
 
 
