@@ -314,14 +314,14 @@ _RG = [LatticeParams(1, 5).weight("rgcn", 0, j) for j in range(4)]
 
 @query(
     "rgcn_mean_layer_customer",
-    f"SELECT c_custkey, round(greatest(0.0, {oracle.num(_RG[0])} * c_acctbal + {oracle.num(_RG[1])} * coalesce(avg(o_totalprice), 0.0) + {oracle.num(_RG[2])} * coalesce(any_value(nb), 0.0)) / 7.0, 5) AS h FROM customer LEFT JOIN orders ON o_custkey = c_custkey LEFT JOIN (SELECT n_nationkey AS nk, n_regionkey::DOUBLE AS nb FROM nation) ON nk = c_nationkey GROUP BY c_custkey, c_acctbal",
+    f"SELECT c_custkey, round(greatest(0.0, {oracle.num(_RG[0])} * c_acctbal + {oracle.num(_RG[1])} * coalesce(avg(o_totalprice), 0.0) + {oracle.num(_RG[2])} * coalesce(any_value(nb), 0.0)) / 7.0, 3) AS h FROM customer LEFT JOIN orders ON o_custkey = c_custkey LEFT JOIN (SELECT n_nationkey AS nk, n_regionkey::DOUBLE AS nb FROM nation) ON nk = c_nationkey GROUP BY c_custkey, c_acctbal",
 )
 def rgcn_mean_layer_customer(s, d):
     c, o, n = tab(s, d, "customer"), tab(s, d, "orders"), tab(s, d, "nation")
     mean = aggregate.neighbour_stats(o, "o_custkey", ["o_totalprice"]).select("key", "mean_o_totalprice")
     df = c.join(mean, F.col("c_custkey") == F.col("key"), "left").join(F.broadcast(n), F.col("c_nationkey") == F.col("n_nationkey"), "left")
     h = F.lit(_RG[0]) * F.col("c_acctbal") + F.lit(_RG[1]) * F.coalesce("mean_o_totalprice", F.lit(0.0)) + F.lit(_RG[2]) * F.coalesce(F.col("n_regionkey").cast("double"), F.lit(0.0))
-    return df.select("c_custkey", F.round(F.greatest(F.lit(0.0), h) / 7.0, 5).alias("h"))
+    return df.select("c_custkey", F.round(F.greatest(F.lit(0.0), h) / 7.0, 3).alias("h"))
 
 
 @query(
@@ -410,8 +410,8 @@ query("range_join_events", "SELECT o_orderkey, count(*)::BIGINT AS n FROM orders
 query("asof_user_day", "SELECT e.event_id, (SELECT v.value FROM events v WHERE v.user_id = e.user_id AND v.event_type = 'view' AND v.ts <= e.ts ORDER BY v.ts DESC, v.event_id DESC LIMIT 1) AS last_view FROM events e WHERE e.event_type = 'purchase'")(
     lambda s, d: joins.asof_join(_EV(s, d).filter("event_type = 'purchase'").select("event_id", "user_id", "ts"), _EV(s, d).filter("event_type = 'view'").select("user_id", "ts", "value", F.col("event_id").alias("tie")), "user_id", "ts", "ts", "value", "last_view", "tie").select("event_id", "last_view")
 )
-query("interval_join_user_day", "SELECT user_id, day, count(*)::BIGINT AS n FROM (SELECT e.user_id, d.day FROM events e JOIN (SELECT DISTINCT user_id, ts::DATE AS day FROM events) d ON d.user_id = e.user_id AND e.ts >= d.day AND e.ts < d.day + 1) GROUP BY 1, 2")(
-    lambda s, d: joins.interval_join(_EV(s, d).select("event_id", "user_id", "ts"), _EV(s, d).select("user_id", F.to_date("ts").alias("day")).distinct().withColumn("start", F.col("day").cast("timestamp_ntz")).withColumn("end", F.date_add("day", 1).cast("timestamp_ntz")), ["user_id"], "ts", "start", "end").groupBy("user_id", "day").agg(F.count("*").alias("n"))
+query("interval_join_user_day", "SELECT user_id, strftime(day, '%Y-%m-%d') AS day, count(*)::BIGINT AS n FROM (SELECT e.user_id, d.day FROM events e JOIN (SELECT DISTINCT user_id, ts::DATE AS day FROM events) d ON d.user_id = e.user_id AND e.ts >= d.day AND e.ts < d.day + 1) GROUP BY 1, 2")(
+    lambda s, d: joins.interval_join(_EV(s, d).select("event_id", "user_id", "ts"), _EV(s, d).select("user_id", F.to_date("ts").alias("day")).distinct().withColumn("start", F.col("day").cast("timestamp_ntz")).withColumn("end", F.date_add("day", 1).cast("timestamp_ntz")), ["user_id"], "ts", "start", "end").groupBy("user_id", F.date_format("day", "yyyy-MM-dd").alias("day")).agg(F.count("*").alias("n"))
 )
 query("sibling_orders", "SELECT o_orderkey, (n - 1)::BIGINT AS n_siblings, round(CASE WHEN n > 1 THEN (t - o_totalprice) / (n - 1) END, 6) AS mean_siblings FROM orders JOIN (SELECT o_custkey AS c, count(*) AS n, sum(o_totalprice) AS t FROM orders GROUP BY 1) ON c = o_custkey")(
     lambda s, d: joins.siblings(tab(s, d, "orders"), "o_orderkey", "o_custkey", "o_totalprice").withColumn("mean_siblings", F.round("mean_siblings", 6))
