@@ -231,12 +231,22 @@ def summary(docs: DataFrame) -> DataFrame:
 
 
 def deduplicate(docs: DataFrame, size: int = SHINGLE, budget: int = BUDGET) -> DataFrame:
-    """The first document of each group, by doc_id; rows that repeat it, and null ids, are settled by text hash."""
+    """The first document of each group, by doc_id."""
+    return keep_first(docs, near_duplicates(docs, size, budget))
+
+
+def keep_first(docs: DataFrame, groups: DataFrame) -> DataFrame:
+    """Rows whose doc_id is their group's component_id; rows that repeat it, and null ids, are settled by text hash.
+
+    ``groups`` has doc_id and component_id of every row.  Only rows of an id that repeats are dealt out once more.
+    """
     from pyspark.sql import Window as W
 
-    groups = near_duplicates(docs, size, budget).filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_keep")).distinct()
-    kept = docs.join(groups, docs["doc_id"].eqNullSafe(F.col("_keep")), "left_semi")
+    first = F.col("doc_id").eqNullSafe(F.col("component_id"))
+    marks = groups.groupBy("doc_id").agg(F.max(first).alias("_first"), F.count("*").alias("_rows")).filter("_first").select(F.col("doc_id").alias("_keep"), (F.col("_rows") > 1).alias("_many"))
+    kept = docs.join(marks, docs["doc_id"].eqNullSafe(F.col("_keep")))
     # Rows of one doc_id are repeats: few, save for null, which is spread by its text first.
     key = [F.col("doc_id"), F.when(F.col("doc_id").isNull(), F.xxhash64("text"))]
     w = W.partitionBy(*key).orderBy(F.xxhash64(*[F.col(c) for c in docs.columns]))
-    return kept.withColumn("_n", F.row_number().over(w)).filter("_n = 1").select(*docs.columns)
+    many = kept.filter("_many").withColumn("_n", F.row_number().over(w)).filter("_n = 1")
+    return kept.filter("not _many").select(*docs.columns).unionByName(many.select(*docs.columns))

@@ -10,7 +10,7 @@ import pytest
 import xxhash
 from pyspark.sql import functions as F
 
-from relprop.llm import base, bpe, components, decontaminate, htmltext, licenses, merkle, quality, queries, secrets, simhash, suffix_dedup, toxicity
+from relprop.llm import base, bpe, components, decontaminate, htmltext, jaccard, licenses, merkle, quality, queries, secrets, simhash, suffix_dedup, toxicity
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, key string, block string, fp string"
 
@@ -319,6 +319,47 @@ def test_simhash_classes_are_brute_forces(docs, texts, odd):
     assert simhash.summary(empty(odd)).count() == 0
 
 
+def brute_near_copies(texts):
+    """Index of the first text of each text's group, by exact Jaccard of all pairs over five-word shingles."""
+    sets = [frozenset(simhash.shingle_hashes(t, 5)) for t in texts]
+    label = list(range(len(sets)))
+    for i in range(len(sets)):
+        for j in range(i):
+            both = len(sets[i] & sets[j])
+            if (sets[i] == sets[j] or 5 * both >= 4 * (len(sets[i]) + len(sets[j]) - both)) and label[i] != label[j]:
+                low, high = sorted((label[i], label[j]))
+                label = [low if x == high else x for x in label]
+    return label
+
+
+@pytest.mark.parametrize("room", [jaccard.ROOM, 0])
+def test_near_dedup_stage_keeps_one_of_each_near_copy(spark, sf, texts, monkeypatch, room):
+    """Against brute force: copies on both sides of 0.8, chains, a group around one text, a line that all texts hold."""
+    import corpus_pipeline
+
+    monkeypatch.setattr(jaccard, "ROOM", room)
+    rng = np.random.default_rng(3)
+    word = lambda: f"w{rng.integers(5000)}"
+    line = "this line stands in every one of these texts"
+    made = [texts[i] for i in sorted(texts)[:60]] + [None, "", "one two", "ONE  two", "a b c d e", "a b c d e f"]
+    for most in (0, 1, 1, 2, 2, 3, 4):
+        t = [word() for _ in range(int(rng.integers(40, 160)))]
+        made.append(" ".join(t))
+        for _ in range(6):
+            u = list(t)
+            for _ in range(most):
+                u[int(rng.integers(len(u)))] = word()
+            made.append(" ".join(u))
+            t = u if most == 1 else t
+    made += [f"{line} {word()}" for _ in range(12)] + [f"{line} " + " ".join(word() for _ in range(30)) for _ in range(12)]
+    df = spark.createDataFrame(list(enumerate(made)), "doc_id long, text string").repartition(3)
+    want = brute_near_copies(made)
+    got = {r["doc_id"]: r["component_id"] for r in jaccard.near_copies(df).collect()}
+    assert got == dict(enumerate(want)) and len(set(want)) < len(want) - 20
+    assert sorted(r["doc_id"] for r in corpus_pipeline.near_dedup_stage(spark, df, sf).collect()) == sorted(set(want))
+    assert jaccard.deduplicate(df.filter("false")).count() == 0
+
+
 def test_components_of_a_long_path(spark):
     edges = spark.range(300).select(F.col("id").alias("a"), (F.col("id") + 1).alias("b")).unionByName(spark.createDataFrame([(1000, 1001), (1001, 1000), (7, 7)], "a long, b long"))
     got = {r["node"]: r["root"] for r in components.components(edges).collect()}
