@@ -2,8 +2,8 @@
 
 A credential often comes in parts: an access identifier, a secret and an endpoint, none of which proves much alone.
 The parts of a text are intervals of code points.  A scope is a paragraph (blank lines end it).  Two parts are joined
-if they lie in one scope and the gap between them is at most ``reach`` code points.  The join is a merge over parts
-sorted by start that keeps a window of ``reach``, so its cost follows the number of parts, not its square: for a
+if they lie in one scope and the gap between them is at most ``reach`` code points; the registered query and the
+redaction set no reach, so that any two parts of a scope are joined, however far apart.  The cost of the join follows the number of parts, not its square: for a
 candidate only the nearest part of each complementary kind is looked up.
 
 Weak candidates (a long mixed token without a keyword, a bare user or client identifier, an endpoint with no user
@@ -19,6 +19,7 @@ import math
 import re
 from bisect import bisect_left
 from hashlib import sha256
+from itertools import accumulate
 
 from pyspark.sql import DataFrame
 
@@ -32,9 +33,9 @@ ASSIGN_LEAST, ACCESS_LEAST = 6, 20
 KINDS = ("assign", "access", "hex", "weak_id", "weak_secret", "weak_endpoint")
 
 #: Patterns of the parts that are weak alone.
-WEAK_ID = re.compile(r"""\b(?:access_?key(?:_?id)?|client_?id|account|username|user|login)["']?\x20*[:=]\x20*["']?([A-Za-z0-9._@-]{3,128})""", re.I | re.A)
-WEAK_SECRET = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_-]{20,128}={0,2}(?![A-Za-z0-9+/_=-])")
-WEAK_ENDPOINT = re.compile(r"""\b(?:https?|ftp|s3|jdbc:[a-z]+|amqp|redis|postgres(?:ql)?|mysql|mongodb(?:\+srv)?)://[^\s"'<>|]{3,400}|\b(?:endpoint|host|server|region)["']?\x20*[:=]\x20*["']?[A-Za-z0-9.:-]{3,128}""", re.I | re.A)
+WEAK_ID = re.compile(r"""\b(?:access_?key(?:_?id)?|client_?id|account|username|user|login)["']?\x20*[:=]\x20*["']?([A-Za-z0-9._@-]{3,})""", re.I | re.A)
+WEAK_SECRET = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_-]{20,}+={0,2}(?![A-Za-z0-9+/_=-])")
+WEAK_ENDPOINT = re.compile(r"""\b(?:https?|ftp|s3|jdbc:[a-z]+|amqp|redis|postgres(?:ql)?|mysql|mongodb(?:\+srv)?)://[^\s"'<>|]{3,}|\b(?:endpoint|host|server|region)["']?\x20*[:=]\x20*["']?[A-Za-z0-9.:-]{3,}""", re.I | re.A)
 BLANK = re.compile(r"\n[ \t]*\n")
 #: One of these must occur before the costlier patterns of weak parts are tried; each weak pattern needs one.
 HINT = re.compile(r"://|[:=]", re.A)
@@ -56,8 +57,9 @@ def base_spans(text: str) -> list[tuple[int, int, str]]:
     return [(a, b, KINDS[k]) for a, b, k in out]
 
 
-def linked_spans(text: str, base: list[tuple[int, int, str]], reach: int = 200) -> list[tuple[int, int, str]]:
-    """Weak candidates that a complementary part in reach supports."""
+def linked_spans(text: str, base: list[tuple[int, int, str]], reach: int | None = 200) -> list[tuple[int, int, str]]:
+    """Weak candidates that a complementary part of their scope supports, in reach if there is one."""
+    reach = math.inf if reach is None else reach
     ids = [(m.start(1), m.end(1)) for m in WEAK_ID.finditer(text)]
     ends = [(m.start(), m.end()) for m in WEAK_ENDPOINT.finditer(text)]
     strong_ids = [(a, b) for a, b, k in base if k == "access"]
@@ -66,15 +68,11 @@ def linked_spans(text: str, base: list[tuple[int, int, str]], reach: int = 200)
         return []
     taken = sorted([*strong_ids, *strong_secrets, *ids, *ends])
     starts = [a for a, _ in taken]
-    longest = max(b - a for a, b in taken)
+    furthest = list(accumulate((b for _, b in taken), max))
 
     def covered(a: int, b: int) -> bool:
-        i = bisect_left(starts, a - longest)
-        while i < len(taken) and taken[i][0] < b:
-            if taken[i][1] > a:
-                return True
-            i += 1
-        return False
+        i = bisect_left(starts, b)
+        return i > 0 and furthest[i - 1] > a
 
     secrets = []
     for m in WEAK_SECRET.finditer(text):
@@ -110,7 +108,7 @@ def linked_spans(text: str, base: list[tuple[int, int, str]], reach: int = 200)
     return sorted(set(out), key=lambda s: (s[0], KINDS.index(s[2]), s[1]))
 
 
-def scan(text: str | None, reach: int = 200) -> tuple[list[tuple[int, int, str]], list[tuple[int, int, str]]]:
+def scan(text: str | None, reach: int | None = 200) -> tuple[list[tuple[int, int, str]], list[tuple[int, int, str]]]:
     """(base spans, all spans) of one text."""
     text = text or ""
     base = base_spans(text)
@@ -122,7 +120,7 @@ def joined(spans: list[tuple[int, int, str]]) -> str:
     return ",".join(f"{k}:{a}:{b}" for a, b, k in spans)
 
 
-def redact(text: str | None, reach: int = 200, mark: str = "[SECRET]") -> str | None:
+def redact(text: str | None, reach: int | None = 200, mark: str = "[SECRET]") -> str | None:
     """The text with every reported span replaced; overlapping spans become one mark."""
     if not text:
         return text
@@ -134,7 +132,7 @@ def redact(text: str | None, reach: int = 200, mark: str = "[SECRET]") -> str |
     return "".join([*out, text[at:]]) if at else text
 
 
-def find_secrets(docs: DataFrame, reach: int = 200) -> DataFrame:
+def find_secrets(docs: DataFrame, reach: int | None = None) -> DataFrame:
     """One row per document: doc_id, counts of base spans, their digest, and all spans."""
 
     def make():
@@ -153,7 +151,7 @@ def find_secrets(docs: DataFrame, reach: int = 200) -> DataFrame:
     return arrow_map(docs.select("doc_id", "text"), make, "doc_id long, n_assign long, n_access long, n_hex long, base_sha256 string, spans string")
 
 
-def redacted(docs: DataFrame, reach: int = 200, text: str = "text") -> DataFrame:
+def redacted(docs: DataFrame, reach: int | None = None, text: str = "text") -> DataFrame:
     """``docs`` with the secrets of ``text`` replaced; all columns stay, in order."""
     import pandas as pd
     from pyspark.sql import functions as F

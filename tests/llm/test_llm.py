@@ -230,6 +230,23 @@ def test_secret_rows_are_plain_pythons(spark, docs, texts, odd):
         assert got[d]["base_sha256"] == hashlib.sha256(line.encode()).hexdigest()
     assert secrets.find_secrets(odd).count() == odd.count() and secrets.redacted(odd).columns == odd.columns
     assert secrets.find_secrets(empty(odd)).count() == 0
+def test_secret_parts_have_no_longest(spark):
+    """Long parts are reported whole, and parts of one paragraph are linked however far apart, by the rows and the redaction."""
+    weak = "aB3dE5gH7jK9mN1pQ3sT5"
+    token, url, name = (weak * 15)[:300], "https://db.example.com/" + "x/" * 250, "n" * 300
+    made = [f"client_id: robot7 value {token} end", f"login={name} {url} {weak}", f"client_id: robot7 {'x ' * 3000}{weak} end", f"client_id: robot7 {'x ' * 150}\n\n{weak} end"]
+    df = spark.createDataFrame(list(enumerate(made)), "doc_id long, text string")
+    spans = {r["doc_id"]: r["spans"] for r in secrets.find_secrets(df).collect()}
+    place = lambda i, part, kind: f"{kind}:{made[i].index(part)}:{made[i].index(part) + len(part)}"
+    assert spans[0] == ",".join([place(0, "robot7", "weak_id"), place(0, token, "weak_secret")])
+    assert spans[1] == ",".join([place(1, name, "weak_id"), place(1, url, "weak_endpoint"), place(1, weak, "weak_secret")])
+    assert spans[2] == ",".join([place(2, "robot7", "weak_id"), place(2, weak, "weak_secret")])
+    assert spans[3] == ""
+    kept = {r["doc_id"]: r["text"] for r in secrets.redacted(df).collect()}
+    assert kept[0] == "client_id: [SECRET] value [SECRET] end" and kept[1] == "login=[SECRET] [SECRET] [SECRET]"
+    assert weak not in kept[2] and kept[3] == made[3]
+
+
 
 
 # 6
