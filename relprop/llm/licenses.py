@@ -5,7 +5,9 @@ words, winnowing keeps the smallest of each WINDOW neighbouring ones; they form
 A text's hashes are looked up at every place, so a passage that shares GRAM + WINDOW - 1 words with a template is found.
 Look-ups of one template on neighbouring diagonals are one candidate; the words around it are aligned with the template
 within BAND words of its diagonal (match 1, mismatch and gap -1 each, free ends in the text).  Matched words over the
-template's words is the coverage; the span runs from the first matched word to the last, in code points.
+template's words is the coverage; the span runs from the first matched word to the last, in code points.  What lies
+before and after a match in its candidate is aligned again, without the matched words, until no match is left, so that
+notices that repeat close together are all found.
 
 Matches of COVERAGE or more are reported, the best first where they overlap.  Null and empty texts have none.  Every
 place of a text is looked up and every candidate aligned; the templates are a fixed, small set or the caller's own.
@@ -14,6 +16,7 @@ place of a text is looked up and every candidate aligned; the templates are a fi
 from __future__ import annotations
 
 import re
+from bisect import bisect_left
 from collections import defaultdict
 
 import numpy as np
@@ -131,6 +134,23 @@ class Scanner:
         self.index = dict(self.index)
         self.pairs = {g[:2] for g in self.index}
 
+    def matches(self, words: list[str], t: int, group: list[tuple[int, int]]) -> list[tuple[float, int, int, int]]:
+        """(coverage, matched words, first place, place after the last) of every match of a candidate's seeds (diagonal, place)."""
+        out, body, todo, rest = [], self.bodies[t], [group], words
+        while todo:
+            now = todo.pop()
+            middle = sorted(d for d, _ in now)[len(now) // 2]
+            matched, first, last = align(rest, body, middle, self.band)
+            if matched and (cover := matched / len(body)) >= self.coverage:
+                out.append((cover, matched, first, last))
+                rest = list(words) if rest is words else rest
+                rest[first:last] = [None] * (last - first)
+                parts = [s for s in now if s[1] < first], [s for s in now if s[1] >= last]
+            else:
+                parts = ([s for s in now if abs(s[0] - middle) > self.band],)
+            todo += [part for part in parts if part]
+        return out
+
     def scan(self, text: str | None) -> list[tuple[str, float, int, int]]:
         """(license, coverage, start, end) in code points, by start."""
         if not text:
@@ -148,20 +168,17 @@ class Scanner:
             body, group = self.bodies[t], []
             for diagonal, i in sorted(at, key=lambda s: s[1]):
                 # A new candidate where the diagonal leaves the band or the text is past the template.
-                if group and (abs(diagonal - group[0]) > self.band or i - group[0] > len(body) + self.band):
+                if group and (abs(diagonal - group[0][0]) > self.band or i - group[0][0] > len(body) + self.band):
                     found.append((t, group))
                     group = []
-                group.append(diagonal)
+                group.append((diagonal, i))
             found.append((t, group))
-        best = []
-        for t, group in found:
-            matched, first, last = align(words, self.bodies[t], sorted(group)[len(group) // 2], self.band)
-            if (cover := matched / len(self.bodies[t])) >= self.coverage:
-                best.append((cover, matched, first, last, t))
+        best = [(cover, matched, first, last, t) for t, group in found for cover, matched, first, last in self.matches(words, t, group)]
         taken, out, places = [], [], [m.span() for m in WORD.finditer(text)] if best else []
         for cover, matched, first, last, t in sorted(best, key=lambda b: (-b[0] * b[1], b[2], b[4])):
-            if all(last <= a or first >= b for a, b in taken):
-                taken.append((first, last))
+            at = bisect_left(taken, (first, last))
+            if (at == len(taken) or last <= taken[at][0]) and (at == 0 or first >= taken[at - 1][1]):
+                taken.insert(at, (first, last))
                 out.append((self.names[t], round(cover, 6), places[first][0], places[last - 1][1]))
         return sorted(out, key=lambda m: (m[2], m[0]))
 

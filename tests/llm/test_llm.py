@@ -165,6 +165,15 @@ def test_licenses_found_and_placed(spark, docs, texts, odd):
     assert licenses.scan_licenses(odd).count() == 0 and licenses.scan_licenses(empty(odd)).count() == 0
 
 
+def test_repeated_notices_are_all_found():
+    scanner, line = licenses.Scanner(licenses.TEMPLATES), "Released under the MIT License."
+    for n in (2, 3, 7, 40):
+        text = "\n".join([line] * n)
+        assert [(a, b) for _, _, a, b in scanner.scan(text)] == [(i * (len(line) + 1), i * (len(line) + 1) + len(line) - 1) for i in range(n)]
+    mixed = [line, "Licensed under CC BY 4.0.", line, "Released under the well MIT License.", "Licensed under CC BY 4.0."]
+    assert [m[0] for m in scanner.scan(" ".join(mixed))] == ["MIT", "CC-BY-4.0", "MIT", "MIT", "CC-BY-4.0"]
+
+
 def test_alignment_bridges_edits():
     scan = licenses.Scanner(licenses.TEMPLATES)
     body = licenses.TEMPLATES["MIT"][3]
