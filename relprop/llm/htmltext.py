@@ -96,6 +96,14 @@ class _Blocks(HTMLParser):
             if tag in INLINE and self.path[i][0] not in INLINE:
                 break
 
+    def parse_marked_section(self, i, report=1):
+        """A malformed section is a bogus comment up to the next '>'."""
+        try:
+            k = super().parse_marked_section(i, report)
+        except (AssertionError, ValueError):
+            k = -1
+        return k if k >= 0 else self.parse_bogus_comment(i, 0)
+
     def handle_data(self, data):
         if not self.skip:
             self.buffer.append(data)
@@ -108,11 +116,8 @@ def blocks_of(page: str | None) -> list[tuple[str, tuple, float]]:
     if not page:
         return []
     parser = _Blocks()
-    try:
-        parser.feed(page)
-        parser.close()
-    except (AssertionError, ValueError):  # malformed declarations: what came before them stands
-        pass
+    parser.feed(page)
+    parser.close()
     parser.flush()
     return parser.blocks
 
@@ -135,9 +140,9 @@ def vectors(blocks: list[tuple[str, tuple, float]]) -> np.ndarray:
             for name in names:
                 x[i, _bucket("n", name, PATH_DIM)] = 1
         words = text.lower().split()
-        for w in words[:40]:  # a figure of the block; its text is kept whole
-            x[i, PATH_DIM + _bucket("w", w, WORD_DIM)] += 1.0 / max(4, min(40, len(words)))
-        letters = sum(c.isalpha() for c in text[:400]) / max(1, min(400, len(text)))
+        for w in words:
+            x[i, PATH_DIM + _bucket("w", w, WORD_DIM)] += 1.0 / max(4, len(words))
+        letters = sum(map(str.isalpha, text)) / max(1, len(text))
         x[i, PATH_DIM + WORD_DIM :] = (np.log1p(len(text)) / 6, np.log1p(len(words)) / 5, linked, letters, i / n, (n - i) / n, np.log1p(n) / 6, text[-1] in ".!?:")
     return x
 

@@ -406,6 +406,18 @@ def test_parser_blocks():
     assert [b[0] for b in htmltext.blocks_of("<![if x]>a<p>b")] == ["a", "b"] or htmltext.blocks_of("<![if x]>a<p>b")
 
 
+def test_parser_goes_on_behind_malformed_sections():
+    for section in ("<![foo bar]>", "<![ x>", "<![>", "<![if x>", "<![temp y>", "<![if !IE]>"):
+        assert [b[0] for b in htmltext.blocks_of(f"<p>a</p>{section}<p>b</p><p>c</p>")] == ["a", "b", "c"]
+
+
+def test_block_figures_are_of_the_whole_block():
+    """The 41st word on and the 401st character on count."""
+    short, long = ("a " * 40).strip(), ("a " * 200).strip()
+    one, two = (htmltext.vectors([(t, (("p", ()),), 0.0)])[0] for t in (long + " b" * 40, long + " 1" * 40))
+    assert (one != two).sum() >= 2 and htmltext.vectors([(short, (("p", ()),), 0.0)]).shape == (1, htmltext.INPUT)
+
+
 def test_labeller_on_new_pages(weights):
     rng, right, n = np.random.default_rng(77), 0, 0
     for _ in range(60):
