@@ -407,6 +407,14 @@ _EV = lambda s, d: tab(s, d, "events")
 query("range_join_events", "SELECT o_orderkey, count(*)::BIGINT AS n FROM orders JOIN lineitem ON l_orderkey < 200 AND l_extendedprice >= o_totalprice AND l_extendedprice < o_totalprice + 500 GROUP BY 1")(
     lambda s, d: joins.range_join(tab(s, d, "lineitem").filter("l_orderkey < 200").select("l_extendedprice"), tab(s, d, "orders").select("o_orderkey", F.col("o_totalprice").alias("lo"), (F.col("o_totalprice") + 500).alias("hi")), "l_extendedprice", "lo", "hi", 1000.0).groupBy("o_orderkey").agg(F.count("*").alias("n"))
 )
+@query("range_join_events_all")
+def range_join_events_all(s, d):
+    """All of lineitem with all of orders, equal prices as one row; range_join_events has the lines of the orders below 200."""
+    prices = tab(s, d, "lineitem").groupBy("l_extendedprice").agg(F.count("*").alias("lines"))
+    spans = tab(s, d, "orders").select("o_orderkey", F.col("o_totalprice").alias("lo"), (F.col("o_totalprice") + 500).alias("hi"))
+    return joins.range_join(prices, spans, "l_extendedprice", "lo", "hi", 1000.0).groupBy("o_orderkey").agg(F.sum("lines").alias("n"))
+
+
 query("asof_user_day", "SELECT e.event_id, (SELECT v.value FROM events v WHERE v.user_id = e.user_id AND v.event_type = 'view' AND v.ts <= e.ts ORDER BY v.ts DESC, v.event_id DESC LIMIT 1) AS last_view FROM events e WHERE e.event_type = 'purchase'")(
     lambda s, d: joins.asof_join(_EV(s, d).filter("event_type = 'purchase'").select("event_id", "user_id", "ts"), _EV(s, d).filter("event_type = 'view'").select("user_id", "ts", "value", F.col("event_id").alias("tie")), "user_id", "ts", "ts", "value", "last_view", "tie").select("event_id", "last_view")
 )

@@ -61,3 +61,15 @@ def test_zeroed_context_is_the_target_alone(chain):
     a = propagate.message(chain, "a", zero, params, fitted, "head.a", 1, "linear").orderBy("aid").collect()
     b = propagate.message(chain, "a", None, params, fitted, "head.a", 1, "linear").orderBy("aid").collect()
     assert [r["h_0"] for r in a] == pytest.approx([r["h_0"] for r in b])
+
+
+def test_range_join_takes_all_lines(spark, tmp_path):
+    """Against brute force: lines of high order keys count, equal prices as often as they occur."""
+    from relprop.queries import QUERIES
+
+    lines = [(1 + 37 * i % 900, float(100 * (i % 40))) for i in range(300)]
+    orders = [(i, 90.5 * i) for i in range(60)]
+    spark.createDataFrame(lines, "l_orderkey long, l_extendedprice double").write.parquet(f"{tmp_path}/lineitem.parquet")
+    spark.createDataFrame(orders, "o_orderkey long, o_totalprice double").write.parquet(f"{tmp_path}/orders.parquet")
+    want = {o: n for o, t in orders if (n := sum(t <= p < t + 500 for _, p in lines))}
+    assert {r["o_orderkey"]: r["n"] for r in QUERIES["range_join_events_all"](spark, str(tmp_path)).collect()} == want
