@@ -76,6 +76,22 @@ def khop_orders_k2(s, d):
     return parts[0].unionByName(parts[1]).unionByName(parts[2])
 
 
+@query(
+    "khop_orders_k2_all",
+    """WITH t AS (SELECT o_orderkey, o_custkey, o_orderkey % 7 AS batch_id FROM orders),
+    c AS (SELECT DISTINCT batch_id, o_custkey AS k FROM t WHERE o_custkey IN (SELECT c_custkey FROM customer)),
+    l AS (SELECT DISTINCT batch_id, l_orderkey, l_linenumber, l_partkey, l_suppkey FROM t JOIN lineitem ON l_orderkey = o_orderkey),
+    o AS (SELECT batch_id, o_orderkey AS k FROM t UNION SELECT batch_id, orders.o_orderkey FROM c JOIN orders ON orders.o_custkey = k)
+    SELECT batch_id::BIGINT AS batch_id, 'customer' AS tbl, count(*)::BIGINT AS n FROM c GROUP BY 1 UNION ALL SELECT batch_id::BIGINT, 'lineitem', count(*)::BIGINT FROM l GROUP BY 1 UNION ALL SELECT batch_id::BIGINT, 'orders', count(*)::BIGINT FROM o GROUP BY 1""",
+)
+def khop_orders_k2_all(s, d):
+    """Every order is a target, as in tasks.orders_task; khop_orders_k2 has one in a hundred."""
+    cat = star_catalog(s, d, ["orders", "customer", "lineitem"])
+    reach = graph.khop_subgraph(cat, "orders", cat.frame("orders").select((F.col("o_orderkey") % 7).alias("batch_id"), "o_orderkey"), 2)
+    parts = [df.groupBy("batch_id").agg(F.lit(t).alias("tbl"), F.count("*").alias("n")) for t, df in reach.items()]
+    return parts[0].unionByName(parts[1]).unionByName(parts[2])
+
+
 # Encoders.
 
 query("encode_dates_orders", "SELECT o_orderkey, year(o_orderdate)::BIGINT AS o_orderdate_year, month(o_orderdate)::BIGINT AS o_orderdate_month, day(o_orderdate)::BIGINT AS o_orderdate_day, (isodow(o_orderdate) - 1)::BIGINT AS o_orderdate_weekday FROM orders")(

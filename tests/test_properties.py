@@ -73,3 +73,11 @@ def test_range_join_takes_all_lines(spark, tmp_path):
     spark.createDataFrame(orders, "o_orderkey long, o_totalprice double").write.parquet(f"{tmp_path}/orders.parquet")
     want = {o: n for o, t in orders if (n := sum(t <= p < t + 500 for _, p in lines))}
     assert {r["o_orderkey"]: r["n"] for r in QUERIES["range_join_events_all"](spark, str(tmp_path)).collect()} == want
+
+
+def test_khop_takes_every_order(spark, sf):
+    from relprop.queries import QUERIES
+
+    got = QUERIES["khop_orders_k2_all"](spark, sf)
+    lines = spark.read.parquet(f"{sf}/lineitem.parquet").join(spark.read.parquet(f"{sf}/orders.parquet"), F.col("l_orderkey") == F.col("o_orderkey")).select("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey").distinct().count()
+    assert got.filter("tbl = 'lineitem'").agg(F.sum("n")).first()[0] == lines and got.filter("tbl = 'orders'").count() == 7
