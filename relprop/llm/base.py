@@ -39,11 +39,35 @@ def _arrow_schema(spark: SparkSession, ddl: str) -> pa.Schema:
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
-    """Use the cluster's spark.checkpoint.dir; make a folder only where none is set (tests, notebooks)."""
+    """Use the cluster's spark.checkpoint.dir; a folder of this machine only where Spark runs on this machine alone."""
     sc = spark.sparkContext
     if sc._jsc.sc().getCheckpointDir().isDefined():
         return
-    sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="ckpt-"))
+    folder = sc.getConf().get("spark.checkpoint.dir")
+    if not folder and not sc.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+    sc.setCheckpointDir(folder or tempfile.mkdtemp(prefix="ckpt-"))
+
+
+def shared_folder(spark: SparkSession) -> str:
+    ensure_checkpoint_dir(spark)
+    return spark.sparkContext._jsc.sc().getCheckpointDir().get()
+
+
+def fresh(taken: DataFrame | list[str], *names: str) -> list[str]:
+    """The names, each prolonged until no column of ``taken`` is called so (in either case)."""
+    used, out = {c.lower() for c in (taken.columns if isinstance(taken, DataFrame) else taken)}, []
+    for name in names:
+        while name.lower() in used:
+            name += "_"
+        used.add(name.lower())
+        out.append(name)
+    return out
+
+
+def remove_folder(spark: SparkSession, path: str) -> None:
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
 
 
 def cut(df: DataFrame) -> DataFrame:
@@ -60,29 +84,30 @@ def partitions_of(spark: SparkSession, at_least: int = 1) -> int:
     return max(at_least, int(spark.conf.get("spark.sql.shuffle.partitions")))
 
 
+#: Tables of ``dealt_table`` that are still there: name -> folder.
+_DEALT: dict[str, str] = {}
+
+
 def dealt_table(df: DataFrame, column: str, parts: int) -> DataFrame:
     """Write ``df`` as a bucketed table in the checkpoint folder and read it: joins on ``column`` leave its rows in place.
 
-    The rows are not shuffled: each task writes a file for each bucket it has rows of.
+    The rows are not shuffled: each task writes a file for each bucket it has rows of.  The table stays until
+    ``drop_dealt`` is called, as what reads it may be lazy.
     """
     import uuid
 
     spark = df.sparkSession
-    ensure_checkpoint_dir(spark)
     name = f"dealt_{uuid.uuid4().hex}"
-    path = f"{spark.sparkContext._jsc.sc().getCheckpointDir().get()}/{name}"
+    path = f"{shared_folder(spark)}/{name}"
     df.write.bucketBy(parts, column).option("path", path).saveAsTable(name)
-    return spark.table(name)
+    _DEALT[name] = path
+    out = spark.table(name)
+    out.dealt = name
+    return out
 
 
-def drop_dealt(df: DataFrame) -> None:
-    """Remove a table of ``dealt_table`` and its files."""
-    spark, path = df.sparkSession, None
-    for f in df.inputFiles()[:1]:
-        path = f.rsplit("/", 1)[0]
-    if path:
-        jvm = spark.sparkContext._jvm
-        name = path.rsplit("/", 1)[1]
+def drop_dealt(spark: SparkSession, df: DataFrame | None = None) -> None:
+    """Remove the table ``df`` of ``dealt_table`` with its files, or all such tables of this process."""
+    for name in [df.dealt] if df is not None else list(_DEALT):
         spark.sql(f"DROP TABLE IF EXISTS {name}")
-        p = jvm.org.apache.hadoop.fs.Path(path)
-        p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+        remove_folder(spark, _DEALT.pop(name))

@@ -5,7 +5,7 @@ item form a window; an item of fewer words is one window.  The windows' hashes a
 scanned once per window length: each position yields the hash of the words from there on, the hash join keeps the
 candidates and the words themselves are compared.
 
-The set is broadcast only up to BROADCAST_WINDOWS windows; beyond it the same join runs as a shuffled one.
+The set is broadcast only up to BROADCAST_WINDOWS windows of BROADCAST_BYTES bytes; beyond it the same join runs as a shuffled one.
 
 Null and empty texts, and texts without words, have no words and no hits.  Rows that repeat a doc_id are judged each
 by its own text.  A null doc_id is a value like any other.
@@ -16,8 +16,11 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .base import fresh
+
 WINDOW = 10
-BROADCAST_WINDOWS = 2_000_000
+#: Bounds of the broadcast set: windows, and bytes of their words.
+BROADCAST_WINDOWS, BROADCAST_BYTES = 1_000_000, 100_000_000
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 #: Between words, before and after A-Z are lower-cased.
 GAP_ANY = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
@@ -42,8 +45,8 @@ def bench_windows(bench: DataFrame, window: int = WINDOW) -> DataFrame:
 def hits(docs: DataFrame, bench: DataFrame, window: int = WINDOW) -> DataFrame:
     """doc_id, row_key, pos (from 0), len, item_id: verified occurrences of windows in documents."""
     grams = bench_windows(bench, window)
-    sizes = {r["len"]: r["n"] for r in grams.groupBy("len").agg(F.count("*").alias("n")).collect()}  # at most `window` rows
-    small = sum(sizes.values()) <= BROADCAST_WINDOWS
+    sizes = {r["len"]: r for r in grams.groupBy("len").agg(F.count("*").alias("n"), F.sum(F.octet_length(F.concat_ws(" ", "gram"))).alias("b")).collect()}  # at most `window` rows
+    small = sum(r["n"] for r in sizes.values()) <= BROADCAST_WINDOWS and sum(r["b"] for r in sizes.values()) <= BROADCAST_BYTES
     words = docs.select("doc_id", F.xxhash64("text").alias("row_key"), words_of(F.col("text")).alias("w"))
     out = None
     for size in sorted(sizes) or [window]:
@@ -98,17 +101,17 @@ def remove(docs: DataFrame, bench: DataFrame, window: int = WINDOW, mode: str =
 
     In mode "spans" a hit word goes together with the gap that follows it; all columns stay, in order.
     """
-    key = F.xxhash64("text")
+    ident, key, cuts = fresh(docs, "_hit_id", "_hit_key", "_spans")
     found = hits(docs, bench, window) if mode == "documents" else contamination(docs, bench, window).filter("n_hit > 0")
-    ids = found.select(F.col("doc_id").alias("_hit_id"), F.col("row_key").alias("_hit_key"), *([] if mode == "documents" else ["spans"])).distinct()
-    on = docs["doc_id"].eqNullSafe(F.col("_hit_id")) & (key == F.col("_hit_key"))
+    ids = found.select(F.col("doc_id").alias(ident), F.col("row_key").alias(key), *([] if mode == "documents" else [F.col("spans").alias(cuts)])).distinct()
+    on = docs["doc_id"].eqNullSafe(F.col(ident)) & (F.xxhash64(docs["text"]) == F.col(key))
     if mode == "documents":
         return docs.join(ids, on, "left_anti")
-    joined = docs.join(ids.withColumnRenamed("spans", "_spans"), on, "left")
+    joined = docs.join(ids, on, "left")
     gaps, words = F.split("text", WORD_ANY, -1), F.array_remove(F.split("text", GAP_ANY), "")
-    kept = F.transform(words, lambda w, i: F.when(F.exists("_spans", lambda s: (i >= s["pos"]) & (i < s["end"])), "").otherwise(F.concat(w, F.element_at(gaps, i + 2))))
-    text = F.when(F.col("_spans").isNull(), F.col("text")).otherwise(F.concat(F.element_at(gaps, 1), F.array_join(kept, "")))
-    return joined.withColumn("text", text).select(*docs.columns)
+    kept = F.transform(words, lambda w, i: F.when(F.exists(cuts, lambda s: (i >= s["pos"]) & (i < s["end"])), "").otherwise(F.concat(w, F.element_at(gaps, i + 2))))
+    text = F.when(F.col(cuts).isNull(), F.col("text")).otherwise(F.concat(F.element_at(gaps, 1), F.array_join(kept, "")))
+    return joined.withColumn("text", text).select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 SQL = r"""

@@ -5,12 +5,13 @@ of a few last letters (so that chunks of three words or so come back to the same
 keeps its separators: the chunks of a text, put together, are the text.  A chunk's hash covers its characters; a
 paragraph's covers its chunks' hashes, a section's its paragraphs', the root its sections'.
 
-A fingerprint is ``root:leaves``: 32 hex digits, then the KEPT smallest distinct chunk hashes, 8 hex digits each, in
-order.  Likeness of two fingerprints is 1 where the roots agree, else the share of common hashes among the KEPT smallest
-of both together: the Jaccard likeness of the chunk sets, exact up to KEPT chunks and a bottom-k estimate beyond.
+A fingerprint is ``root:nodes``: 32 hex digits, then the KEPT smallest distinct hashes of the tree's nodes below the
+root (chunks, paragraphs and sections), 8 hex digits each, in order.  Likeness of two fingerprints is 1 where the roots
+agree, else the share of common hashes among the KEPT smallest of both together: the Jaccard likeness of the two trees'
+nodes, exact up to KEPT nodes and a bottom-k estimate beyond, so that a fingerprint has a bounded size.
 
 Null texts are empty ones.  The empty text has one empty chunk.  Ties in doc_id are ordered by text hash; rows without
-a doc_id come last.
+a doc_id come last.  Rows that repeat are rows like any other; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -19,9 +20,12 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from .base import fresh
+
 KEPT = 128
 BUCKET = 256
-SECTION_END = r"(?<=\n[ \t]{0,8}\n)(?=[^\n])"
+#: A section with the blank lines behind it, whatever blanks they hold; it matches the empty end of a text as well.
+SECTION = r"(?s).*?(?:\n[ \t]*\n(?=[^\n])|\z)"
 PARAGRAPH_END = r"(?<=\n)(?=[^\n])"
 CHUNK_END = r"(?<=[.!?,;|*%&$#]\s)|(?<=[eoad]\s)"
 
@@ -49,20 +53,25 @@ def tree(text: Column) -> Column:
     def section(s: Column) -> Column:
         return F.transform(F.split(s, PARAGRAPH_END), paragraph)
 
-    sections = F.transform(F.split(plain, SECTION_END), section)
+    # The empty text is one empty section.
+    parts = F.array_remove(F.regexp_extract_all(plain, F.lit(SECTION), F.lit(0)), "")
+    sections = F.transform(F.when(plain == "", F.array(F.lit(""))).otherwise(parts), section)
     return F.transform(sections, lambda ps: F.struct(node_hash(F.transform(ps, lambda p: p["hash"])).alias("hash"), ps.alias("paragraphs")))
 
 
 def fingerprint_of(tree_col: Column, kept: int = KEPT) -> Column:
     root = node_hash(F.transform(tree_col, lambda s: s["hash"]))
-    leaves = F.flatten(F.transform(tree_col, lambda s: F.flatten(F.transform(s["paragraphs"], lambda p: p["leaves"]))))
-    low = F.array_sort(F.array_distinct(F.transform(leaves, lambda h: F.substring(h, 9, 8))))
+    inner = lambda h: F.upper(F.substring(h, 1, 8))
+    below = lambda p: F.concat(F.transform(p["leaves"], lambda h: F.substring(h, 9, 8)), F.array(inner(p["hash"])))
+    found = F.flatten(F.transform(tree_col, lambda s: F.concat(F.flatten(F.transform(s["paragraphs"], below)), F.array(inner(s["hash"])))))
+    low = F.array_sort(F.array_distinct(found))
     return F.lower(F.concat(root, F.lit(":"), F.array_join(F.slice(low, 1, kept), "")))
 
 
 def with_fingerprint(df: DataFrame, text: str = "text", out: str = "fingerprint") -> DataFrame:
     """Add the fingerprint of ``text``; the tree is computed once a row."""
-    return df.withColumn("_tree", tree(F.col(text))).withColumn(out, fingerprint_of(F.col("_tree"))).drop("_tree")
+    (held,) = fresh([*df.columns, out], "_tree")
+    return df.withColumn(held, tree(F.col(text))).withColumn(out, fingerprint_of(F.col(held))).drop(held)
 
 
 def likeness(a: Column, b: Column, kept: int = KEPT) -> Column:
@@ -81,23 +90,32 @@ def nodes(docs: DataFrame) -> DataFrame:
 
 
 def edits(pairs: DataFrame, old: str = "old", new: str = "new") -> DataFrame:
-    """Add changed: array<struct<section, paragraph>>, the branches in which two texts differ, top down.
+    """Add changed: array<struct<side, section, paragraph>>, the branches in which two texts differ, top down.
 
-    Sections with equal hashes are not descended into.  Places that only one of the texts has are reported too.
+    Sections are matched by their hashes wherever they stand and not descended into; of the others, paragraphs whose
+    hash the other text's unmatched sections do not hold are reported, of side "old" where they are gone and "new" where
+    they came.  Where nothing but order or repetition differs, the paragraphs that differ by position are reported.
     """
-    a, b = tree(F.col(old)), tree(F.col(new))
-    df = pairs.withColumn("_a", a).withColumn("_b", b)
+    names = fresh([*pairs.columns, "changed"], "_a", "_b", "_x", "_y", "_c")
+    a, b, x, y, c = names
+    hashes = lambda nodes: F.transform(nodes, lambda n: n["hash"])
+    places = lambda t: F.flatten(F.transform(t, lambda s, i: F.transform(s["paragraphs"], lambda p, j: F.struct(i.alias("section"), j.alias("paragraph"), s["hash"].alias("above"), p["hash"].alias("hash")))))
+    open_ = lambda own, other: F.filter(places(F.col(own)), lambda p: F.array_contains(F.array_except(hashes(F.col(own)), hashes(F.col(other))), p["above"]))
+    df = pairs.withColumn(a, tree(F.col(old))).withColumn(b, tree(F.col(new)))
+    df = df.withColumn(x, open_(a, b)).withColumn(y, open_(b, a))
+
+    def side(name: str, own: str, other: str) -> Column:
+        lost = F.array_except(hashes(F.col(own)), hashes(F.col(other)))
+        return F.transform(F.filter(own, lambda p: F.array_contains(lost, p["hash"])), lambda p: F.struct(F.lit(name).alias("side"), p["section"].alias("section"), p["paragraph"].alias("paragraph")))
 
-    def descend(i: Column) -> Column:
-        x, y = F.get("_a", i), F.get("_b", i)
-        px, py = F.coalesce(F.size(x["paragraphs"]), F.lit(0)), F.coalesce(F.size(y["paragraphs"]), F.lit(0))
-        at = F.sequence(F.lit(0), F.greatest(px, py) - 1)
-        differ = F.filter(at, lambda j: ~F.get(x["paragraphs"], j)["hash"].eqNullSafe(F.get(y["paragraphs"], j)["hash"]))
-        none = F.array().cast("array<struct<section:int,paragraph:int>>")
-        return F.when(x["hash"].eqNullSafe(y["hash"]), none).otherwise(F.transform(differ, lambda j: F.struct(i.alias("section"), j.alias("paragraph"))))
+    def by_place(name: str, own: str, other: str) -> Column:
+        mine, theirs = places(F.col(own)), places(F.col(other))
+        marked = F.transform(mine, lambda p, i: F.struct(F.lit(name).alias("side"), p["section"].alias("section"), p["paragraph"].alias("paragraph"), (~F.coalesce(F.get(theirs, i)["hash"] == p["hash"], F.lit(False))).alias("off")))
+        return F.transform(F.filter(marked, lambda m: m["off"]), lambda m: F.struct(m["side"].alias("side"), m["section"].alias("section"), m["paragraph"].alias("paragraph")))
 
-    places = F.transform(F.sequence(F.lit(0), F.greatest(F.size("_a"), F.size("_b")) - 1), descend)
-    return df.withColumn("changed", F.flatten(places)).drop("_a", "_b")
+    df = df.withColumn(c, F.concat(side("old", x, y), side("new", y, x)))
+    same = F.to_json(hashes(F.col(a))) == F.to_json(hashes(F.col(b)))
+    return df.withColumn("changed", F.when(same | (F.size(c) > 0), F.col(c)).otherwise(F.concat(by_place("old", a, b), by_place("new", b, a)))).drop(*names)
 
 
 def next_smaller(keys: DataFrame, span: int, width: int = BUCKET) -> DataFrame:
@@ -125,14 +143,14 @@ def with_next(docs: DataFrame, text: str = "text", out: str = "next_text", carry
     """
     base = docs.select("doc_id", F.coalesce(text, F.lit("")).alias(text), *carry)
     low, high = base.agg(F.min("doc_id"), F.max("doc_id")).first()
-    low, high = (low, high) if low is not None else (0, 0)
-    # Rows without an id get bucket -1 - x, behind all others, spread by their text.
-    b = F.coalesce(F.expr(f"(doc_id - {low}) div {BUCKET}"), F.lit(-1) - F.pmod(F.xxhash64(text), F.lit(BUCKET)))
+    low, high = (low // BUCKET, high // BUCKET) if low is not None else (0, 0)
+    # Rows without an id get bucket -1 - x, behind all others, spread by their text.  Quotients do not overflow.
+    b = F.coalesce(F.shiftright("doc_id", BUCKET.bit_length() - 1) - F.lit(low), F.lit(-1) - F.pmod(F.xxhash64(text), F.lit(BUCKET)))
     rows = base.select("doc_id", text, *carry, b.alias("b"))
     order = [F.desc_nulls_last("doc_id"), F.xxhash64(text)]
     inside = rows.withColumn("inner", F.lead(F.struct(text, *carry)).over(W.partitionBy("b").orderBy(*order)))
-    heads = rows.groupBy("b").agg(F.max_by(text, F.struct(F.coalesce("doc_id", F.lit(low)).alias("i"), (-F.xxhash64(text)).alias("t"))).alias("head"))
-    n = (high - low) // BUCKET + 1 + BUCKET
+    heads = rows.groupBy("b").agg(F.max_by(text, F.struct(F.coalesce("doc_id", F.lit(0)).alias("i"), F.bitwise_not(F.xxhash64(text)).alias("t"))).alias("head"))
+    n = high - low + 1 + BUCKET
     keys = rows.select((F.col("b") + BUCKET).alias("k")).distinct()
     ring = next_smaller(keys, n + 1)
     top = keys.agg(F.max("k").alias("top"))

@@ -6,12 +6,15 @@ of distinct n-grams, sharded by n-gram: counts of each order, the sums of each c
 n-gram that some block asked for.  The answers go back to where the blocks lie, and documents are scored there.  No model is
 collected or broadcast; what is gathered grows with the blocks.
 
-An n-gram is one long of ORDER characters of 15 bits.  Code points beyond 32,000 are folded into the codes above.
-Three start marks and an end mark belong to every text, so null and empty texts have one symbol to predict.
-
-A document is rejected where its perplexity is above its language's threshold: the QUANTILE of the trusted documents
-of that language, raised by MARGIN.  Languages without trusted documents take the threshold of all trusted documents;
-without any trusted text nothing is rejected.  A null language is one of its own.
+An n-gram is one long of ORDER symbols of 15 bits.  Code points below WIDE are symbols of their own; a higher one is a
+pair of symbols that no other code point has.  Three start marks and an end mark belong to every text, so null and
+empty texts have one symbol to predict.
+
+Of the trusted documents, one in FOLDS (by the hash of its text, so that copies stay together) is not counted.  Those
+held out give the thresholds: a document is rejected where its perplexity is above the QUANTILE of the held-out trusted
+documents of its language.  Languages with fewer than LEAST_HELD take the quantile of all held-out ones; without any
+nothing is rejected.  A null language is one of its own.  Rows that repeat, or share a doc_id, are scored each by its own text; an
+empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -23,29 +26,41 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .base import cut, dealt_table, drop_dealt, partitions_of
+from .base import cut, dealt_table, drop_dealt, fresh, partitions_of
 
 ORDER, CHAR = 4, 15
-FOLD, START, END = 32_000, 0, 1
+START, END = 0, 1
+#: Code points from WIDE up are pairs: one of LEADS, then one of 1024 symbols behind them.
+WIDE, LEADS = 30_000, 30_002
 BLOCK_CHARS = 12_000_000
-QUANTILE, MARGIN = 0.995, 1.2
+FOLDS, QUANTILE = 5, 0.995
+#: A language with fewer held-out texts takes the threshold of all languages: a quantile of few says little.
+LEAST_HELD = 30
+#: What a document is to the model: not trusted, trusted and counted, trusted and held out.
+OTHER, COUNTED, HELD = 0, 1, 2
 #: Up to so many trusted ids the flag is joined by broadcast (16 bytes each).
 BROADCAST_IDS = 2_000_000
 MAX_LANGS = 10_000
 
 
+def symbols_of(text: str | None) -> np.ndarray:
+    code = np.frombuffer((text or "").encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.int64)
+    wide = code >= WIDE
+    if not wide.any():
+        return code + 2
+    rest = code - WIDE
+    pairs = np.where(wide, LEADS + (rest >> 10), code + 2), LEADS + (0x110000 >> 10) + (rest & 1023)
+    return np.stack(pairs, 1).ravel()[np.stack([np.ones_like(wide), wide], 1).ravel()]
+
+
 def gram_keys(texts: list[str | None], order: int = ORDER) -> tuple[np.ndarray, np.ndarray]:
     """Keys of all positions of all texts, and the number of positions of each text."""
-    raw = [np.frombuffer((t or "").encode("utf-32-le", "surrogatepass"), np.uint32) for t in texts]
+    raw = [symbols_of(t) for t in texts]
     sizes = np.array([len(r) + 1 for r in raw], np.int64)
     pad = np.full(order - 1, START, np.int64)
     parts: list[np.ndarray] = []
     for r in raw:
-        code = r.astype(np.int64) + 2
-        big = code >= FOLD
-        if big.any():
-            code[big] = FOLD + code[big] % ((1 << CHAR) - FOLD)
-        parts += [pad, code, np.array([END])]
+        parts += [pad, r, np.array([END])]
     flat = np.concatenate(parts) if parts else np.zeros(0, np.int64)
     key = np.zeros(max(0, len(flat) - order + 1), np.int64)
     for i in range(order):
@@ -58,10 +73,10 @@ def gram_keys(texts: list[str | None], order: int = ORDER) -> tuple[np.ndarray,
     return key[keep], sizes
 
 
-def pack_blocks(docs: DataFrame, trusted: str, order: int = ORDER, block_chars: int = BLOCK_CHARS) -> DataFrame:
+def pack_blocks(docs: DataFrame, role: str, order: int = ORDER, block_chars: int = BLOCK_CHARS) -> DataFrame:
     """block, rows (Arrow stream), grams (compressed sorted keys and trusted counts)."""
     names = docs.columns
-    at_text, at_flag = names.index("text"), names.index(trusted)
+    at_text, at_flag = names.index("text"), names.index(role)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -78,7 +93,7 @@ def pack_blocks(docs: DataFrame, trusted: str, order: int = ORDER, block_chars:
             for at in range(0, batch.num_rows, 64):
                 part = batch.slice(at, 64)
                 texts = part.column(at_text).to_pylist()
-                flags = np.array([bool(f) for f in part.column(at_flag).to_pylist()])
+                flags = part.column(at_flag).to_numpy() == COUNTED
                 keys, sizes = gram_keys(texts, order)
                 use = np.repeat(flags, sizes)
                 k, inv = np.unique(keys, return_inverse=True)
@@ -191,22 +206,31 @@ def probabilities(asked: DataFrame, tables: dict[int, DataFrame], order: int = O
 
 
 def answers_of(grams: DataFrame, p: DataFrame) -> DataFrame:
-    """block, data: the log probabilities (base 2) of each block's n-grams, in the order of the block's keys."""
+    """block, data: the log probabilities (base 2) of each block's n-grams, in the order of the block's keys.
+
+    Rows come sorted, so a task holds the answers of one block.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: dict[int, list] = {}
+        now, held = None, []
+
+        def done():
+            return pa.RecordBatch.from_arrays([pa.array([now], pa.int64()), pa.array([np.concatenate(held).tobytes()], pa.binary())], names=["block", "data"])
+
         for batch in batches:
-            block, key, lp = (c.to_numpy(zero_copy_only=False) for c in batch.columns)
-            by = np.argsort(block, kind="stable")
-            for part in np.split(by, np.flatnonzero(np.diff(block[by])) + 1):
-                if len(part):
-                    held.setdefault(int(block[part[0]]), []).append((key[part], lp[part]))
-        for b, parts in held.items():
-            key, lp = (np.concatenate(x) for x in zip(*parts, strict=True))
-            yield pa.RecordBatch.from_arrays([pa.array([b], pa.int64()), pa.array([lp[np.argsort(key)].astype(np.float32).tobytes()], pa.binary())], names=["block", "data"])
+            block, lp = (batch.column(i).to_numpy(zero_copy_only=False) for i in (0, 2))
+            cuts = np.flatnonzero(np.diff(block)) + 1
+            for b, part in zip(block[np.r_[0, cuts]].tolist() if len(block) else [], np.split(lp, cuts), strict=False):
+                if b != now and held:
+                    yield done()
+                    held = []
+                now = b
+                held.append(part)
+        if held:
+            yield done()
 
     joined = grams.select("block", "key").join(p.select(F.col("key").alias("pk"), F.log2("p").cast("float").alias("lp")), F.col("key") == F.col("pk"))
-    return joined.select("block", "key", "lp").repartition(partitions_of(grams.sparkSession), "block").mapInArrow(run, "block long, data binary")
+    return joined.select("block", "key", "lp").repartition(partitions_of(grams.sparkSession), "block").sortWithinPartitions("block", "key").mapInArrow(run, "block long, data binary")
 
 
 def score_blocks(packed: DataFrame, answers: DataFrame, schema: str, order: int = ORDER) -> DataFrame:
@@ -235,17 +259,20 @@ def score_blocks(packed: DataFrame, answers: DataFrame, schema: str, order: int
     return packed.join(got, F.col("block") == F.col("b")).select("rows", "grams", "data").mapInArrow(run, schema)
 
 
-def mark_trusted(docs: DataFrame, labels: DataFrame, out: str) -> DataFrame:
-    """Flag the rows whose doc_id is labelled of good quality."""
-    ids = labels.filter((F.col("quality") == 1) & F.col("doc_id").isNotNull()).select(F.col("doc_id").alias("_id")).distinct()
+def with_role(docs: DataFrame, labels: DataFrame, out: str) -> DataFrame:
+    """Add ``out``: what each row, by the label of its doc_id and the hash of its text, is to the model."""
+    (ident,) = fresh(docs, "_id")
+    ids = labels.filter((F.col("quality") == 1) & F.col("doc_id").isNotNull()).select(F.col("doc_id").alias(ident)).distinct()
     ids = F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
-    return docs.join(ids, docs["doc_id"] == F.col("_id"), "left").select(*[docs[c] for c in docs.columns], F.col("_id").isNotNull().alias(out))
+    held = F.pmod(F.xxhash64(docs["text"], F.lit("fold")), F.lit(FOLDS)) == 0
+    role = F.when(F.col(ident).isNull(), OTHER).when(held, HELD).otherwise(COUNTED)
+    return docs.join(ids, docs["doc_id"] == F.col(ident), "left").select(*[docs[f"`{c}`"] for c in docs.columns], role.alias(out))
 
 
-def with_perplexity(docs: DataFrame, labels: DataFrame, trusted: str = "trusted", out: str = "perplexity", order: int = ORDER, block_chars: int = BLOCK_CHARS) -> tuple[DataFrame, DataFrame]:
-    """``docs`` with two more columns, trusted and perplexity; and the table of packed blocks that it reads."""
-    rows = mark_trusted(docs, labels, trusted)
-    packed = dealt_table(pack_blocks(rows, trusted, order, block_chars), "block", partitions_of(docs.sparkSession))
+def with_perplexity(docs: DataFrame, labels: DataFrame, role: str = "role", out: str = "perplexity", order: int = ORDER, block_chars: int = BLOCK_CHARS) -> tuple[DataFrame, DataFrame]:
+    """``docs`` with two more columns, role and perplexity; and the table of packed blocks that it reads."""
+    rows = with_role(docs, labels, role)
+    packed = dealt_table(pack_blocks(rows, role, order, block_chars), "block", partitions_of(docs.sparkSession))
     grams = grams_of(packed)
     tables = count_tables(grams, order)
     asked = grams.select("key").distinct()
@@ -254,39 +281,41 @@ def with_perplexity(docs: DataFrame, labels: DataFrame, trusted: str = "trusted"
     return score_blocks(packed, answers, schema, order), packed
 
 
-def thresholds(scored: DataFrame, quantile: float = QUANTILE, margin: float = MARGIN) -> tuple[DataFrame, float | None]:
-    """lang, threshold of each language that has trusted documents; the threshold of all of them."""
-    level = F.percentile_approx("perplexity", quantile, 10_000) * margin
-    trusted = scored.filter("trusted")
-    return trusted.groupBy("lang").agg(level.alias("threshold")), trusted.agg(level).first()[0]
+def thresholds(scored: DataFrame, quantile: float = QUANTILE) -> tuple[DataFrame, float | None]:
+    """lang, threshold of each language that has LEAST_HELD held-out trusted documents; the threshold of all of them."""
+    level = F.percentile_approx("perplexity", quantile, 10_000)
+    held = scored.filter(F.col("role") == HELD)
+    by_lang = held.groupBy("lang").agg(level.alias("threshold"), F.count("*").alias("n")).filter(F.col("n") >= LEAST_HELD)
+    return by_lang.select("lang", "threshold"), held.agg(level).first()[0]
 
 
-def judged(scored: DataFrame, quantile: float = QUANTILE, margin: float = MARGIN) -> DataFrame:
-    """Add threshold and keep to scored rows (lang, trusted, perplexity)."""
-    by_lang, overall = thresholds(scored, quantile, margin)
-    by_lang = cut(by_lang).select(F.col("lang").alias("_lang"), "threshold")
+def judged(scored: DataFrame, small: DataFrame, perplexity: str, threshold: str, keep: str, quantile: float = QUANTILE) -> DataFrame:
+    """Add threshold and keep to scored rows.  ``small``: lang, role, perplexity of the same rows."""
+    (lang,) = fresh([*scored.columns, threshold, keep], "_lang")
+    by_lang, overall = thresholds(small, quantile)
+    by_lang = cut(by_lang).select(F.col("lang").alias(lang), F.col("threshold").alias(threshold))
     by_lang = F.broadcast(by_lang) if by_lang.count() <= MAX_LANGS else by_lang
-    level = F.coalesce("threshold", F.lit(overall).cast("double"))
-    rows = scored.join(by_lang, scored["lang"].eqNullSafe(F.col("_lang")), "left")
-    return rows.select(*[scored[c] for c in scored.columns], level.alias("threshold"), F.coalesce(F.col("perplexity") <= level, F.lit(True)).alias("keep"))
+    level = F.coalesce(F.col(threshold), F.lit(overall).cast("double"))
+    rows = scored.join(by_lang, scored["lang"].eqNullSafe(F.col(lang)), "left")
+    return rows.select(*[scored[f"`{c}`"] for c in scored.columns], level.alias(threshold), F.coalesce(F.col(perplexity) <= level, F.lit(True)).alias(keep))
 
 
 def classify(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """The registered query: doc_id, lang, trusted, perplexity, threshold, keep."""
+    """The registered query: doc_id, lang, trusted, held_out (trusted, but not counted), perplexity, threshold, keep."""
     scored, packed = with_perplexity(docs.select("doc_id", "lang", "text"), labels)
     scored = cut(scored.drop("text"))
-    drop_dealt(packed)
-    return judged(scored)
+    drop_dealt(docs.sparkSession, packed)
+    out = judged(scored, scored, "perplexity", "threshold", "keep")
+    return out.select("doc_id", "lang", (F.col("role") > OTHER).alias("trusted"), (F.col("role") == HELD).alias("held_out"), "perplexity", "threshold", "keep")
 
 
 def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """The rows of ``docs`` that are not rejected, all columns."""
-    own = docs.select(*[F.col(c).alias(c) for c in docs.columns])
-    trusted, score = (next(n for n in (base, *(f"{base}_{i}" for i in range(99))) if n not in docs.columns) for base in ("trusted", "perplexity"))
-    scored, _ = with_perplexity(own, labels, trusted, score)  # read once for the thresholds, once for the rows
-    small = scored.select("lang", F.col(trusted).alias("trusted"), F.col(score).alias("perplexity"))
-    by_lang, overall = thresholds(small)
-    by_lang = cut(by_lang).select(F.col("lang").alias("_lang"), F.col("threshold").alias("_threshold"))
-    by_lang = F.broadcast(by_lang) if by_lang.count() <= MAX_LANGS else by_lang
-    level = F.coalesce("_threshold", F.lit(overall).cast("double"))
-    return scored.join(by_lang, scored["lang"].eqNullSafe(F.col("_lang")), "left").filter(F.coalesce(F.col(score) <= level, F.lit(True))).select(*docs.columns)
+    """The rows of ``docs`` that are not rejected, all columns.
+
+    The result reads a table in the checkpoint folder; ``base.drop_dealt`` removes it once the result is written.
+    """
+    own = docs.select(*[F.col(f"`{c}`").alias(c) for c in docs.columns])
+    role, score, threshold, keep = fresh(docs, "role", "perplexity", "threshold", "keep")
+    scored, _ = with_perplexity(own, labels, role, score)  # read once for the thresholds, once for the rows
+    small = scored.select("lang", F.col(role).alias("role"), F.col(score).alias("perplexity"))
+    return judged(scored, small, score, threshold, keep).filter(F.col(keep)).select(*[F.col(f"`{c}`") for c in docs.columns])

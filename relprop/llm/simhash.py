@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import arrow_map, cut, partitions_of
+from .base import arrow_map, cut, fresh, partitions_of
 from .components import components
 
 BITS, BUDGET, SHINGLE, SEED = 64, 3, 3, 42
@@ -58,12 +58,12 @@ def fingerprints_of(texts: list[str | None], size: int = SHINGLE) -> np.ndarray:
 
 
 def with_fingerprint(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
-    """doc_id, fp (the 64 bits as a long) of every row."""
+    """doc_id, th (hash of the text), fp (the 64 bits as a long) of every row."""
 
     def make():
-        return lambda cols: [cols[0], fingerprints_of(cols[1], size).view(np.int64).tolist()]
+        return lambda cols: [cols[0], cols[2], fingerprints_of(cols[1], size).view(np.int64).tolist()]
 
-    return arrow_map(docs.select("doc_id", "text"), make, "doc_id long, fp long")
+    return arrow_map(docs.select("doc_id", "text", F.xxhash64("text")), make, "doc_id long, th long, fp long")
 
 
 def local_components(n: int, a: np.ndarray, b: np.ndarray, label: np.ndarray | None = None) -> np.ndarray:
@@ -215,38 +215,45 @@ def _turn(fp: np.ndarray, by: int) -> np.ndarray:
 
 
 def near_duplicates(docs: DataFrame, size: int = SHINGLE, budget: int = BUDGET, hot: int = HOT) -> DataFrame:
-    """doc_id, fp, component_id (smallest doc_id reachable over links) of every row."""
+    """doc_id, th (hash of the text), fp, root (a fingerprint), component_id (smallest doc_id reachable over links) of every row."""
     marked = cut(with_fingerprint(docs, size))
     first = marked.groupBy("fp").agg(F.min("doc_id").alias("least"))
     linked = components(links(first.select("fp"), budget, hot))
     rooted = first.join(linked, F.col("fp") == F.col("node"), "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     ids = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
-    by_fp = rooted.join(ids, "root").select(F.col("fp").alias("_fp"), "component_id")
-    return marked.join(by_fp, F.col("fp") == F.col("_fp")).select("doc_id", "fp", "component_id")
+    by_fp = rooted.join(ids, "root").select(F.col("fp").alias("_fp"), "root", "component_id")
+    return marked.join(by_fp, F.col("fp") == F.col("_fp")).select("doc_id", "th", "fp", "root", "component_id")
 
 
 def summary(docs: DataFrame) -> DataFrame:
-    """The digest of the registered query."""
+    """The digest of the registered query.  Rows without a doc_id are rows like any other; a component of such rows alone has a null id."""
     return near_duplicates(docs).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
 def deduplicate(docs: DataFrame, size: int = SHINGLE, budget: int = BUDGET) -> DataFrame:
-    """The first document of each group, by doc_id."""
+    """One document of each group; see ``keep_first``."""
     return keep_first(docs, near_duplicates(docs, size, budget))
 
 
 def keep_first(docs: DataFrame, groups: DataFrame) -> DataFrame:
-    """Rows whose doc_id is their group's component_id; rows that repeat it, and null ids, are settled by text hash.
+    """One row of each group: the smallest doc_id, those without one last; of different texts of one doc_id the one with
+    the smallest hash; of rows equal in both any one.  All columns stay.
 
-    ``groups`` has doc_id and component_id of every row.  Only rows of an id that repeats are dealt out once more.
+    ``groups`` has doc_id, th (xxhash64 of the text) and root (any name of the group) of every row.  Documents that go
+    are looked up by id and text hash; only the keys of what goes and of rows that repeat travel, not the texts, where
+    these keys are few enough to be broadcast.
     """
     from pyspark.sql import Window as W
 
-    first = F.col("doc_id").eqNullSafe(F.col("component_id"))
-    marks = groups.groupBy("doc_id").agg(F.max(first).alias("_first"), F.count("*").alias("_rows")).filter("_first").select(F.col("doc_id").alias("_keep"), (F.col("_rows") > 1).alias("_many"))
-    kept = docs.join(marks, docs["doc_id"].eqNullSafe(F.col("_keep")))
-    # Rows of one doc_id are repeats: few, save for null, which is spread by its text first.
-    key = [F.col("doc_id"), F.when(F.col("doc_id").isNull(), F.xxhash64("text"))]
-    w = W.partitionBy(*key).orderBy(F.xxhash64(*[F.col(c) for c in docs.columns]))
-    many = kept.filter("_many").withColumn("_n", F.row_number().over(w)).filter("_n = 1")
-    return kept.filter("not _many").select(*docs.columns).unionByName(many.select(*docs.columns))
+    ident, text_hash, many, turn = fresh(docs, "_id", "_th", "_many", "_turn")
+    rows = groups.groupBy("root", "doc_id", "th").agg(F.count("*").alias("n"))
+    first = rows.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "th")).alias("f")).select(F.col("root").alias("_root"), "f")
+    same = F.col("doc_id").eqNullSafe(F.col("f.doc_id")) & (F.col("th") == F.col("f.th"))
+    marks = rows.join(first, F.col("root") == F.col("_root")).select(F.col("doc_id").alias(ident), F.col("th").alias(text_hash), same.alias("_first"), (F.col("n") > 1).alias(many))
+    marks = cut(marks.filter(f"not _first or `{many}`").select(ident, text_hash, (F.col("_first") & F.col(many)).alias(many)))
+    on = docs["doc_id"].eqNullSafe(F.col(ident)) & (F.xxhash64(docs["text"]) == F.col(text_hash))
+    repeated = docs.join(marks.filter(F.col(many)), on, "left_semi")
+    plain = [F.col(f"`{f.name}`") for f in docs.schema if "map<" not in f.dataType.simpleString()]  # maps have no hash
+    w = W.partitionBy(F.col("doc_id"), F.xxhash64("text")).orderBy(F.xxhash64(*plain))
+    one = repeated.withColumn(turn, F.row_number().over(w)).filter(F.col(turn) == 1).drop(turn)
+    return docs.join(marks, on, "left_anti").unionByName(one)

@@ -6,7 +6,11 @@ occurrence of a seed, neighbouring starts with one seed form a context (their by
 start included), and equal strings meet wherever contexts of equal seeds meet.  Contexts are dealt by seed; each start
 is in exactly one context, so nothing is compared with itself and nothing is missed.
 
-A task gets, from each reading task, a shard of contexts.  Seeds that occur once are done with; equal contexts are one
+A reading task holds some megabytes of text at a time.  Of equal contexts among them one is dealt and all are reported,
+as all their strings repeat; so a line that every text holds, or a long run of one byte, is dealt once for each such
+portion, not once for each place.  A longer text is read in portions that share LENGTH - 1 bytes.
+
+A task gets, from each portion, a shard of contexts.  Seeds that occur once are done with; equal contexts are one
 with a count, and more than one of them means that all their strings repeat.  Of what is left every shard gets its own
 suffix order and transform (one doubling sort of a small piece of text), and the shards' transforms are merged: the
 interleave of all shards, at first one shard behind the other, is refined by stable passes over the preceding symbols,
@@ -17,7 +21,9 @@ suffix of the whole is sorted again.
 Equal strings of two contexts have one seed; strings that are equal in spite of different seeds do not occur, so the
 contexts of all seeds of a task are merged at once.
 
-Null and empty texts, and those shorter than LENGTH bytes, lose nothing.  Texts are taken as UTF-8.
+Null and empty texts, and those shorter than LENGTH bytes, lose nothing; an empty table gives an empty result.  Texts
+are taken as UTF-8.  Rows are told apart by doc_id, null included, and 64 bits of their text's hash; rows equal in both
+have one text and lose the same bytes, all of those that are covered.
 """
 
 from __future__ import annotations
@@ -30,7 +36,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import arrow_map
+from .base import arrow_map, fresh
 
 LENGTH, SEED_BYTES = 200, 32
 MARK = 0xFF
@@ -178,50 +184,93 @@ def _spans(mask: np.ndarray, offset: int, length: int) -> list[tuple[int, int]]:
 
 
 def row_key(text: str = "text"):
-    """32 bits of a text's hash: tells rows of one doc_id apart."""
-    return F.xxhash64(text).bitwiseAND(F.lit(0xFFFFFFFF))
+    """A text's hash: tells rows of one doc_id apart."""
+    return F.xxhash64(text)
+
+
+def equals(flat: np.ndarray, at: np.ndarray, wide: np.ndarray, length: int, room: int = 1 << 22) -> np.ndarray:
+    """For each context (first byte, number of bytes) the first one that is equal to it.
+
+    Found by hashes of four stretches that cover it together, then compared byte by byte, ``room`` bytes at a time.
+    """
+    if not len(at):
+        return at
+    block = 1 << (length.bit_length() - 1)
+    h, key = seed_hashes(flat, block), wide.astype(np.uint64)
+    for j in range(4):
+        key = (key * np.uint64(0x9E3779B97F4A7C15) ^ h[at + (wide - block) * j // 3]) * np.uint64(0xBF58476D1CE4E5B9)
+        key ^= key >> np.uint64(31)
+    _, index, inverse = np.unique(key, return_index=True, return_inverse=True)
+    first = index[inverse]
+    again = np.flatnonzero(first != np.arange(len(at)))
+    for part in np.array_split(again, max(1, int(wide[again].sum()) // room)):
+        same = wide[part] == wide[first[part]]
+        first[part[~same]] = part[~same]
+        part = part[same]
+        if len(part):
+            ends = np.cumsum(wide[part])
+            within = np.arange(ends[-1]) - np.repeat(ends - wide[part], wide[part])
+            equal = flat[np.repeat(at[part], wide[part]) + within] == flat[np.repeat(at[first[part]], wide[part]) + within]
+            other = part[~np.logical_and.reduceat(equal, ends - wide[part])]
+            first[other] = other
+    return first
 
 
 def pack_meta(seed: np.ndarray, ids: np.ndarray, keys: np.ndarray, start: np.ndarray, count: np.ndarray) -> bytes:
     """Columns one behind the other, in few bytes.  Of a seed 32 bits do: contexts that share them by chance are merely
     compared for nothing."""
     low = (seed >> np.uint64(32)).astype(np.uint32)
-    return b"".join([low.tobytes(), np.diff(ids, prepend=np.int64(0)).tobytes(), keys.astype(np.uint32).tobytes(), start.astype(np.uint32).tobytes(), count.astype(np.uint16).tobytes()])
+    return b"".join([low.tobytes(), np.diff(ids, prepend=np.int64(0)).tobytes(), keys.tobytes(), start.astype(np.uint32).tobytes(), count.astype(np.uint32).tobytes()])
 
 
 def unpack_meta(data: bytes) -> np.ndarray:
     """Rows: seed, doc_id, row_key, first start, number of starts."""
-    n = len(data) // 22
-    parts = np.split(np.frombuffer(data, np.uint8), np.cumsum([4 * n, 8 * n, 4 * n, 4 * n]))
-    kinds = (np.uint32, np.int64, np.uint32, np.uint32, np.uint16)
+    n = len(data) // 28
+    parts = np.split(np.frombuffer(data, np.uint8), np.cumsum([4 * n, 8 * n, 8 * n, 4 * n]))
+    kinds = (np.uint32, np.int64, np.int64, np.uint32, np.uint32)
     seed, ids, keys, start, count = (p.view(k).astype(np.int64) for p, k in zip(parts, kinds, strict=True))
     return np.stack([seed, np.cumsum(ids), keys, start, count])
 
 
 def deal(docs: DataFrame, buckets: int, length: int = LENGTH) -> DataFrame:
-    """bucket, meta, data: the contexts of each reading task, by bucket of their seed."""
+    """bucket, meta, data: the contexts of each portion, by bucket of their seed; and, without data, the runs that equal
+    contexts of a portion cover (as doc_id, row_key, start, number of bytes), in any bucket."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import zstandard
+        from pyspark import TaskContext
 
         pack = zstandard.ZstdCompressor(level=3)
         held: list[tuple] = []
-        size = 0
+        size, turn = 0, TaskContext.get().partitionId()
+
+        def row(bucket: int, meta: bytes, data: bytes | None) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array([bucket], pa.int64()), pa.array([pack.compress(meta)], pa.binary()), pa.array([data], pa.binary())], names=["bucket", "meta", "data"])
 
         def flush():
             flat, seed, owner, start, count, at = contexts_of([h[2] for h in held], length)
-            ids = np.array([h[0] for h in held], np.int64)[owner]
-            keys = np.array([h[1] for h in held], np.int64)[owner]
+            if not len(at):
+                return
+            ids, keys, offset = (np.array([h[i] for h in held], np.int64)[owner] for i in (0, 1, 3))
+            start, wide = start + offset, count + length - 1
+            first = equals(flat, at, wide, length)
+            mine = first == np.arange(len(at))
+            known = np.flatnonzero(np.isin(first, first[~mine]))
+            if len(known):
+                # Contexts lie in order of their starts, and so of their ends.
+                a, e, o = start[known], (start + wide)[known], owner[known]
+                new = np.flatnonzero(np.r_[True, (o[1:] != o[:-1]) | (a[1:] > e[:-1])])
+                last = np.r_[new[1:], len(known)] - 1
+                at_run = known[new]
+                yield row(turn % buckets, pack_meta(seed[at_run], ids[at_run], keys[at_run], a[new], e[last] - a[new]), None)
             bucket = (seed >> np.uint64(1)) % np.uint64(buckets)  # smallest hashes crowd the low numbers: the rest of the division does not
-            by = np.argsort(bucket, kind="stable")
-            cuts = np.flatnonzero(np.r_[True, bucket[by][1:] != bucket[by][:-1]]) if len(by) else []
-            for mine in np.split(by, cuts[1:]) if len(by) else []:
-                wide = count[mine] + length - 1
-                ends = np.cumsum(wide)
-                byte = flat[np.repeat(at[mine] - (ends - wide), wide) + np.arange(ends[-1])]
-                meta = pack_meta(seed[mine], ids[mine], keys[mine], start[mine], count[mine])
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array([int(bucket[mine[0]])], pa.int64()), pa.array([pack.compress(meta)], pa.binary()), pa.array([pack.compress(byte.tobytes())], pa.binary())], names=["bucket", "meta", "data"])
+            by = np.flatnonzero(mine)
+            by = by[np.argsort(bucket[by], kind="stable")]
+            cuts = np.flatnonzero(bucket[by][1:] != bucket[by][:-1]) + 1
+            for some in np.split(by, cuts):
+                ends = np.cumsum(wide[some])
+                byte = flat[np.repeat(at[some] - (ends - wide[some]), wide[some]) + np.arange(ends[-1])]
+                yield row(int(bucket[some[0]]), pack_meta(seed[some], ids[some], keys[some], start[some], count[some]), pack.compress(byte.tobytes()))
 
         for batch in batches:
             for at in range(0, batch.num_rows, 64):
@@ -229,11 +278,12 @@ def deal(docs: DataFrame, buckets: int, length: int = LENGTH) -> DataFrame:
                 for i, k, t in zip(*(c.to_pylist() for c in part.columns), strict=True):
                     if t is None or len(data := t.encode("utf-8", "surrogatepass")) < length:
                         continue
-                    held.append((NO_ID if i is None else i, k, data))
-                    size += len(data)
-                if size >= FLUSH_BYTES:
-                    yield from flush()
-                    held, size = [], 0
+                    for begin in range(0, len(data) - length + 1, FLUSH_BYTES):
+                        held.append((NO_ID if i is None else i, k, data[begin : begin + FLUSH_BYTES + length - 1], begin))
+                        size += len(held[-1][2])
+                        if size >= FLUSH_BYTES:
+                            yield from flush()
+                            held, size, turn = [], 0, turn + 7919
         if held:
             yield from flush()
 
@@ -307,8 +357,10 @@ def repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
             for b, m, d in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 by_bucket.setdefault(b, []).append((m, d))
         for b in list(by_bucket):
-            shards = [(unpack_meta(unpack.decompress(m)), np.frombuffer(unpack.decompress(d), np.uint8)) for m, d in by_bucket.pop(b)]
-            rows = list(resolve(shards, length))
+            got = [(unpack_meta(unpack.decompress(m)), d) for m, d in by_bucket.pop(b)]
+            shards = [(m, np.frombuffer(unpack.decompress(d), np.uint8)) for m, d in got if d is not None]
+            rows = [r for m, d in got if d is None for r in zip(m[1].tolist(), m[2].tolist(), m[3].tolist(), (m[3] + m[4]).tolist(), strict=True)]
+            rows += resolve(shards, length) if shards else []
             if rows:
                 i, k, a, e = zip(*rows, strict=True)
                 yield pa.RecordBatch.from_arrays([pa.array([None if x == NO_ID else x for x in i], pa.int64()), pa.array(k), pa.array(a), pa.array(e)], names=["doc_id", "row_key", "start", "end"])
@@ -321,11 +373,6 @@ def spans(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     return repeats(docs, length).groupBy("doc_id", "row_key").agg(F.sort_array(F.collect_set(F.struct("start", "end"))).alias("spans"))
 
 
-def _with_spans(docs: DataFrame, length: int) -> DataFrame:
-    found = spans(docs, length).select(F.col("doc_id").alias("_id"), F.col("row_key").alias("_key"), "spans")
-    return docs.join(found, docs["doc_id"].eqNullSafe(F.col("_id")) & (row_key() == F.col("_key")), "left")
-
-
 def cut_out(data: bytes, ranges) -> tuple[bytes, int, int]:
     """(what is left, bytes removed, maximal runs removed)."""
     kept, at, gone, runs = [], 0, 0, 0
@@ -350,7 +397,10 @@ def remove(docs: DataFrame, length: int = LENGTH) -> DataFrame:
         return pd.Series([t if r is None or t is None else cut_out(t.encode("utf-8"), [(x["start"], x["end"]) for x in r])[0].decode("utf-8", "ignore") for t, r in zip(texts, ranges, strict=True)])
 
     run.__annotations__ = {"texts": pd.Series, "ranges": pd.Series, "return": pd.Series}
-    return _with_spans(docs, length).withColumn("text", F.pandas_udf(run, "string")(F.col("text"), F.col("spans"))).select(*docs.columns)
+    ident, key, ranges = fresh(docs, "_id", "_key", "_spans")
+    found = spans(docs, length).select(F.col("doc_id").alias(ident), F.col("row_key").alias(key), F.col("spans").alias(ranges))
+    joined = docs.join(found, docs["doc_id"].eqNullSafe(F.col(ident)) & (F.xxhash64(docs["text"]) == F.col(key)), "left")
+    return joined.withColumn("text", F.pandas_udf(run, "string")(F.col("text"), F.col(ranges))).select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def summary(docs: DataFrame, length: int = LENGTH) -> DataFrame:

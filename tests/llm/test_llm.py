@@ -54,7 +54,8 @@ def no_labels(spark):
 
 def kneser_ney(trusted, asked, order=4):
     """Textbook recursion over dictionaries."""
-    pad = lambda t: [0] * (order - 1) + [ord(c) + 2 for c in t] + [1]
+    symbols = lambda o: [o + 2] if o < 30_000 else [30_002 + (o - 30_000) // 1024, 31_090 + (o - 30_000) % 1024]
+    pad = lambda t: [0] * (order - 1) + [x for c in t for x in symbols(ord(c))] + [1]
     counts = {order: Counter(tuple(s[i : i + order]) for s in map(pad, trusted) for i in range(len(s) - order + 1))}
     for k in range(order - 1, 0, -1):
         counts[k] = Counter(g[1:] for g in counts[k + 1])
@@ -84,13 +85,21 @@ def kneser_ney(trusted, asked, order=4):
 
 
 def test_perplexity_is_the_textbooks(spark):
-    rows = [(i, t, "en") for i, t in enumerate(["the cat sat", "the dog sat on the mat", "a cat and a dog", "zzz qqq", "", None, "the the the cat", "\U0001f600 odd"])]
+    rows = [(i, t, "en") for i, t in enumerate(["the cat sat", "the dog sat on the mat", "a cat and a dog", "zzz qqq", "", None, "the the the cat", "\U0001f600 odd 각꿔 \ud7a3", "\U0001f600 even 각"])]
     df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
-    lab = spark.createDataFrame([(0, 1), (1, 1), (2, 1), (3, 0)], "doc_id long, quality int")
-    got = {r["doc_id"]: r["perplexity"] for r in quality.with_perplexity(df, lab, block_chars=20)[0].collect()}
-    fold = lambda t: None if t is None else "".join(chr(o) if (o := ord(c)) + 2 < quality.FOLD else chr(quality.FOLD + (o + 2) % (2**15 - quality.FOLD) - 2) for c in t)
-    want = kneser_ney([rows[i][1] for i in range(3)], [fold(t) for _, t, _ in rows])
-    assert all(abs(got[i] / w - 1) < 1e-5 for i, w in enumerate(want)), (got, want)
+    lab = spark.createDataFrame([(0, 1), (1, 1), (2, 1), (3, 0), (8, 1)], "doc_id long, quality int")
+    got = {r["doc_id"]: r for r in quality.with_perplexity(df, lab, block_chars=20)[0].collect()}
+    counted = [t for i, t, _ in rows if got[i]["role"] == quality.COUNTED]
+    assert {i for i in got if got[i]["role"] != quality.OTHER} == {0, 1, 2, 8} and len(counted) >= 2
+    want = kneser_ney(counted, [t for _, t, _ in rows])
+    assert all(abs(got[i]["perplexity"] / w - 1) < 1e-5 for i, w in enumerate(want)), (got, want)
+
+
+def test_code_points_are_told_apart():
+    every = [chr(o) for o in [*range(29_000, 31_000), *range(0xAC00, 0xD7A4, 7), 0x10000, 0x1F600, 0x10FFFF]]
+    seen = {tuple(quality.symbols_of(c)) for c in every}
+    assert len(seen) == len(every) and max(max(x) for x in seen) < 1 << quality.CHAR
+    assert quality.symbols_of("a각b").tolist() == [99, 30_002 + 14_033 // 1024, 31_090 + 14_033 % 1024, 100]
 
 
 def test_quality_tells_junk_from_prose(spark, docs, labels):
@@ -99,11 +108,79 @@ def test_quality_tells_junk_from_prose(spark, docs, labels):
     assert kept[1] > 0.97 and kept[0] < 0.5
 
 
+def test_thresholds_are_quantiles_of_held_out_texts(spark, monkeypatch):
+    """Threshold and keep against plain Python, with languages that have few or no held-out texts and a null one."""
+    monkeypatch.setattr(quality, "LEAST_HELD", 8)
+    rng = np.random.default_rng(4)
+    text = lambda: "".join(rng.choice(list("abcd efg"), int(rng.integers(5, 60))))
+    rows = [(i, text(), ("en", "en", "de", None, "xx")[i % 5]) for i in range(200)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    lab = spark.createDataFrame([(i, 1) for i in range(150) if i % 5 != 4], "doc_id long, quality int")
+    got = quality.classify(df, lab).collect()
+    held = defaultdict(list)
+    for r in got:
+        if r["held_out"]:
+            held[r["lang"]].append(r["perplexity"])
+            held[...].append(r["perplexity"])
+    assert set(held) == {"en", "de", None, ...} and all(r["trusted"] for r in got if r["held_out"])
+    assert len({len(x) >= 8 for x in held.values()}) == 2
+    for r in got:
+        p = sorted(held[r["lang"]] if len(held.get(r["lang"], [])) >= 8 else held[...])
+        assert r["threshold"] == p[int(np.ceil(quality.QUANTILE * len(p))) - 1] and r["keep"] == (r["perplexity"] <= r["threshold"])
+    kept = {r["doc_id"] for r in quality.keep_good(df, lab).collect()}
+    assert kept == {r["doc_id"] for r in got if r["keep"]}
+
+
 def test_quality_of_odd_rows(spark, odd, labels):
     assert quality.classify(odd, no_labels(spark)).filter("keep").count() == odd.count()
     kept = quality.keep_good(odd, labels)
     assert kept.columns == odd.columns and kept.count() <= odd.count()
-    assert quality.classify(empty(odd), labels).count() == 0
+    assert quality.classify(empty(odd), labels).count() == 0 and quality.keep_good(empty(odd), labels).count() == 0
+    base.drop_dealt(spark)
+    assert not [t.name for t in spark.catalog.listTables() if t.name.startswith("dealt_")]
+
+
+# Columns that are called as the operators call theirs
+
+HOSTILE = "_id _th _many _turn _hit_id _hit_key _spans _lang _threshold _tree _key _n role perplexity threshold keep trusted spans ids key fp row_key b inner head".split()
+
+
+@pytest.fixture(scope="module")
+def hostile(spark):
+    """Such columns, ids at the ends of the range, different texts of one id, copies without an id."""
+    rows = [(-(2**62) - 5, "first text about apples and pears and plums today"), (2**62 + 7, "B c D e f g h i j k"), (1, "first text of its own kind in here"), (1, "another one with nothing like it at all"), (None, "first text of its own kind in here"), (None, None), (3, ""), (2**63 - 1, "x"), (-(2**63), "y")]
+    return spark.createDataFrame([(i, t, "en", "s", len(t or ""), *["clash"] * len(HOSTILE)) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long, " + ", ".join(f"`{c}` string" for c in HOSTILE))
+
+
+def test_hostile_columns_ids_and_repeats(spark, hostile, labels):
+    bench = spark.createDataFrame([(5, "b c d e f g h i j k")], "item_id long, text string")
+    n = hostile.count()
+    kept = simhash.deduplicate(hostile)
+    assert kept.columns == hostile.columns
+    left = [(r["doc_id"], r["text"]) for r in kept.collect()]
+    assert (1, "another one with nothing like it at all") in left and (1, "first text of its own kind in here") in left
+    assert (None, "first text of its own kind in here") not in left and (3, "") in left and (None, None) not in left
+    near = jaccard.deduplicate(hostile)
+    assert near.columns == hostile.columns and sorted(map(str, left)) == sorted(str((r["doc_id"], r["text"])) for r in near.collect())
+    for out, rows in ((decontaminate.remove(hostile, bench), n - 1), (decontaminate.remove(hostile, bench, mode="spans"), n), (suffix_dedup.remove(hostile), n), (secrets.redacted(hostile), n), (quality.keep_good(hostile, labels), n), (quality.keep_good(hostile, no_labels(spark)), n)):
+        assert out.columns == hostile.columns and out.count() == rows and {r["keep"] for r in out.collect()} == {"clash"}
+    prints = merkle.with_fingerprint(hostile)
+    assert prints.columns == [*hostile.columns, "fingerprint"] and {r["_tree"] for r in prints.collect()} == {"clash"}
+    got = {(r["doc_id"], r["n_chars"]): r for r in merkle.fingerprints(hostile).collect()}
+    assert len(got) == n
+    first = next(r["text"] for r in hostile.collect() if r["doc_id"] == 2**62 + 7)
+    assert got[2**63 - 1, 1]["edited_sha256"] == hashlib.sha256(b"x").hexdigest()
+    edited = first[: len(first) - len(first) // 2] + ""  # the next document is the empty one
+    assert got[2**62 + 7, len(first)]["edited_sha256"] == hashlib.sha256(edited.encode()).hexdigest()
+    for call in (suffix_dedup.summary, simhash.summary, secrets.find_secrets):
+        assert call(hostile).count() == n
+
+
+def test_a_repeated_row_is_one_row(spark):
+    rows = [(4, "the same text again", "a")] * 3 + [(4, "the same text again", "b"), (None, "alone", "c"), (None, "alone", "c")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, other string")
+    for f in (simhash.deduplicate, jaccard.deduplicate):
+        assert sorted((r["doc_id"], r["text"]) for r in f(df).collect() if r["doc_id"]) == [(4, "the same text again")] and f(df).count() == 2
 
 
 # 2
@@ -279,10 +356,59 @@ def test_fingerprints_and_neighbours(spark, odd):
 
 
 def test_edits_are_located(spark):
-    df = spark.createDataFrame([("A one.\nA two.\n\nB one.\nB two.", "A one.\nA two.\n\nB one.\nB 2.\nB three.")] * 2 + [("same", "same"), ("", "x")], "old string, new string")
-    got = [[tuple(c) for c in r["changed"]] for r in merkle.edits(df).collect()]
-    assert got == [[(1, 1), (1, 2)]] * 2 + [[], [(0, 0)]]
-    assert merkle.nodes(df.select(F.lit(1).alias("doc_id"), F.col("old").alias("text")).limit(1)).count() == 4
+    seven = "\n\n".join(f"Part {i} one.\nPart {i} two." for i in range(7))
+    rows = [("A one.\nA two.\n\nB one.\nB two.", "A one.\nA two.\n\nB one.\nB 2.\nB three.")] * 2 + [("same", "same"), ("", "x"), (seven, "New one.\n\n" + seven), (seven, seven.replace("Part 3 two", "Part 3 2")), ("a\n\nb\n\nb", "a\n\nb"), (None, "")]
+    got = [[tuple(c) for c in r["changed"]] for r in merkle.edits(spark.createDataFrame(rows, "old string, new string")).collect()]
+    assert got[:2] == [[("old", 1, 1), ("new", 1, 1), ("new", 1, 2)]] * 2
+    assert got[2] == [] and got[3] == [("old", 0, 0), ("new", 0, 0)] and got[7] == []
+    assert got[4] == [("new", 0, 0)] and got[5] == [("old", 3, 1), ("new", 3, 1)]
+    assert got[6] and {c[0] for c in got[6]} <= {"old", "new"}
+    assert merkle.nodes(spark.createDataFrame(rows[:1], "text string, new string").select(F.lit(1).alias("doc_id"), "text")).count() == 4
+
+
+def plain_tree(text, kept=merkle.KEPT):
+    """(root, kept node hashes) of a text by plain Python."""
+    xx = lambda c: f"{xxhash.xxh64_intdigest(c.encode(), 42):016X}"
+    md5 = lambda hs: hashlib.md5("".join(hs).encode()).hexdigest()
+    cut = lambda s, p: [x for x in re.split(p, s) if x is not None]
+    ends = [m.end() for m in re.finditer(r"\n[ \t]*\n(?=[^\n])", text)]
+    sections = [text[a:b] for a, b in zip([0, *ends], [*ends, len(text)], strict=True)]
+    found, tops = set(), []
+    for s in sections:
+        inner = []
+        for p in cut(s, r"(?<=\n)(?=[^\n])"):
+            leaves = [xx(c) for c in cut(p, r"(?<=[.!?,;|*%&$#]\s)|(?<=[eoad]\s)")]
+            if len(leaves) > 1 and leaves[-1] == xx("") and p:
+                leaves = leaves  # a trailing empty chunk counts
+            inner.append(md5(leaves))
+            found |= {h[8:] for h in leaves} | {inner[-1][:8].upper()}
+        tops.append(md5(inner))
+        found.add(tops[-1][:8].upper())
+    return md5(tops), sorted(found)[:kept]
+
+
+def test_fingerprints_and_likeness_are_plain_pythons(spark, docs, texts):
+    """Root, node hashes and likeness on ordinary documents, with blank lines that hold many blanks."""
+    ids = sorted(texts)[:80]
+    made = {i: texts[i] for i in ids} | {10**6: "One.\n" + " " * 40 + "\nTwo, too.\nThree.\n\n\nFour.", 10**6 + 1: "", 10**6 + 2: "\n\nabc"}
+    df = spark.createDataFrame(list(made.items()), "doc_id long, text string")
+    order = sorted(made, reverse=True)
+    trees = {i: plain_tree(t) for i, t in made.items()}
+
+    def like(x, y):
+        if x[0] == y[0]:
+            return 1.0
+        both = sorted(set(x[1]) | set(y[1]))[: merkle.KEPT]
+        return len([h for h in both if h in x[1] and h in y[1]]) / len(both)
+
+    for r in merkle.fingerprints(df).collect():
+        i = r["doc_id"]
+        nxt = order[(order.index(i) + 1) % len(order)]
+        n = len(made[i])
+        edited = plain_tree(made[i][: n - n // 2] + made[nxt][: n // 2])
+        assert r["fingerprint"] == (trees[i][0] + ":" + "".join(trees[i][1])).lower()
+        assert r["edited_fingerprint"] == (edited[0] + ":" + "".join(edited[1])).lower()
+        assert abs(r["near_edited"] - like(trees[i], edited)) < 1e-9 and abs(r["near_next"] - like(trees[i], trees[nxt])) < 1e-9
 
 
 # 7
@@ -549,6 +675,40 @@ def test_repeats_are_brute_forces(spark, texts, monkeypatch):
     assert got == dict(zip(ids, brute_repeats([texts[i].encode() for i in ids], 200), strict=True))
 
 
+def test_equal_contexts_are_found_exactly():
+    rng = np.random.default_rng(6)
+    base_ = rng.integers(97, 100, 400).astype(np.uint8)
+    flat = np.concatenate([base_, base_, np.full(3000, 97, np.uint8), base_[:200], rng.integers(97, 100, 200).astype(np.uint8)])
+    _, _, _, _, count, at = suffix_dedup.contexts_of([flat.tobytes()], 40)
+    wide = count + 39
+    first = suffix_dedup.equals(flat, at, wide, 40, room=1000)
+    seen: dict[bytes, int] = {}
+    assert first.tolist() == [seen.setdefault(flat[a : a + w].tobytes(), i) for i, (a, w) in enumerate(zip(at.tolist(), wide.tolist(), strict=True))]
+
+
+def test_one_seed_everywhere_is_dealt_once_a_portion(spark):
+    """A line in very many texts and a long run of one byte: what is dealt does not grow with the places."""
+    line = "".join(np.random.default_rng(8).choice(list("abcdefgh "), 260))
+    df = spark.range(100_000).select(F.col("id").alias("doc_id"), F.concat(F.lit(line), F.lit(" "), F.col("id").cast("string")).alias("text")).repartition(8)
+    dealt = suffix_dedup.deal(df, 8).filter("data is not null").agg(F.sum(F.length("data") + F.length("meta"))).first()[0]
+    assert dealt < 0.1 * 100_000 * len(line)  # what is left are the strings that run on into the number
+    got = suffix_dedup.summary(df).agg(F.min("n_removed"), F.max("n_removed"), F.max("n_spans"), F.count("*")).first()
+    assert got[0] >= 260 and got[1] <= 267 and got[2] == 1 and got[3] == 100_000
+
+
+def test_long_runs_and_portions(spark, monkeypatch):
+    run = spark.createDataFrame([(1, "z" * 5_000_000 + "end"), (2, "q" * 150 + "r")], "doc_id long, text string")
+    got = {r["doc_id"]: r for r in suffix_dedup.summary(run).collect()}
+    assert (got[1]["n_removed"], got[1]["n_spans"], got[2]["n_removed"]) == (5_000_000, 1, 0)
+    rng = np.random.default_rng(9)
+    some = "".join(rng.choice(list("abc "), 900))
+    rows = [some, some[300:] + "x" + some[:200], "ab" * 400, some]
+    monkeypatch.setattr(suffix_dedup, "FLUSH_BYTES", 130)
+    df = spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string")
+    got = {r[0]: tuple(r)[1:] for r in suffix_dedup.summary(df, 40).collect()}
+    assert got == dict(enumerate(brute_repeats([t.encode() for t in rows], 40)))
+
+
 def test_repeats_of_odd_rows(spark, odd):
     got = suffix_dedup.summary(odd).collect()
     assert len(got) == odd.count()
