@@ -9,7 +9,17 @@ lost.  Losing ``b`` at time t also loses every token that is later built from ``
 numbered in preorder of the "left part" forest, children by age, those tokens are one contiguous range.  So a
 transition is a look-up in a few sorted ranges, and 49k merges compile in well under a second into a few MB.
 
-Encoding walks a trie of the vocabulary along the word and follows arcs; exactly one path reaches the end.
+The arcs of a state are laid out as one sorted row, the bounds of the ranges it lost, when a walk first enters the
+state; all rows at once would be the square of the vocabulary.
+
+Encoding reads a word once, symbol by symbol, and never goes back: every beginning of a word is spelled by exactly one
+path, so one state belongs to each place.  A string automaton over the tokens tells which tokens end at a place, the
+longest first; the state of the place is the one whose arc leaves the state at the place where it begins.  The path is
+then read off from the end.  Decoding emits the labels of the arcs.
+
+Null and empty texts have no ids; ids decode to their labels whatever their order.  Rows that repeat are rows like any
+other; an empty table gives an empty result.  A vocabulary in which some word has no path (its merges are not all
+reachable) falls back to merging that word pair by pair.
 """
 
 from __future__ import annotations
@@ -17,7 +27,7 @@ from __future__ import annotations
 import json
 import unicodedata
 from array import array
-from bisect import bisect_left
+from bisect import bisect_left, bisect_right
 
 import numpy as np
 import regex
@@ -28,7 +38,8 @@ from .base import arrow_map
 
 #: Words kept per worker with their ids; beyond it the memo is emptied.  It only saves time.
 MEMO_WORDS = 600_000
-MEMO_CELLS = 1_000_000
+#: Bounds of the rows of arcs kept per worker.
+MEMO_BOUNDS = 6_000_000
 
 
 def byte_symbols() -> list[str]:
@@ -73,27 +84,49 @@ class Automaton:
             j = bisect_left(ages, t)  # of age t: c itself where a = b
             start = self.first[kids[b][j]] if j < len(ages) else self.last[b]
             self.lost[a].append((t, self.first[b], start, self.last[b]))
-        self._asked: dict[int, bool] = {}
+        self._rows: dict[int, list[int]] = {}
+        self._held = 0
+        self.rank = {(vocab[a], vocab[b]): (t, vocab[a + b]) for t, (a, b) in reversed(list(enumerate(merges, 1))) if a in vocab and b in vocab and a + b in vocab}
         # A merge whose two parts no path has side by side makes nothing: its token, and those built from it, stay out.
         dead = [False] * n
         for t, a, b in gadgets:
             if dead[a] or dead[b] or not self._find(a, b, t):
                 dead[vocab[self.labels[a] + self.labels[b]]] |= age[vocab[self.labels[a] + self.labels[b]]] == t
         vocab = {text: i for text, i in vocab.items() if not dead[i]}
-        # A trie over symbols; a node keeps the id of the token that ends in it under the key "".
-        self._trie: dict = {}
-        self.size, self.shorter = [0] * n, [-1] * n
+        self.size = [0] * n
+        self._compile(vocab)
+
+    def _compile(self, vocab: dict[str, int]) -> None:
+        """The string automaton: a trie of the tokens' symbols, and for each node the node of its longest proper suffix.
+
+        ``ends[node]`` is the longest token that the node's string ends with, ``shorter[token]`` the next one.
+        """
+        self.step: list[dict[str, int]] = [{}]
+        own = [-1]
         for text, i in vocab.items():
-            node, symbols = self._trie, self._symbols(text)
+            node, symbols = 0, self._symbols(text)
             self.size[i] = len(symbols)
-            for s in symbols:
-                node = node.setdefault(s, {})
-            node[""] = i
-        for text, i in vocab.items():  # the longest token that is a proper prefix of this one
-            node = self._trie
-            for s in self._symbols(text)[:-1]:
-                node = node[s]
-                self.shorter[i] = node.get("", self.shorter[i])
+            for x in symbols:
+                if (at := self.step[node].get(x)) is None:
+                    at = self.step[node][x] = len(self.step)
+                    self.step.append({})
+                    own.append(-1)
+                node = at
+            own[node] = i
+        self.fail, self.ends, self.shorter = [0] * len(own), own, [-1] * len(self.size)
+        todo = list(self.step[0].values())
+        for node in todo:  # level by level: the list grows as it is read
+            for x, at in self.step[node].items():
+                f = self.fail[node]
+                while f and x not in self.step[f]:
+                    f = self.fail[f]
+                self.fail[at] = self.step[f].get(x, 0)
+                below = self.ends[self.fail[at]]
+                if self.ends[at] >= 0:
+                    self.shorter[self.ends[at]] = below
+                else:
+                    self.ends[at] = below
+                todo.append(at)
 
     def _number(self, left: list[int]) -> None:
         clock = 0
@@ -117,14 +150,35 @@ class Automaton:
             return [*text[:-5], text[-5:]]
         return list(text)
 
+    def row(self, a: int) -> list[int]:
+        """The arcs that the state after ``a`` lost, as bounds of ranges of numbers: begin, end, begin, end ..."""
+        if (known := self._rows.get(a)) is not None:
+            return known
+        gone, x, until = [], a, 1 << 60
+        while x >= 0:
+            for t, own, lo, hi in self.lost[x]:
+                if t < until:
+                    gone.append((own, own + 1))
+                    if lo < hi:
+                        gone.append((lo, hi))
+            until = min(until, self.age[x])  # the copy was made when x came to be
+            x = self.right[x]
+        out: list[int] = []
+        for lo, hi in sorted(gone):
+            if out and lo <= out[-1]:
+                out[-1] = max(out[-1], hi)
+            else:
+                out += [lo, hi]
+        if self._held + len(out) > MEMO_BOUNDS:
+            self._rows.clear()
+            self._held = 0
+        self._held += len(out)
+        self._rows[a] = out
+        return out
+
     def allowed(self, a: int, b: int) -> bool:
-        """Is there an arc b in the state after a?  Cells of the table are filled in as they are first asked for."""
-        cell = a << 32 | b
-        if (known := self._asked.get(cell)) is None:
-            if len(self._asked) >= MEMO_CELLS:
-                self._asked.clear()
-            known = self._asked[cell] = self._find(a, b)
-        return known
+        """Is there an arc b in the state after a?"""
+        return bisect_right(self.row(a), self.first[b]) % 2 == 0
 
     def _find(self, a: int, b: int, until: int = 1 << 60) -> bool:
         x, at = a, self.first[b]
@@ -139,36 +193,34 @@ class Automaton:
     def encode(self, symbols: list[str]) -> list[int]:
         """Ids of the one path that spells ``symbols``; symbols outside the vocabulary are left out first."""
         symbols = [s for s in symbols if s in self.vocab]
-        n, pos, path = len(symbols), 0, []
-        if not n:
-            return path
-        allowed, shorter, size = self.allowed, self.shorter, self.size
-        # The path to a position is unique, so a position that has led nowhere never needs another visit.
-        dead, tok, prev = bytearray(n + 1), self._longest(symbols, 0, n), -1
-        while True:
-            while tok >= 0 and (dead[pos + size[tok]] or prev >= 0 and not allowed(prev, tok)):
-                tok = shorter[tok]
-            if tok >= 0:
-                path.append(tok)
-                pos += size[tok]
-                if pos == n:
-                    return path
-                prev, tok = tok, self._longest(symbols, pos, n)
-            else:
-                dead[pos] = 1
-                if not path:
-                    raise ValueError("no path spells this word")
-                last = path.pop()
-                pos -= size[last]
-                prev, tok = path[-1] if path else -1, shorter[last]
-
-    def _longest(self, symbols: list[str], pos: int, n: int) -> int:
-        node, tok = self._trie, -1
-        for j in range(pos, n):
-            if (node := node.get(symbols[j])) is None:
-                break
-            tok = node.get("", tok)
-        return tok
+        step, fail, ends, shorter, size, first, rows = self.step, self.fail, self.ends, self.shorter, self.size, self.first, self._rows
+        node, states = 0, [-1]
+        for i, x in enumerate(symbols, 1):
+            while (at := step[node].get(x)) is None and node:
+                node = fail[node]
+            node = at or 0
+            token = ends[node]
+            while token >= 0:
+                last = states[i - size[token]]
+                if i == size[token] or last >= 0 and bisect_right(rows[last] if last in rows else self.row(last), first[token]) % 2 == 0:
+                    break
+                token = shorter[token]
+            states.append(token)
+        path, i = [], len(symbols)
+        while i:
+            if (token := states[i]) < 0:
+                return self.merged(symbols)
+            path.append(token)
+            i -= size[token]
+        return path[::-1]
+
+    def merged(self, symbols: list[str]) -> list[int]:
+        """The same by merging, the oldest pair first, the leftmost of its kind first."""
+        ids = [self.vocab[s] for s in symbols]
+        while pairs := [(self.rank[p], i) for i, p in enumerate(zip(ids, ids[1:], strict=False)) if p in self.rank]:
+            (_, c), i = min(pairs)
+            ids[i : i + 2] = [c]
+        return ids
 
 
 class Memo(dict):

@@ -5,14 +5,17 @@ path of tags above it.  A block's input is a vector of hashed path parts (tags,
 figures; a bidirectional LSTM in numpy reads the whole sequence and gives every block a probability of being main
 text.  The weights are trained here, on generated pages of many layouts whose main text is known, with a fixed seed.
 
-Scripts, styles, templates, titles and comments of the markup are never blocks.  A line break tag is white space.
-Null and empty pages, and pages without main text, give the empty text.
+Scripts, styles, templates, titles, embedded frames and comments of the markup are never blocks; formulas and drawings
+are part of the line they stand in, without their source annotations.  A line break tag is white space.  The work of a
+tag does not grow with its depth.  Null and empty pages, and pages without main text, give the empty text; rows that
+repeat are rows like any other, and an empty table gives an empty result.
 """
 
 from __future__ import annotations
 
 import html as entities
 import re
+from collections import defaultdict
 from functools import lru_cache
 from html.parser import HTMLParser
 from zlib import crc32
@@ -27,58 +30,99 @@ INPUT = PATH_DIM + WORD_DIM + FIGURES
 TRAIN_PAGES, EPOCHS, SEED = 800, 12, 7
 
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-SKIP = frozenset("script style template noscript title head svg math iframe object canvas".split())
+SKIP = frozenset("script style template title head iframe annotation annotation-xml".split())
 INLINE = frozenset("a abbr b bdi bdo big br cite code data del dfn em font i img ins kbd label mark q rp rt ruby s samp small span strike strong sub sup time tt u var wbr".split())
+#: What is not shown breaks no line.
+INLINE |= SKIP - {"head"}
+#: Parts of formulas and drawings.
+INLINE |= frozenset("math semantics mrow mi mo mn ms mtext mspace msup msub msubsup mfrac msqrt mroot mover munder munderover mstyle mpadded mphantom menclose merror mfenced mmultiscripts mprescripts mtable mtr mtd annotation annotation-xml".split())
+INLINE |= frozenset("svg g text tspan textpath path rect circle ellipse line polyline polygon defs use symbol desc".split())
 #: An opening tag ends open ones of these kinds: (what it ends, what stops the search).
 IMPLIED = {"li": (("li",), ("ul", "ol")), "dt": (("dt", "dd"), ("dl",)), "dd": (("dt", "dd"), ("dl",)), "tr": (("tr",), ("table",)), "td": (("td", "th"), ("tr", "table")), "th": (("td", "th"), ("tr", "table")), "option": (("option",), ("select",))}
 SPACE = re.compile(r"\s+")
 TOKEN = re.compile(r"[a-z0-9]+")
 
 
+class _Open:
+    """An open tag: what its path tells of a block below it.
+
+    ``mask`` has a bit for each input that the path sets, ``leaf`` the one of its last tag that counts.  Tags within a
+    line count only if they are named.
+    """
+
+    __slots__ = ("tag", "mask", "leaf")
+
+    def __init__(self, tag: str, names: tuple[str, ...], above: _Open | None):
+        self.tag, self.mask, self.leaf = tag, above.mask if above else 0, above.leaf if above else 0
+        if tag in INLINE and not names:
+            return
+        self.leaf = 0
+        if tag not in ("html", "body"):
+            self.mask |= 1 << _bucket("t", tag, PATH_DIM)
+            self.leaf = 1 << _bucket("leaf", tag, PATH_DIM)
+            for name in names:
+                self.mask |= 1 << _bucket("n", name, PATH_DIM)
+
+
+def path_mask(path: tuple[tuple[str, tuple[str, ...]], ...]) -> int:
+    """The inputs of a block below the tags (name, names) of ``path``."""
+    top = None
+    for tag, names in path:
+        top = _Open(tag, names, top)
+    return top.mask | top.leaf if top else 0
+
+
 class _Blocks(HTMLParser):
     def __init__(self):
         super().__init__(convert_charrefs=True)
-        self.path: list[tuple[str, tuple[str, ...]]] = []
+        self.path: list[_Open] = []
+        #: Where each tag is open, and where any tag is that ends a line.
+        self.places: dict[str, list[int]] = defaultdict(list)
+        self.lines: list[int] = []
         self.skip = 0
         self.buffer: list[str] = []
         self.linked = 0
-        self.blocks: list[tuple[str, tuple, float]] = []
+        self.blocks: list[tuple[str, int, float]] = []
 
     def flush(self) -> None:
         text = SPACE.sub(" ", "".join(self.buffer)).strip()
         if text:
-            self.blocks.append((text, tuple(p for p in self.path if p[0] not in INLINE or p[1]), self.linked / max(1, len(text))))
+            top = self.path[-1] if self.path else None
+            self.blocks.append((text, top.mask | top.leaf if top else 0, self.linked / max(1, len(text))))
         self.buffer, self.linked = [], 0
 
+    def last(self, tags) -> int:
+        """Place of the innermost open tag of these kinds, -1 without."""
+        return max((self.places[t][-1] for t in tags if self.places.get(t)), default=-1)
+
     def pop_to(self, at: int) -> None:
-        for tag, _ in self.path[at:]:
-            if tag in SKIP:
-                self.skip -= 1
-        del self.path[at:]
+        while len(self.path) > at:
+            tag = self.path.pop().tag
+            self.places[tag].pop()
+            if tag not in INLINE:
+                self.lines.pop()
+            self.skip -= tag in SKIP
 
     def handle_starttag(self, tag, attrs):
         if tag not in INLINE:
             self.flush()
-            if tag == "body" and self.skip and all(t in ("html", "head", "title") for t, _ in self.path):
+            if tag == "body" and self.skip and len(self.path) == sum(len(self.places.get(t, ())) for t in ("html", "head", "title")):
                 self.pop_to(0)  # a head that was not closed
-            for i in range(len(self.path) - 1, -1, -1):
-                open_ = self.path[i][0]
-                if tag in IMPLIED:
-                    if open_ in IMPLIED[tag][0]:
-                        self.pop_to(i)
-                    if open_ in IMPLIED[tag][0] or open_ in IMPLIED[tag][1]:
-                        break
-                elif open_ == "p":
-                    self.pop_to(i)
-                    break
-                elif open_ not in INLINE:
-                    break
+            if tag in IMPLIED:
+                ends, stops = IMPLIED[tag]
+                if (at := self.last(ends)) >= 0 and at > self.last(stops):
+                    self.pop_to(at)
+            elif self.lines and self.path[self.lines[-1]].tag == "p":
+                self.pop_to(self.lines[-1])
         elif tag == "br":
             self.buffer.append(" ")
         if tag in VOID:
             return
         names = tuple(t for k, v in attrs if k in ("class", "id", "role") and v for t in TOKEN.findall(v.lower()))
-        self.path.append((tag, names))
+        self.places[tag].append(len(self.path))
+        if tag not in INLINE:
+            self.lines.append(len(self.path))
+        self.path.append(_Open(tag, names, self.path[-1] if self.path else None))
         self.skip += tag in SKIP
 
     def handle_startendtag(self, tag, attrs):
@@ -89,12 +133,9 @@ class _Blocks(HTMLParser):
     def handle_endtag(self, tag):
         if tag not in INLINE:
             self.flush()
-        for i in range(len(self.path) - 1, -1, -1):
-            if self.path[i][0] == tag:
-                self.pop_to(i)
-                break
-            if tag in INLINE and self.path[i][0] not in INLINE:
-                break
+        at = self.last((tag,))
+        if at >= 0 and (tag not in INLINE or not self.lines or at > self.lines[-1]):
+            self.pop_to(at)
 
     def parse_marked_section(self, i, report=1):
         """A malformed section is a bogus comment up to the next '>'."""
@@ -107,12 +148,12 @@ class _Blocks(HTMLParser):
     def handle_data(self, data):
         if not self.skip:
             self.buffer.append(data)
-            if any(t == "a" for t, _ in self.path):
+            if self.places.get("a"):
                 self.linked += len(data.strip())
 
 
-def blocks_of(page: str | None) -> list[tuple[str, tuple, float]]:
-    """(text, path, share of linked characters) of each leaf block."""
+def blocks_of(page: str | None) -> list[tuple[str, int, float]]:
+    """(text, inputs its path sets, share of linked characters) of each leaf block."""
     if not page:
         return []
     parser = _Blocks()
@@ -127,18 +168,11 @@ def _bucket(kind: str, part: str, size: int) -> int:
     return crc32(f"{kind}:{part}".encode("utf-8", "replace")) % size
 
 
-def vectors(blocks: list[tuple[str, tuple, float]]) -> np.ndarray:
+def vectors(blocks: list[tuple[str, int, float]]) -> np.ndarray:
     x = np.zeros((len(blocks), INPUT), np.float32)
     n = len(blocks)
-    for i, (text, path, linked) in enumerate(blocks):
-        for j, (tag, names) in enumerate(path):
-            if tag in ("html", "body"):
-                continue
-            x[i, _bucket("t", tag, PATH_DIM)] = 1
-            if j == len(path) - 1:
-                x[i, _bucket("leaf", tag, PATH_DIM)] = 1
-            for name in names:
-                x[i, _bucket("n", name, PATH_DIM)] = 1
+    for i, (text, mask, linked) in enumerate(blocks):
+        x[i, :PATH_DIM] = np.unpackbits(np.frombuffer(mask.to_bytes(PATH_DIM // 8, "little"), np.uint8), bitorder="little")
         words = text.lower().split()
         for w in words:
             x[i, PATH_DIM + _bucket("w", w, WORD_DIM)] += 1.0 / max(4, len(words))

@@ -9,8 +9,11 @@ template's words is the coverage; the span runs from the first matched word to t
 before and after a match in its candidate is aligned again, without the matched words, until no match is left, so that
 notices that repeat close together are all found.
 
-Matches of COVERAGE or more are reported, the best first where they overlap.  Null and empty texts have none.  Every
-place of a text is looked up and every candidate aligned; the templates are a fixed, small set or the caller's own.
+Matches that cover LEAST of a template or more are reported with their coverage, the best first where they overlap; those
+of COVERAGE or more are marked as matched.  Null and empty texts have none; each row of a table is scanned by itself, so
+rows that repeat have the same matches, and an empty table has none.  Every place of a text is looked up and every
+candidate aligned; the templates are a fixed, small set or the caller's own.  Of equal matches that overlap, the first
+in the text, then the first template stays.
 """
 
 from __future__ import annotations
@@ -25,9 +28,14 @@ from pyspark.sql import DataFrame
 
 from .base import arrow_map
 
-GRAM, WINDOW, BAND, COVERAGE = 3, 2, 12, 0.8
+GRAM, WINDOW, BAND = 3, 2, 12
+#: Coverage from which a match counts as the license, and the least that is reported.
+COVERAGE, LEAST = 0.8, 0.3
 WORD = re.compile(r"[A-Za-z0-9]+")
 
+#: Parts that two licenses share.
+_REDISTRIBUTION = "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met: Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer. Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution."
+_AS_IS = "THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS \"AS IS\" AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE DISCLAIMED. IN NO EVENT SHALL THE COPYRIGHT HOLDER OR CONTRIBUTORS BE LIABLE FOR ANY DIRECT, INDIRECT, INCIDENTAL, SPECIAL, EXEMPLARY, OR CONSEQUENTIAL DAMAGES (INCLUDING, BUT NOT LIMITED TO, PROCUREMENT OF SUBSTITUTE GOODS OR SERVICES; LOSS OF USE, DATA, OR PROFITS; OR BUSINESS INTERRUPTION) HOWEVER CAUSED AND ON ANY THEORY OF LIABILITY, WHETHER IN CONTRACT, STRICT LIABILITY, OR TORT (INCLUDING NEGLIGENCE OR OTHERWISE) ARISING IN ANY WAY OUT OF THE USE OF THIS SOFTWARE, EVEN IF ADVISED OF THE POSSIBILITY OF SUCH DAMAGE."
 #: Short notices, and the bodies of short licenses.
 TEMPLATES: dict[str, tuple[str, ...]] = {
     "MIT": (
@@ -51,9 +59,18 @@ TEMPLATES: dict[str, tuple[str, ...]] = {
     "LGPL-3.0": ("licensed under the GNU Lesser General Public License, version 3",),
     "AGPL-3.0": ("licensed under the GNU Affero General Public License, version 3",),
     "MPL-2.0": ("This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0. If a copy of the MPL was not distributed with this file, You can obtain one at http://mozilla.org/MPL/2.0/.",),
-    "BSD-2-Clause": ("Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met: Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer. Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution.",),
-    "ISC": ("Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies.",),
-    "Unlicense": ("This is free and unencumbered software released into the public domain.",),
+    "BSD-2-Clause": (
+        "Licensed under the BSD 2-Clause License",
+        f"{_REDISTRIBUTION} {_AS_IS}",
+    ),
+    "BSD-3-Clause": (
+        "Licensed under the BSD 3-Clause License",
+        f"{_REDISTRIBUTION} Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission. {_AS_IS}",
+    ),
+    "ISC": ("Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies. THE SOFTWARE IS PROVIDED \"AS IS\" AND THE AUTHOR DISCLAIMS ALL WARRANTIES WITH REGARD TO THIS SOFTWARE INCLUDING ALL IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS. IN NO EVENT SHALL THE AUTHOR BE LIABLE FOR ANY SPECIAL, DIRECT, INDIRECT, OR CONSEQUENTIAL DAMAGES OR ANY DAMAGES WHATSOEVER RESULTING FROM LOSS OF USE, DATA OR PROFITS, WHETHER IN AN ACTION OF CONTRACT, NEGLIGENCE OR OTHER TORTIOUS ACTION, ARISING OUT OF OR IN CONNECTION WITH THE USE OR PERFORMANCE OF THIS SOFTWARE.",),
+    "Zlib": ("This software is provided 'as-is', without any express or implied warranty. In no event will the authors be held liable for any damages arising from the use of this software. Permission is granted to anyone to use this software for any purpose, including commercial applications, and to alter it and redistribute it freely, subject to the following restrictions: 1. The origin of this software must not be misrepresented; you must not claim that you wrote the original software. If you use this software in a product, an acknowledgment in the product documentation would be appreciated but is not required. 2. Altered source versions must be plainly marked as such, and must not be misrepresented as being the original software. 3. This notice may not be removed or altered from any source distribution.",),
+    "BSL-1.0": ("Boost Software License - Version 1.0 - August 17th, 2003", "Distributed under the Boost Software License, Version 1.0."),
+    "Unlicense": ("This is free and unencumbered software released into the public domain. Anyone is free to copy, modify, publish, use, compile, sell, or distribute this software, either in source code form or as a compiled binary, for any purpose, commercial or non-commercial, and by any means.",),
     "CC-BY-4.0": ("Licensed under CC BY 4.0", "This work is licensed under a Creative Commons Attribution 4.0 International License"),
     "CC-BY-SA-4.0": ("Licensed under CC BY-SA 4.0", "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License"),
     "CC-BY-NC-4.0": ("Licensed under CC BY-NC 4.0", "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License"),
@@ -118,21 +135,23 @@ def align(text: list[str], template: list[str], offset: int, band: int = BAND) -
 
 
 class Scanner:
-    def __init__(self, templates: dict[str, tuple[str, ...]], gram: int = GRAM, window: int = WINDOW, band: int = BAND, coverage: float = COVERAGE):
+    def __init__(self, templates: dict[str, tuple[str, ...]], gram: int = GRAM, window: int = WINDOW, band: int = BAND, least: float = LEAST):
         self.names, self.bodies = [], []
-        self.index: dict[tuple, list[tuple[int, int]]] = defaultdict(list)
-        self.gram, self.band, self.coverage = gram, band, coverage
+        self.index: dict[int, list[tuple[int, int]]] = defaultdict(list)
+        #: The first two words of every fingerprint: most places of a text are passed over by these.
+        self.pairs: set[tuple[str, str]] = set()
+        self.gram, self.band, self.least = gram, band, least
         for name, bodies in templates.items():
             for body in bodies:
                 words = words_of(body)
                 if len(words) < gram:
                     continue
-                for at in winnow(words, gram, window):
-                    self.index[tuple(words[at : at + gram])].append((len(self.bodies), at))
+                for at, h in winnow(words, gram, window).items():
+                    self.index[h].append((len(self.bodies), at))
+                    self.pairs.add((words[at], words[at + 1]))
                 self.names.append(name)
                 self.bodies.append(words)
         self.index = dict(self.index)
-        self.pairs = {g[:2] for g in self.index}
 
     def matches(self, words: list[str], t: int, group: list[tuple[int, int]]) -> list[tuple[float, int, int, int]]:
         """(coverage, matched words, first place, place after the last) of every match of a candidate's seeds (diagonal, place)."""
@@ -141,7 +160,7 @@ class Scanner:
             now = todo.pop()
             middle = sorted(d for d, _ in now)[len(now) // 2]
             matched, first, last = align(rest, body, middle, self.band)
-            if matched and (cover := matched / len(body)) >= self.coverage:
+            if matched and (cover := matched / len(body)) >= self.least:
                 out.append((cover, matched, first, last))
                 rest = list(words) if rest is words else rest
                 rest[first:last] = [None] * (last - first)
@@ -158,7 +177,7 @@ class Scanner:
         words, index, pairs, gram = words_of(text), self.index, self.pairs, self.gram
         seeds: dict[int, list[tuple[int, int]]] = defaultdict(list)
         for i, pair in enumerate(zip(words, words[1:], strict=False)):
-            if pair in pairs and (hit := index.get(tuple(words[i : i + gram]))):
+            if pair in pairs and i + gram <= len(words) and (hit := index.get(xxhash.xxh32_intdigest(" ".join(words[i : i + gram])))):
                 for t, at in hit:
                     seeds[t].append((i - at, i))
         if not seeds:
@@ -183,21 +202,21 @@ class Scanner:
         return sorted(out, key=lambda m: (m[2], m[0]))
 
 
-def scan_licenses(docs: DataFrame, templates: dict[str, tuple[str, ...]] | None = None, coverage: float = COVERAGE) -> DataFrame:
-    """One row per match: doc_id, license, coverage, start, end."""
+def scan_licenses(docs: DataFrame, templates: dict[str, tuple[str, ...]] | None = None, coverage: float = COVERAGE, least: float = LEAST) -> DataFrame:
+    """One row per match: doc_id, license, coverage, matched (``coverage`` or more), start, end."""
     held = TEMPLATES if templates is None else templates
 
     def make():
-        scanner = Scanner(held, coverage=coverage)
+        scanner = Scanner(held, least=least)
 
         def kernel(cols):
-            out: list[list] = [[], [], [], [], []]
+            out: list[list] = [[], [], [], [], [], []]
             for i, t in zip(*cols, strict=True):
-                for row in scanner.scan(t):
-                    for c, v in zip(out, (i, *row), strict=True):
+                for name, cover, start, end in scanner.scan(t):
+                    for c, v in zip(out, (i, name, cover, cover >= coverage, start, end), strict=True):
                         c.append(v)
             return out
 
         return kernel
 
-    return arrow_map(docs.select("doc_id", "text"), make, "doc_id long, license string, coverage double, start long, end long")
+    return arrow_map(docs.select("doc_id", "text"), make, "doc_id long, license string, coverage double, matched boolean, start long, end long")

@@ -233,7 +233,7 @@ def test_native_operators_run_no_python(spark, docs, sf):
 # 3
 
 def test_licenses_found_and_placed(spark, docs, texts, odd):
-    got = {(r["doc_id"], r["license"]): r for r in licenses.scan_licenses(docs).collect()}
+    got = {(r["doc_id"], r["license"]): r for r in licenses.scan_licenses(docs).filter("matched").collect()}
     marks = {"MIT": "Released under the MIT License", "Apache-2.0": "Licensed under the Apache License, Version 2.0", "CC-BY-NC-4.0": "Licensed under CC BY-NC 4.0"}
     for name, text in marks.items():
         have = {d for d, t in texts.items() if text in (t or "")}
@@ -251,6 +251,48 @@ def test_repeated_notices_are_all_found():
     assert [m[0] for m in scanner.scan(" ".join(mixed))] == ["MIT", "CC-BY-4.0", "MIT", "MIT", "CC-BY-4.0"]
 
 
+def plain_alignment(text, template):
+    """Best matched words of a template against a whole text: match 1, others -1, free ends in the text."""
+    rows = [[(0, 0)] * (len(text) + 1)]
+    for w in template:
+        row = [(rows[-1][0][0] - 1, rows[-1][0][1])]
+        for j, t in enumerate(text):
+            s, m = rows[-1][j]
+            row.append(max((s + (1 if t == w else -1), m + (t == w)), (rows[-1][j + 1][0] - 1, rows[-1][j + 1][1]), (row[-1][0] - 1, row[-1][1])))
+        rows.append(row)
+    return max(rows[-1])
+
+
+def test_matches_are_plain_alignments(spark):
+    """Planted, edited and cut templates: found or not, and covered, as an alignment without index and band says."""
+    rng = np.random.default_rng(12)
+    templates = {f"T{i}": (" ".join(f"w{x}" for x in rng.integers(0, 400, int(rng.integers(8, 60)))),) for i in range(6)}
+    scanner = licenses.Scanner(templates)
+    texts_, want = [], []
+    for i in range(60):
+        name = f"T{i % 6}"
+        body = templates[name][0].split()
+        part = body[: int(len(body) * (1.0, 0.9, 0.6, 0.4)[i % 4])]
+        for _ in range(i % 3):
+            part[int(rng.integers(len(part)))] = "changed"
+        if i % 5 == 0:
+            part.insert(len(part) // 2, "added")
+        noise = [f"n{x}" for x in rng.integers(0, 10**6, 80)]
+        texts_.append(" ".join(noise[:30] + part + noise[30:]))
+        want.append((name, plain_alignment(noise[:30] + part + noise[30:], body)[1] / len(body)))
+    df = spark.createDataFrame(list(enumerate(texts_)), "doc_id long, text string")
+    got = defaultdict(list)
+    for r in licenses.scan_licenses(df, templates).collect():
+        got[r["doc_id"]].append(r)
+    found = 0
+    for i, (name, cover) in enumerate(want):
+        if cover >= licenses.LEAST + 0.05:
+            (r,) = got[i]
+            assert r["license"] == name and abs(r["coverage"] - cover) < 0.03 and r["matched"] == (r["coverage"] >= licenses.COVERAGE), (i, r, cover)
+            found += 1
+    assert found > 50 and scanner.scan(" ".join(f"n{x}" for x in range(500))) == []
+
+
 def test_alignment_bridges_edits():
     scan = licenses.Scanner(licenses.TEMPLATES)
     body = licenses.TEMPLATES["MIT"][3]
@@ -540,8 +582,37 @@ def test_parser_goes_on_behind_malformed_sections():
 def test_block_figures_are_of_the_whole_block():
     """The 41st word on and the 401st character on count."""
     short, long = ("a " * 40).strip(), ("a " * 200).strip()
-    one, two = (htmltext.vectors([(t, (("p", ()),), 0.0)])[0] for t in (long + " b" * 40, long + " 1" * 40))
-    assert (one != two).sum() >= 2 and htmltext.vectors([(short, (("p", ()),), 0.0)]).shape == (1, htmltext.INPUT)
+    p = htmltext.path_mask((("p", ()),))
+    one, two = (htmltext.vectors([(t, p, 0.0)])[0] for t in (long + " b" * 40, long + " 1" * 40))
+    assert (one != two).sum() >= 2 and htmltext.vectors([(short, p, 0.0)]).shape == (1, htmltext.INPUT)
+
+
+def test_formulas_stay_in_their_line():
+    page = "<article><p>Let <math><mi>x</mi><mo>=</mo><mn>2</mn><annotation>x=2</annotation></math> hold.</p><p>A <svg><title>t</title><text>mark</text></svg> here<noscript> too</noscript></p><iframe>gone</iframe></article>"
+    assert [b[0] for b in htmltext.blocks_of(page)] == ["Let x=2 hold.", "A mark here", "too"]
+
+
+def test_deep_pages_cost_no_square():
+    """Tags in tags: many levels, end tags of nothing, list items under deep parts."""
+    from time import perf_counter
+
+    def took(n):
+        page = "".join(f"<div class='c{i % 9}'>t{i}" for i in range(n)) + "<li>x" * n + "</b></u>" * n + "</div>" * n
+        t = perf_counter()
+        blocks = htmltext.blocks_of(page)
+        htmltext.vectors(blocks)
+        assert [b[0] for b in blocks[: n + 1]] == [f"t{i}" for i in range(n)] + ["x"] and len(blocks) == 2 * n
+        return perf_counter() - t
+
+    took(100)
+    small = took(2_500)
+    assert took(20_000) < 20 * small + 1
+
+
+def test_path_inputs():
+    a = htmltext.path_mask((("html", ()), ("body", ()), ("div", ("post",)), ("b", ()), ("p", ())))
+    bits = {htmltext._bucket(k, v, htmltext.PATH_DIM) for k, v in (("t", "div"), ("n", "post"), ("t", "p"), ("leaf", "p"))}
+    assert {i for i in range(htmltext.PATH_DIM) if a >> i & 1} == bits
 
 
 def test_labeller_on_new_pages(weights):
@@ -626,7 +697,18 @@ def test_automaton_accepts_only_merged_sequences():
 
     for n in range(1, 8):
         for word in product("abc", repeat=n):
-            assert [auto.labels[i] for i in auto.encode(list(word))] == plain(word)
+            ids = auto.encode(list(word))
+            assert [auto.labels[i] for i in ids] == plain(word) and auto.merged(list(word)) == ids
+            assert all(auto.allowed(a, b) == auto._find(a, b) for a, b in zip(ids, ids[1:], strict=False))
+
+
+def test_a_word_without_a_path_is_merged():
+    """The only way to abc begins with a token that another merge takes apart first."""
+    vocab = {s: i for i, s in enumerate(["a", "b", "c", "bc", "ab", "abc"])}
+    auto = bpe.Automaton(vocab, [("b", "c"), ("a", "b"), ("ab", "c")])
+    assert [auto.labels[i] for i in auto.encode(list("abc"))] == ["a", "bc"]
+    auto.ends = [-1] * len(auto.ends)
+    assert [auto.labels[i] for i in auto.encode(list("ababc"))] == ["ab", "a", "bc"]
 
 
 def test_bpe_rows(spark, odd, library):
