@@ -86,7 +86,7 @@ class Automaton:
             self.lost[a].append((t, self.first[b], start, self.last[b]))
         self._rows: dict[int, list[int]] = {}
         self._held = 0
-        self.rank = {(vocab[a], vocab[b]): (t, vocab[a + b]) for t, (a, b) in reversed(list(enumerate(merges, 1))) if a in vocab and b in vocab and a + b in vocab}
+        self._merges, self._rank = merges, None
         # A merge whose two parts no path has side by side makes nothing: its token, and those built from it, stay out.
         dead = [False] * n
         for t, a, b in gadgets:
@@ -216,8 +216,11 @@ class Automaton:
 
     def merged(self, symbols: list[str]) -> list[int]:
         """The same by merging, the oldest pair first, the leftmost of its kind first."""
+        if (rank := self._rank) is None:
+            v = self.vocab
+            rank = self._rank = {(v[a], v[b]): (t, v[a + b]) for t, (a, b) in reversed(list(enumerate(self._merges, 1))) if a in v and b in v and a + b in v}
         ids = [self.vocab[s] for s in symbols]
-        while pairs := [(self.rank[p], i) for i, p in enumerate(zip(ids, ids[1:], strict=False)) if p in self.rank]:
+        while pairs := [(rank[p], i) for i, p in enumerate(zip(ids, ids[1:], strict=False)) if p in rank]:
             (_, c), i = min(pairs)
             ids[i : i + 2] = [c]
         return ids

@@ -320,6 +320,25 @@ def test_toxicity_ranks_and_keeps_to_its_rows(spark, docs, labels):
     assert np.mean([a > b for a, x in s if x for b, y in s if not y]) > 0.95
 
 
+def test_toxicity_rows_are_plain_pythons(spark, docs, labels, texts):
+    """Every score is what the model gives the whole text alone; folds as zlib's crc32 has them; the sample keeps its bounds."""
+    from zlib import crc32
+
+    model = toxicity.fit(docs, labels)
+    score = model.scorer()
+    got = toxicity.classify(docs, labels).collect()
+    assert {r["doc_id"] for r in got} == set(texts)
+    for r in got:
+        assert abs(r["score"] - score(texts[r["doc_id"]])) < 1e-12 and r["predicted"] == int(r["score"] >= 0.5)
+        assert r["held_out"] == (crc32(str(r["doc_id"]).encode()) % 5 == 0)
+    used = toxicity.training_rows(docs, labels, per_class=7, most=4000).collect()
+    for c in (0, 1):
+        own = [r for r in used if r["toxic"] == c]
+        assert 0 < len(own) <= 7 and sum(len(r["text"].encode()) for r in own) <= 4000
+    twice = docs.unionByName(docs)
+    assert toxicity.training_rows(twice, labels).count() == toxicity.training_rows(docs, labels).count()
+
+
 def test_toxicity_of_odd_rows(spark, odd, labels):
     got = toxicity.classify(odd, no_labels(spark)).collect()
     assert len(got) == odd.count() and {r["score"] for r in got} == {0.0} and not any(r["predicted"] for r in got)
