@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 from collections.abc import Callable, Iterator
 
@@ -71,9 +72,16 @@ def remove_folder(spark: SparkSession, path: str) -> None:
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """Materialise in the shared checkpoint folder; the result survives lost executors."""
+    """Materialise in the shared checkpoint folder; the result survives lost executors.
+
+    The driver then collects garbage, so that shuffle files (and checkpoints, where the cluster cleans them) of steps that
+    nothing refers to any more go at once and not at some later collection.
+    """
     ensure_checkpoint_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
+    out = df.checkpoint(eager=True)
+    gc.collect()
+    df.sparkSession.sparkContext._jvm.System.gc()
+    return out
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
