@@ -12,8 +12,11 @@ from .schema import Catalog
 
 
 def node_key(columns: tuple[str, ...]) -> Column:
-    """One string for a key of any width."""
-    return F.concat_ws("/", *[F.col(c).cast("string") for c in columns])
+    """One string for a key of any width; of several columns, slashes within a value are escaped and null is a sign of its own."""
+    if len(columns) == 1:
+        return F.col(columns[0]).cast("string")
+    parts = [F.coalesce(F.replace(F.replace(F.col(c).cast("string"), F.lit("\\"), F.lit("\\\\")), F.lit("/"), F.lit("\\/")), F.lit("\\N")) for c in columns]
+    return F.concat_ws("/", *parts)
 
 
 def nodes(catalog: Catalog) -> DataFrame:

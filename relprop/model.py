@@ -91,6 +91,8 @@ class Rep:
     scaled: bool = True
     skip: bool = True
     shared: bool = True
+    #: Bounds a row block's output by tanh; the method has no such thing, long runs of quadratic blocks may want it.
+    squash: bool = False
 
     def _names(self, k: int, table: str) -> str:
         return f"row/{table}" if self.shared else f"row{k}/{table}"
@@ -121,13 +123,16 @@ class Rep:
             have = np.flatnonzero(seg >= 0)
             x, seg, deg = T.gather(h[other], have), seg[have], batch.degree[fk][:, None]
             parts = {"mean": lambda: T.segment_mean(x, seg, n), "max": lambda: T.segment_extreme(x, seg, n, 1), "min": lambda: T.segment_extreme(x, seg, n, -1)}  # noqa: B023
-            base = [parts[s]() for s in self.stats]
-            if self.scaled:
-                amp = np.log1p(deg) / self.deltas.get(fk, 1.0)
-                base = base + [b * amp for b in base] + [b * np.where(deg > 0, 1 / np.maximum(amp, 1e-12), 0.0) for b in base]
-            fields.append(T.concat(base, 1) @ p[f"agg/{fk}"])
+            fields.append(self.relation(fk, [parts[s]() for s in self.stats], deg, p))
         return T.stack(fields or [zero], 1)
 
+    def relation(self, fk: str, base: list[Var], deg: np.ndarray, p: dict[str, Var]) -> Var:
+        """The vector of one relation from its summaries, scaled by degree."""
+        if self.scaled:
+            amp = np.log1p(deg) / self.deltas.get(fk, 1.0)
+            base = base + [b * amp for b in base] + [b * np.where(deg > 0, 1 / np.maximum(amp, 1e-12), 0.0) for b in base]
+        return T.concat(base, 1) @ p[f"agg/{fk}"]
+
     def forward(self, batch: Packed, p: dict[str, Var], rng: np.random.Generator | None = None) -> Var:
         own = {t.name: encode(t, batch, p) for t in self.meta.values()}
         need = self._need()
@@ -137,7 +142,8 @@ class Rep:
             for name in need[k]:
                 t = self.meta[name]
                 prefix = self._names(k, name) + "/"
-                new[name] = T.tanh(self.row.make().forward(self._message(t, batch, h, p, own[name]), _under(p, prefix), rng))
+                out = self.row.make().forward(self._message(t, batch, h, p, own[name]), _under(p, prefix), rng)
+                new[name] = T.tanh(out) if self.squash else out
             for name in self.meta:
                 new.setdefault(name, Var(np.zeros((batch.rows(name), self.d))))
             h = new

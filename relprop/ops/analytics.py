@@ -45,9 +45,12 @@ def latest_value(df: DataFrame, key: str, ts: str, value: str, tie: str) -> Data
     return df.groupBy(key).agg(F.max_by(value, F.struct(ts, tie)).alias("latest"))
 
 
-def rank_in_group(df: DataFrame, group: str, order: list[Column], key: list[str]) -> DataFrame:
-    w = W.partitionBy(group).orderBy(*order)
-    return df.select(*key, F.row_number().over(w).alias("rn"), F.rank().over(w).alias("rk"), F.dense_rank().over(w).alias("dr"))
+def rank_in_group(df: DataFrame, group: str, order: list[Column], key: list[str], ties: list[Column] | None = None) -> DataFrame:
+    """rn (ties settled by ``ties``), rk and dr (ties share a rank)."""
+    w = W.partitionBy(group)
+    v = w.orderBy(*order)
+    row, rank, dense = F.row_number().over(w.orderBy(*order, *(ties or []))), F.rank().over(v), F.dense_rank().over(v)
+    return df.select(*key, row.cast("long").alias("rn"), rank.cast("long").alias("rk"), dense.cast("long").alias("dr"))
 
 
 def lag_lead(df: DataFrame, group: str, ts: str, tie: str) -> DataFrame:
@@ -83,6 +86,32 @@ def sample_rows(df: DataFrame, key: str, rate: float) -> DataFrame:
     return df.filter(bucket_of([key], 0, 10_000) < round(rate * 10_000))
 
 
+def stratified_sample(df: DataFrame, key: str, stratum: str, rates: dict[str, float], other: float = 0.0) -> DataFrame:
+    """The same rows each time, each stratum at its rate, strata without one at ``other``."""
+    from ..schema import bucket_of
+
+    limit = F.lit(round(other * 10_000))
+    for value, rate in rates.items():
+        limit = F.when(F.col(stratum) == value, F.lit(round(rate * 10_000))).otherwise(limit)
+    return df.filter(bucket_of([key], 0, 10_000) < limit)
+
+
+def cogroup_ratio(left: DataFrame, right: DataFrame) -> DataFrame:
+    """key, n_left, n_right, ratio of the sums of x: two frames by key in one Python call a key.
+
+    Both sides are added up first, so that a call sees one row of either, however many a key has.
+    """
+    import pandas as pd
+
+    total = lambda df: df.groupBy("key").agg(F.count("*").alias("n"), F.sum("x").alias("t"))
+
+    def one(key: tuple, a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+        ratio = round(a.t.iloc[0] / b.t.iloc[0], 6) if len(a) and len(b) else None
+        return pd.DataFrame({"key": [key[0]], "n_left": [int(a.n.sum())], "n_right": [int(b.n.sum())], "ratio": [ratio]})
+
+    return total(left).groupBy("key").cogroup(total(right).groupBy("key")).applyInPandas(one, "key long, n_left long, n_right long, ratio double")
+
+
 def vec_dot(a: str, b: str) -> Column:
     return F.aggregate(F.zip_with(a, b, lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda s, x: s + x)
 

@@ -16,6 +16,21 @@ def lookup(df: DataFrame, dim: DataFrame, on: Column, how: str = "left", rows: i
     return df.join(F.broadcast(dim) if small else dim, on, how)
 
 
+#: Names of the physical joins that a hint can ask for.
+HINTS = ("broadcast", "merge", "shuffle_hash", "shuffle_replicate_nl")
+
+
+def hinted(left: DataFrame, right: DataFrame, on: Column, strategy: str, how: str = "inner", rows: int = BROADCAST_ROWS) -> DataFrame:
+    """A join by a named strategy.  What a strategy would copy to every task (broadcast, replicated nested loops) is looked
+    at first; above ``rows`` rows the hint is left out and Spark chooses."""
+    if strategy not in HINTS:
+        raise ValueError(f"no join strategy {strategy}")
+    copied = strategy in ("broadcast", "shuffle_replicate_nl")
+    if copied and right.limit(rows + 1).count() > rows:
+        return left.join(right, on, how)
+    return left.join(right.hint(strategy), on, how)
+
+
 def restrict_to(df: DataFrame, keys: DataFrame, column: str, key: str) -> DataFrame:
     return df.join(keys.select(F.col(key).alias("_k")), F.col(column) == F.col("_k"), "left_semi")
 

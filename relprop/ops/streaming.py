@@ -7,6 +7,19 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
 
+def shared_folder(spark) -> str:
+    """The folder named in spark.checkpoint.dir; one of this machine only where Spark runs on this machine alone."""
+    import tempfile
+
+    sc = spark.sparkContext
+    if sc._jsc.sc().getCheckpointDir().isDefined():
+        return sc._jsc.sc().getCheckpointDir().get()
+    folder = sc.getConf().get("spark.checkpoint.dir")
+    if not folder and not sc.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+    return folder or tempfile.mkdtemp(prefix="ckpt-")
+
+
 def stream_table(spark: SparkSession, path: str, schema: StructType, ts: str | None = None, late: str = "1 day", max_files: int | None = None) -> DataFrame:
     """A Parquet folder as a stream.  ``ts`` is cast to an instant (a watermark needs one) and gets a watermark."""
     reader = spark.readStream.schema(schema)

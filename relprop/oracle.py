@@ -4,16 +4,24 @@ from __future__ import annotations
 
 from .graph import needed_tables
 from .params import LatticeParams
-from .schema import STAR_FKS, STAR_SPECS, Catalog
+from .schema import DATES, STAR_FKS, STAR_SPECS, Catalog, dated
 
 
 def num(x: float) -> str:
     return f"({x!r}::DOUBLE)"
 
 
-def star(tables: list[str]) -> Catalog:
+def source(table: str, catalog: Catalog) -> str:
+    """The table, with the parts of its date where its spec has them."""
+    c = DATES.get(table)
+    if not c or f"{c}_year" not in catalog.specs[table].categorical:
+        return table
+    return f"(SELECT *, year({c})::VARCHAR AS {c}_year, month({c})::VARCHAR AS {c}_month, day({c})::VARCHAR AS {c}_day, (isodow({c}) - 1)::VARCHAR AS {c}_weekday FROM {table})"
+
+
+def star(tables: list[str], dates: bool = False) -> Catalog:
     """The star catalog without frames."""
-    return Catalog.build([s for s in STAR_SPECS if s.name in tables], [k for k in STAR_FKS if k.src in tables and k.dst in tables])
+    return Catalog.build([dated(s) if dates else s for s in STAR_SPECS if s.name in tables], [k for k in STAR_FKS if k.src in tables and k.dst in tables])
 
 
 def lattice_category(p: LatticeParams, domain: str, column: str, j: int) -> str:
@@ -37,7 +45,7 @@ def rep_sql(catalog: Catalog, target: str, depth: int, p: LatticeParams, kind: s
                 else:
                     cols.append(f"{lattice_category(p, spec.domain(c), c, j)} AS e{f}_{j}")
         keep = list(dict.fromkeys([*spec.key, *(k.column for k in catalog.forward(t))]))
-        ctes.append(f"enc_{t} AS (SELECT {', '.join([*keep, *cols])} FROM {t})")
+        ctes.append(f"enc_{t} AS (SELECT {', '.join([*keep, *cols])} FROM {source(t, catalog)})")
         for k in catalog.backward(t):
             ctes.append(f"delta_{k.src}_{k.column} AS (SELECT avg(ln(1 + coalesce(n, 0))) AS v FROM {t} LEFT JOIN (SELECT {k.column} AS fk, count(*) AS n FROM {k.src} GROUP BY 1) ON fk = {spec.key[0]})")
 
@@ -68,8 +76,9 @@ def rep_sql(catalog: Catalog, target: str, depth: int, p: LatticeParams, kind: s
         for j in range(width):
             total = " + ".join([num(p.weight(f"{name}.bias", 0, j)), *(f"{v[i]} * {num(p.weight(f'{name}.w{f}', i, j))}" for f, v in enumerate(fields) for i in range(p.d))])
             if shape == "fm":
-                q = [v[j % p.d] for v in fields]
-                total += f" + 0.5 * (pow({' + '.join(q)}, 2) - ({' + '.join(f'pow({x}, 2)' for x in q)}))"
+                # Every pair of fields by itself, the inner product of its two vectors.
+                pairs = [f"({a[i]}) * ({b[i]})" for n, a in enumerate(fields) for b in fields[n + 1 :] for i in range(p.d) if "0.0" not in (a[i], b[i])]
+                total += "".join(f" + {x}" for x in pairs)
             outs.append(f"{f'greatest(0.0, {total})' if shape == 'relu' else total} AS h_{j}")
         keep = list(dict.fromkeys([*spec.key, *(k.column for k in catalog.forward(t))]))
         return f"SELECT {', '.join(f'x.{c}' for c in keep)}, {', '.join(outs)} FROM enc_{t} AS x{joins}"

@@ -5,7 +5,7 @@ its foreign keys point to, and one vector for each relation pointing at it, a li
 the referring rows' vectors under three degree scalers.  Vectors begin as zero, so the first round joins nothing.
 Parameters are shared by all rounds, by all rows of a table and by all edges of a type.
 
-This engine keeps everything in JVM expressions; it is meant for small widths.  ``arrow_engine`` holds learned models.
+This engine keeps everything in JVM expressions; it is meant for small widths.  ``model`` and ``layers`` hold learned models.
 """
 
 from __future__ import annotations
@@ -65,10 +65,11 @@ def block(fields: list[Vector], params: LatticeParams, name: str, width: int, ki
             for i in range(d):
                 total = total + v[i] * F.lit(params.weight(f"{name}.w{f}", i, j))
         if kind == "fm" and fields:
-            s, q = F.lit(0.0), F.lit(0.0)
-            for v in fields:
-                s, q = s + v[j % d], q + v[j % d] * v[j % d]
-            total = total + F.lit(0.5) * (s * s - q)
+            for i in range(d):  # products of all pairs of fields, over every component
+                s, q = F.lit(0.0), F.lit(0.0)
+                for v in fields:
+                    s, q = s + v[i], q + v[i] * v[i]
+                total = total + F.lit(0.5) * (s * s - q)
         out.append(F.greatest(F.lit(0.0), total) if kind == "relu" else total)
     return out
 

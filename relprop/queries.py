@@ -62,30 +62,14 @@ query(
 
 @query(
     "khop_orders_k2",
-    """WITH t AS (SELECT o_orderkey, o_custkey, o_orderkey % 7 AS batch_id FROM orders WHERE o_orderkey % 100 = 3),
-    c1 AS (SELECT DISTINCT batch_id, o_custkey AS k FROM t),
-    l1 AS (SELECT DISTINCT batch_id, l_orderkey, l_linenumber, l_partkey, l_suppkey FROM t JOIN lineitem ON l_orderkey = o_orderkey),
-    o2 AS (SELECT batch_id, o_orderkey AS k FROM t UNION SELECT batch_id, o.o_orderkey FROM c1 JOIN orders o ON o.o_custkey = k)
-    SELECT batch_id::BIGINT AS batch_id, 'customer' AS tbl, count(*)::BIGINT AS n FROM c1 GROUP BY 1 UNION ALL SELECT batch_id::BIGINT, 'lineitem', count(*)::BIGINT FROM l1 GROUP BY 1 UNION ALL SELECT batch_id::BIGINT, 'orders', count(*)::BIGINT FROM o2 GROUP BY 1""",
-)
-def khop_orders_k2(s, d):
-    cat = star_catalog(s, d, ["orders", "customer", "lineitem"])
-    targets = cat.frame("orders").filter("o_orderkey % 100 = 3").select((F.col("o_orderkey") % 7).alias("batch_id"), "o_orderkey")  # the task's targets
-    reach = graph.khop_subgraph(cat, "orders", targets, 2)
-    parts = [df.groupBy("batch_id").agg(F.lit(t).alias("tbl"), F.count("*").alias("n")) for t, df in reach.items()]
-    return parts[0].unionByName(parts[1]).unionByName(parts[2])
-
-
-@query(
-    "khop_orders_k2_all",
     """WITH t AS (SELECT o_orderkey, o_custkey, o_orderkey % 7 AS batch_id FROM orders),
     c AS (SELECT DISTINCT batch_id, o_custkey AS k FROM t WHERE o_custkey IN (SELECT c_custkey FROM customer)),
     l AS (SELECT DISTINCT batch_id, l_orderkey, l_linenumber, l_partkey, l_suppkey FROM t JOIN lineitem ON l_orderkey = o_orderkey),
     o AS (SELECT batch_id, o_orderkey AS k FROM t UNION SELECT batch_id, orders.o_orderkey FROM c JOIN orders ON orders.o_custkey = k)
     SELECT batch_id::BIGINT AS batch_id, 'customer' AS tbl, count(*)::BIGINT AS n FROM c GROUP BY 1 UNION ALL SELECT batch_id::BIGINT, 'lineitem', count(*)::BIGINT FROM l GROUP BY 1 UNION ALL SELECT batch_id::BIGINT, 'orders', count(*)::BIGINT FROM o GROUP BY 1""",
 )
-def khop_orders_k2_all(s, d):
-    """Every order is a target, as in tasks.orders_task; khop_orders_k2 has one in a hundred."""
+def khop_orders_k2(s, d):
+    """Every order is a target, as in tasks.orders_task."""
     cat = star_catalog(s, d, ["orders", "customer", "lineitem"])
     reach = graph.khop_subgraph(cat, "orders", cat.frame("orders").select((F.col("o_orderkey") % 7).alias("batch_id"), "o_orderkey"), 2)
     parts = [df.groupBy("batch_id").agg(F.lit(t).alias("tbl"), F.count("*").alias("n")) for t, df in reach.items()]
@@ -129,9 +113,18 @@ def encode_affine_part(s, d):
     return df.select("p_partkey", *[F.round(c, 6).alias(f"f_{j}") for j, c in enumerate(f)])
 
 
-@query("encode_lookup_customer", "SELECT c_custkey, " + ", ".join(f"round({oracle.lattice_category(_P2, 'seg', 'c_mktsegment', j)}, 6) AS v_{j}" for j in range(2)) + " FROM customer")
+_SEGMENTS = ("AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY")
+_LOOKUP = [[_P2.weight("seg", i, j) for j in range(2)] for i in range(len(_SEGMENTS) + 1)]
+
+
+@query(
+    "encode_lookup_customer",
+    "SELECT c_custkey, " + ", ".join("round(CASE c_mktsegment " + " ".join(f"WHEN '{g}' THEN {oracle.num(_LOOKUP[i + 1][j])}" for i, g in enumerate(_SEGMENTS)) + f" ELSE {oracle.num(_LOOKUP[0][j])} END, 6) AS v_{j}" for j in range(2)) + " FROM customer",
+)
 def encode_lookup_customer(s, d):
-    return tab(s, d, "customer").select("c_custkey", *[F.round(_P2.category("seg", F.col("c_mktsegment"), j), 6).alias(f"v_{j}") for j in range(2)])
+    """Rows of a table of vectors by id; id 0 stands for values that have none."""
+    ident = F.coalesce(*[F.when(F.col("c_mktsegment") == g, i + 1) for i, g in enumerate(_SEGMENTS)], F.lit(0))
+    return tab(s, d, "customer").select("c_custkey", *[F.round(c, 6).alias(f"v_{j}") for j, c in enumerate(features.field_lookup(ident, _LOOKUP))])
 
 
 query("impute_events", "SELECT event_id, CASE WHEN value > 50 THEN 0.0 ELSE value END AS value, (value > 50)::INT::BIGINT AS value_missing FROM events")(
@@ -166,10 +159,10 @@ query("degree_scaled_orders", _SCALED_SQL)(_degree_scaled)
 query("degree_scaled_empty_sets", f"SELECT * FROM ({_SCALED_SQL}) WHERE deg = 0")(lambda s, d: _degree_scaled(s, d).filter("deg = 0"))
 
 
-def _rep(name: str, tables: list[str], target: str, depth: int, p: LatticeParams, kind: str = "relu", head: str = "linear"):
-    @query(name, oracle.rep_sql(oracle.star(tables), target, depth, p, kind, head))
+def _rep(name: str, tables: list[str], target: str, depth: int, p: LatticeParams, kind: str = "relu", head: str = "linear", dates: bool = False):
+    @query(name, oracle.rep_sql(oracle.star(tables, dates), target, depth, p, kind, head))
     def run(s, d):
-        cat = star_catalog(s, d, tables)
+        cat = star_catalog(s, d, tables, dates)
         return propagate.predict(cat, target, depth, p, kind=kind, head=head).select(*cat.key(target), F.round("logit", 6).alias("logit"))
 
 
@@ -180,6 +173,7 @@ _rep("rep_lattice_k2_customer", _SMALL, "customer", 2, _P2)
 _rep("rep_lattice_k3_customer", ["region", *_SMALL], "customer", 3, _P3)
 _rep("rep_predict_orders", ["customer", "orders", "lineitem"], "orders", 2, _P3)
 _rep("rep_fm_head_orders", ["customer", "orders", "lineitem"], "orders", 1, _P3, "relu", "fm")
+_rep("rep_dates_orders", ["customer", "orders", "lineitem"], "orders", 1, _P2, dates=True)
 _rep("rep_linear_customer", _SMALL, "customer", 2, _P3, "linear", "linear")
 
 _ID = """SELECT o_orderkey, o_totalprice, c_acctbal AS fwd, round(avg(l_quantity), 6) AS mean_b, max(l_extendedprice) AS max_b, min(l_tax) AS min_b
@@ -211,6 +205,9 @@ def _superset(s, d):
 query("tt_orders", "SELECT o_orderkey, o_totalprice, o_orderstatus, o_orderpriority FROM orders")(lambda s, d: flatten.target_only(star_catalog(s, d), "orders"))
 
 
+query("tt_dates_orders", f"SELECT o_orderkey, o_totalprice, o_orderstatus, o_orderpriority, o_orderdate_year, o_orderdate_month, o_orderdate_day, o_orderdate_weekday FROM {oracle.source('orders', oracle.star(['orders'], True))}")(lambda s, d: flatten.target_only(star_catalog(s, d, dates=True), "orders"))
+
+
 def _plain(df: DataFrame, names: dict[str, str], keys: list[str]) -> DataFrame:
     """Labels to short names for comparison."""
     return df.select(*keys, *[F.col(f"`{c}`").alias(a) for a, c in names.items()])
@@ -258,6 +255,13 @@ def dfs_mode_orders(s, d):
     return _plain(_dfs(s, d, ["orders", "lineitem"], "orders", 1), {"flag": "mode(lineitem.l_orderkey<l_returnflag)"}, ["o_orderkey"])
 
 
+_MODES = ("year", "month", "day", "weekday")
+query(
+    "dfs_dates_orders",
+    "WITH li AS (SELECT * FROM " + oracle.source("lineitem", oracle.star(["lineitem"], True)) + "), " + ", ".join(f"{p}_ AS (SELECT l_orderkey AS k_{p}, l_shipdate_{p} AS ship_{p} FROM (SELECT l_orderkey, l_shipdate_{p}, row_number() OVER (PARTITION BY l_orderkey ORDER BY count(*) DESC, l_shipdate_{p}) AS rn FROM li GROUP BY 1, 2) WHERE rn = 1)" for p in _MODES)
+    + " SELECT o_orderkey, " + ", ".join(f"o_orderdate_{p} AS own_{p}, ship_{p}" for p in _MODES) + " FROM " + oracle.source("orders", oracle.star(["orders"], True)) + "".join(f" LEFT JOIN {p}_ ON k_{p} = o_orderkey" for p in _MODES),
+)(lambda s, d: (lambda cat: _plain(rollup.rollup(cat, rollup.rollup_plan(cat, "orders", 1)), {f"own_{p}": f"o_orderdate_{p}" for p in _MODES} | {f"ship_{p}": f"mode(lineitem.l_orderkey<l_shipdate_{p})" for p in _MODES}, ["o_orderkey"]))(star_catalog(s, d, ["orders", "lineitem"], dates=True)))
+
 _PK = ["l_orderkey", "l_linenumber", "l_partkey", "bID"]
 _PURCHASE = "FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey"
 
@@ -394,6 +398,42 @@ query(
     "WITH c AS (SELECT i AS cid, 40 + floor(" + _U.format("'n:' || i") + " * 21)::BIGINT AS n FROM range(100) AS t(i)), b AS (SELECT cid, cid * 1000 + unnest(range(n)) AS bid FROM c), y AS (SELECT cid, sum(" + _U.format("'s1-0:y:' || bid") + ") AS total FROM b GROUP BY 1) SELECT i AS aid, floor(" + _U.format("'s1-0:c:' || i") + ' * 100)::BIGINT AS "cID", (total >= 25)::INT::BIGINT AS label FROM range(1000) AS a(i) JOIN y ON cid = floor(' + _U.format("'s1-0:c:' || i") + " * 100)::BIGINT",
 )(lambda s, d: synth.schema1(s).catalog.frame("A").select("aid", "cID", F.col("label").cast("long").alias("label")))
 
+_SYN2 = """WITH c AS (SELECT i AS cid, 40 + floor({n} * 21)::BIGINT AS n FROM range(100) AS t(i)), b AS (SELECT cid, cid * 1000 + unnest(range(n)) AS bid FROM c),
+    z AS (SELECT cid AS zc, sum({z}) AS total FROM (SELECT cid, floor({d} * 500)::BIGINT AS did FROM b) GROUP BY 1), a AS (SELECT i AS aid, floor({c} * 100)::BIGINT AS "cID", floor({ad} * 500)::BIGINT AS "dID" FROM range(1000) AS t(i))
+    SELECT aid, "cID", "dID", (coalesce(total, 0.0) >= 25)::INT::BIGINT AS label FROM a LEFT JOIN z ON zc = a."cID\""""
+query(
+    "synthetic_schema2",
+    _SYN2.format(n=_U.format("'n:' || i"), z=_U.format("'s2-0:z:' || did"), d=_U.format("'s2-0:d:' || bid"), c=_U.format("'s2-0:c:' || i"), ad=_U.format("'s2-0:ad:' || i")),
+)(lambda s, d: synth.schema2(s).catalog.frame("A").select("aid", "cID", "dID", F.col("label").cast("long").alias("label")))
+
+
+def _task_counts(name: str, sql: str):
+    """Rows of each label of a task, and of each of its tables."""
+
+    def run(s, d):
+        t = tasks.TASKS[name](s, d)
+        out = t.rows().groupBy(F.concat(F.lit("label "), F.col(t.label).cast("string")).alias("what")).agg(F.count("*").alias("n"))
+        for table in t.catalog.specs:
+            if table != t.target:
+                out = out.unionByName(t.catalog.frame(table).agg(F.lit(table).alias("what"), F.count("*").alias("n")))
+        return out
+
+    query(f"task_{name}", sql)(run)
+
+
+_N = lambda what, frm: f" UNION ALL SELECT '{what}' AS what, count(*)::BIGINT AS n FROM {frm}"
+_L = lambda e, frm: f"SELECT 'label ' || ({e})::INT AS what, count(*)::BIGINT AS n FROM {frm} GROUP BY 1"
+_DOCS = _N("documents", "documents") + _N("langs", "(SELECT DISTINCT lang FROM documents)") + _N("sources", "(SELECT DISTINCT source FROM documents)") + _N("groups", "(SELECT DISTINCT text FROM documents)")
+_LANG = "regexp_extract(html, '<html lang=\"([a-z]+)\"', 1)"
+_task_counts("touch", _L("event_type = 'purchase'", "events") + _N("orders", "orders") + _N("customer", "customer"))
+_task_counts("quality", _L("quality", "labels") + _DOCS)
+_task_counts("toxic", _L("toxic", "labels") + _DOCS + _N("passages", "(SELECT doc_id, item_id FROM documents d JOIN benchmark b ON contains(d.text, b.text))") + _N("benchmark", "benchmark"))
+_task_counts("role", _L("role = 'assistant'", "conversations") + _N("convs", "(SELECT DISTINCT conv_id FROM conversations)"))
+_task_counts("page", _L(f"{_LANG} = 'en'", "pages") + _N("hosts", "(SELECT DISTINCT regexp_extract(url, '^[a-z]+://([^/]+)', 1) FROM pages)"))
+_task_counts("page_langs", _L(f"list_position(['de', 'en', 'es', 'fr'], {_LANG}) - 1", f"(SELECT html FROM pages WHERE {_LANG} IN ('de', 'en', 'es', 'fr'))") + _N("hosts", f"(SELECT DISTINCT regexp_extract(url, '^[a-z]+://([^/]+)', 1) FROM pages WHERE {_LANG} IN ('de', 'en', 'es', 'fr'))"))
+_task_counts("vector", _L("label = 0", "embeddings"))
+_task_counts("vector_classes", _L("label", "embeddings"))
+
 # Measures.
 
 _SCORE = "floor(o_totalprice / 1000)"
@@ -420,12 +460,9 @@ query(
 # Operators around the methods.
 
 _EV = lambda s, d: tab(s, d, "events")
-query("range_join_events", "SELECT o_orderkey, count(*)::BIGINT AS n FROM orders JOIN lineitem ON l_orderkey < 200 AND l_extendedprice >= o_totalprice AND l_extendedprice < o_totalprice + 500 GROUP BY 1")(
-    lambda s, d: joins.range_join(tab(s, d, "lineitem").filter("l_orderkey < 200").select("l_extendedprice"), tab(s, d, "orders").select("o_orderkey", F.col("o_totalprice").alias("lo"), (F.col("o_totalprice") + 500).alias("hi")), "l_extendedprice", "lo", "hi", 1000.0).groupBy("o_orderkey").agg(F.count("*").alias("n"))
-)
-@query("range_join_events_all")
-def range_join_events_all(s, d):
-    """All of lineitem with all of orders, equal prices as one row; range_join_events has the lines of the orders below 200."""
+@query("range_join_prices", "SELECT o_orderkey, count(*)::BIGINT AS n FROM orders JOIN lineitem ON l_extendedprice >= o_totalprice AND l_extendedprice < o_totalprice + 500 GROUP BY 1")
+def range_join_prices(s, d):
+    """All of lineitem with all of orders; equal prices are one row before the join."""
     prices = tab(s, d, "lineitem").groupBy("l_extendedprice").agg(F.count("*").alias("lines"))
     spans = tab(s, d, "orders").select("o_orderkey", F.col("o_totalprice").alias("lo"), (F.col("o_totalprice") + 500).alias("hi"))
     return joins.range_join(prices, spans, "l_extendedprice", "lo", "hi", 1000.0).groupBy("o_orderkey").agg(F.sum("lines").alias("n"))
@@ -453,17 +490,29 @@ query("topk_per_customer", "SELECT o_custkey, o_orderkey, rn::BIGINT AS rn FROM
 )
 query("topk_orders", "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 20")(lambda s, d: analytics.topk(tab(s, d, "orders").select("o_orderkey", "o_totalprice"), [F.desc("o_totalprice"), F.asc("o_orderkey")], 20))
 query("rank_lineitems", "SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, row_number() OVER w AS rn, rank() OVER v AS rk, dense_rank() OVER v AS dr FROM lineitem WINDOW w AS (PARTITION BY l_orderkey ORDER BY l_quantity, l_linenumber, l_partkey, l_suppkey), v AS (PARTITION BY l_orderkey ORDER BY l_quantity)")(
-    lambda s, d: _ranks(s, d)
+    lambda s, d: analytics.rank_in_group(tab(s, d, "lineitem"), "l_orderkey", [F.col("l_quantity")], ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey"], [F.col(c) for c in ("l_linenumber", "l_partkey", "l_suppkey")])
+)
+query("join_hints_orders", " UNION ALL ".join(f"SELECT '{h}' AS hint, c_mktsegment, count(*)::BIGINT AS n FROM orders JOIN customer ON c_custkey = o_custkey GROUP BY 2" for h in joins.HINTS))(
+    lambda s, d: _hints(s, d)
 )
 
 
-def _ranks(s, d):
-    from pyspark.sql import Window as W
-
-    w = W.partitionBy("l_orderkey")
-    return tab(s, d, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", F.row_number().over(w.orderBy("l_quantity", "l_linenumber", "l_partkey", "l_suppkey")).cast("long").alias("rn"), F.rank().over(w.orderBy("l_quantity")).cast("long").alias("rk"), F.dense_rank().over(w.orderBy("l_quantity")).cast("long").alias("dr"))
+def _hints(s, d):
+    o, c, out = tab(s, d, "orders").select("o_custkey"), tab(s, d, "customer").select("c_custkey", "c_mktsegment"), None
+    for h in joins.HINTS:
+        r = joins.hinted(o, c, F.col("o_custkey") == F.col("c_custkey"), h).groupBy("c_mktsegment").agg(F.count("*").alias("n")).select(F.lit(h).alias("hint"), "c_mktsegment", "n")
+        out = r if out is None else out.unionByName(r)
+    return out
 
 
+query(
+    "cogroup_orders_events",
+    "SELECT coalesce(o_custkey, user_id) AS key, coalesce(a, 0)::BIGINT AS n_left, coalesce(b, 0)::BIGINT AS n_right, CASE WHEN b > 0 AND a > 0 THEN round(t / v, 6) END AS ratio FROM (SELECT o_custkey, count(*) AS a, sum(o_totalprice) AS t FROM orders GROUP BY 1) FULL JOIN (SELECT user_id, count(*) AS b, sum(value) AS v FROM events GROUP BY 1) ON o_custkey = user_id",
+)(lambda s, d: analytics.cogroup_ratio(tab(s, d, "orders").select(F.col("o_custkey").alias("key"), F.col("o_totalprice").alias("x")), tab(s, d, "events").select(F.col("user_id").alias("key"), F.col("value").alias("x"))))
+query(
+    "stratified_orders",
+    "SELECT o_orderkey, o_orderstatus FROM orders WHERE ('0x' || substr(md5('0:' || o_orderkey), 1, 8))::BIGINT % 10000 < CASE o_orderstatus WHEN 'F' THEN 1000 WHEN 'O' THEN 500 ELSE 10000 END",
+)(lambda s, d: analytics.stratified_sample(tab(s, d, "orders").select("o_orderkey", "o_orderstatus"), "o_orderkey", "o_orderstatus", {"F": 0.1, "O": 0.05}, 1.0))
 query("cube_segments", "SELECT coalesce(o_orderstatus, '*') AS st, coalesce(o_orderpriority, '*') AS pr, count(*)::BIGINT AS n FROM orders GROUP BY CUBE (o_orderstatus, o_orderpriority)")(
     lambda s, d: analytics.cube_report(tab(s, d, "orders"), ["o_orderstatus", "o_orderpriority"], [F.count("*").alias("n")]).select(F.coalesce("o_orderstatus", F.lit("*")).alias("st"), F.coalesce("o_orderpriority", F.lit("*")).alias("pr"), "n")
 )
@@ -514,12 +563,11 @@ query("date_diffs_lineitem", "SELECT l_orderkey, l_linenumber, l_partkey, l_supp
 
 def _stream(build, sql):
     def run(s, d):
-        import tempfile
         import uuid
 
         from .ops import streaming
 
-        base = s.sparkContext.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp()
+        base = streaming.shared_folder(s)
         schema = _EV(s, d).schema
         df = build(streaming, streaming.stream_table(s, f"{d}/events*.parquet", schema, "ts"))
         return streaming.run_available(df, f"q_{uuid.uuid4().hex}", "complete", f"{base}/stream-{uuid.uuid4().hex}")
@@ -539,12 +587,11 @@ for _name, _build, _sql in (
 
 @query("stream_dedup", "SELECT count(DISTINCT event_id)::BIGINT AS n FROM events")
 def stream_dedup(s, d):
-    import tempfile
     import uuid
 
     from .ops import streaming
 
-    base = s.sparkContext.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp()
+    base = streaming.shared_folder(s)
     df = streaming.stream_table(s, f"{d}/events*.parquet", _EV(s, d).schema, "ts", "400 days")
     got = streaming.run_available(streaming.dedup_stream(df, "event_id").select("event_id"), f"q_{uuid.uuid4().hex}", "append", f"{base}/stream-{uuid.uuid4().hex}")
     return got.agg(F.count("*").alias("n"))

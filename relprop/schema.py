@@ -57,6 +57,8 @@ class Catalog:
             for end in (fk.src, fk.dst):
                 if end not in by_name:
                     raise ValueError(f"foreign key {fk.name} names an unknown table {end}")
+            if len(by_name[fk.dst].key) > 1:
+                raise ValueError(f"foreign key {fk.name} is one column, the key of {fk.dst} has several: give {fk.dst} a key of one column")
         if len({fk.name for fk in fks}) != len(fks):
             raise ValueError("a column can carry one foreign key only")
         return cls(by_name, tuple(fks), dict(frames or {}))
@@ -159,6 +161,30 @@ def infer_catalog(frames: dict[str, DataFrame], keys: dict[str, str]) -> Catalog
     return Catalog.build(specs, fks, frames)
 
 
+#: Date columns of the star tables; each stands for four categories, its year, month, day and weekday.
+DATES = {"orders": "o_orderdate", "lineitem": "l_shipdate", "events": "ts"}
+DATE_PARTS = ("year", "month", "day", "weekday")
+
+
+def dated(spec: TableSpec) -> TableSpec:
+    """A star table's spec with the parts of its date as categories."""
+    c = DATES.get(spec.name)
+    return replace(spec, categorical=spec.categorical + tuple(f"{c}_{p}" for p in DATE_PARTS)) if c else spec
+
+
+def read_dated(spark: SparkSession, folder: str, names: list[str]) -> dict[str, DataFrame]:
+    """The tables, with the parts of their dates as text."""
+    from .features import expand_dates
+
+    out = {}
+    for n, df in read_tables(spark, folder, names).items():
+        if c := DATES.get(n):
+            df = expand_dates(df, [c])
+            df = df.withColumns({f"{c}_{p}": F.col(f"{c}_{p}").cast("string") for p in DATE_PARTS})
+        out[n] = df
+    return out
+
+
 def read_tables(spark: SparkSession, folder: str, names: list[str], fmt: str = "parquet") -> dict[str, DataFrame]:
     return {n: spark.read.format(fmt).load(f"{folder}/{n}.{fmt}") for n in names}
 
@@ -187,12 +213,12 @@ STAR_FKS = [
 ]
 
 
-def star_catalog(spark: SparkSession, folder: str, tables: list[str] | None = None) -> Catalog:
-    """The eight-table catalog, or the part of it over ``tables``."""
+def star_catalog(spark: SparkSession, folder: str, tables: list[str] | None = None, dates: bool = False) -> Catalog:
+    """The eight-table catalog, or the part of it over ``tables``; with ``dates``, date parts are features."""
     names = tables or [s.name for s in STAR_SPECS]
-    specs = [s for s in STAR_SPECS if s.name in names]
+    specs = [dated(s) if dates else s for s in STAR_SPECS if s.name in names]
     fks = [k for k in STAR_FKS if k.src in names and k.dst in names]
-    return Catalog.build(specs, fks, read_tables(spark, folder, names))
+    return Catalog.build(specs, fks, (read_dated if dates else read_tables)(spark, folder, names))
 
 
 Builder = Callable[[SparkSession, str], Task]

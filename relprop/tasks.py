@@ -7,24 +7,60 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .features import text_stats
-from .schema import STAR_FKS, STAR_SPECS, Catalog, ForeignKey, TableSpec, Task, read_tables, star_catalog
+from .schema import STAR_FKS, STAR_SPECS, Catalog, ForeignKey, TableSpec, Task, dated, read_dated, read_tables, star_catalog
 
-SPEC = {s.name: s for s in STAR_SPECS}
+#: Dates are features of every task, as four categories.
+SPEC = {s.name: dated(s) for s in STAR_SPECS}
 
 
-def median_of(df: DataFrame, column: str) -> float:
-    """Exact median; ``percentile`` keeps one count a distinct value and merges partial maps."""
-    return df.agg(F.percentile(column, 0.5)).first()[0]
+#: Ranges into which values are cut for ranks and medians; one row a range is collected.
+RANGES = 256
+
+
+def ranged(df: DataFrame, value: str) -> tuple[DataFrame, list]:
+    """v, n (rows), part of each distinct value, parts being ranges in order; and (part, rows) of each part, in order.
+
+    The bounds are approximate quantiles, fixed before anything is cut by them, so a part is the same whenever it is read.
+    """
+    counts = df.filter(F.col(value).isNotNull()).groupBy(F.col(value).alias("v")).agg(F.count("*").alias("n"))
+    bounds = counts.agg(F.percentile_approx("v", [i / RANGES for i in range(1, RANGES)], 10_000)).first()[0] or []
+    cuts = F.array(*[F.lit(b) for b in sorted(set(bounds))]) if bounds else F.array().cast("array<double>")
+    cut = counts.withColumn("part", F.size(F.filter(cuts, lambda b: b <= F.col("v"))))
+    sizes = sorted((r["part"], r["s"]) for r in cut.groupBy("part").agg(F.sum("n").alias("s")).collect())
+    return cut, sizes
+
+
+def median_of(df: DataFrame, column: str) -> float | None:
+    """Exact median: the two middle rows lie in one range or two, and only these are put in order."""
+    cut, sizes = ranged(df, column)
+    total = sum(s for _, s in sizes)
+    if not total:
+        return None
+    middle = ((total - 1) // 2, total // 2)
+    found, before = {}, 0
+    for part, size in sizes:
+        for m in set(middle):
+            if before <= m < before + size:
+                w = W.orderBy("v").rowsBetween(W.unboundedPreceding, 0)
+                inside = cut.filter(F.col("part") == part).withColumn("upto", F.sum("n").over(w))
+                found[m] = inside.filter(F.col("upto") > m - before).agg(F.min("v")).first()[0]
+        before += size
+    return 0.5 * found[middle[0]] + 0.5 * found[middle[1]] if middle[0] != middle[1] else found[middle[0]]
 
 
 def percent_rank_of(df: DataFrame, key: str, value: str, out: str) -> DataFrame:
-    """key, out: percent_rank by value.  Ranks of distinct values are counts below, summed by range partition."""
-    counts = df.groupBy(F.col(value).alias("v")).agg(F.count("*").alias("n")).repartitionByRange("v").withColumn("part", F.spark_partition_id())
-    inside = counts.withColumn("below", F.coalesce(F.sum("n").over(W.partitionBy("part").orderBy("v").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)))
-    totals = inside.groupBy("part").agg(F.min("v").alias("first"), F.sum("n").alias("size")).withColumn("before", F.coalesce(F.sum("size").over(W.orderBy("first").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)))
-    ranks = inside.join(F.broadcast(totals.select("part", "before")), "part").select("v", (F.col("below") + F.col("before")).alias("r"))  # a row a partition
-    n = df.count()
-    return df.join(ranks, F.col(value) == F.col("v")).select(key, (F.col("r") / F.lit(float(max(1, n - 1)))).alias(out))
+    """key, out: percent_rank by value.  Ranks of distinct values are counts below, summed by range."""
+    cut, sizes = ranged(df, value)
+    before, offset = 0, F.lit(0)
+    starts = []
+    for part, size in sizes:
+        starts.append((part, before))
+        before += size
+    if starts:
+        offset = F.element_at(F.create_map(*[x for p, b in starts for x in (F.lit(p), F.lit(b))]), F.col("part"))
+    below = F.coalesce(F.sum("n").over(W.partitionBy("part").orderBy("v").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    ranks = cut.withColumn("below", below).select("v", (F.col("below") + offset).alias("r"))
+    return df.join(ranks, F.col(value) == F.col("v")).select(key, (F.col("r") / F.lit(float(max(1, before - 1)))).alias(out))
 
 
 def purchase(spark: SparkSession, folder: str) -> Task:
@@ -70,7 +106,7 @@ def planted(df: DataFrame, key: str, first: str, second: str) -> DataFrame:
 
 def orders_task(spark: SparkSession, folder: str) -> Task:
     """Shopper stand-in: an order, its buyer and its lines; the label mixes the order's revenue and the buyer's balance."""
-    t = read_tables(spark, folder, ["orders", "customer", "lineitem"])
+    t = read_dated(spark, folder, ["orders", "customer", "lineitem"])
     revenue = t["lineitem"].groupBy(F.col("l_orderkey").alias("_o")).agg(F.sum(F.col("l_extendedprice") * (1 - F.col("l_discount"))).alias("rev"))
     base = t["orders"].join(revenue, F.col("o_orderkey") == F.col("_o"), "left").join(t["customer"].select("c_custkey", "c_acctbal"), F.col("o_custkey") == F.col("c_custkey"))
     base = base.select("o_orderkey", F.round(F.coalesce("rev", F.lit(0.0)), 4).alias("rev"), "c_acctbal")
@@ -91,7 +127,7 @@ def control_task(spark: SparkSession, folder: str) -> Task:
 
 def impression_task(spark: SparkSession, folder: str) -> Task:
     """Advert stand-in: keys and label only; the buyer's region is four steps away."""
-    cat = star_catalog(spark, folder)
+    cat = star_catalog(spark, folder, dates=True)
     f = cat.frames
     key = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey"]
     ident = F.md5(F.concat_ws(":", *[F.col(c).cast("string") for c in key]))
@@ -102,14 +138,14 @@ def impression_task(spark: SparkSession, folder: str) -> Task:
     rows = f["lineitem"].join(buyer, F.col("l_orderkey") == F.col("_o")).join(seller, F.col("l_suppkey") == F.col("_s")).join(part, F.col("l_partkey") == F.col("_p"))
     target = rows.select(*key, ident.alias("imp_id"), ((F.col("br") == F.col("sr")) | F.col("dear")).cast("int").alias("label"))
     detail = f["lineitem"].select(ident.alias("imp_id"), *SPEC["lineitem"].features)
-    specs = [s for s in STAR_SPECS if s.name != "lineitem"] + [TableSpec("impression", ("imp_id",)), TableSpec("line_detail", ("imp_id",), SPEC["lineitem"].numeric, SPEC["lineitem"].categorical, SPEC["lineitem"].domains)]
+    specs = [s for n, s in SPEC.items() if n != "lineitem"] + [TableSpec("impression", ("imp_id",)), TableSpec("line_detail", ("imp_id",), SPEC["lineitem"].numeric, SPEC["lineitem"].categorical, SPEC["lineitem"].domains)]
     fks = [ForeignKey("impression", k.column, k.dst) if k.src == "lineitem" else k for k in STAR_FKS] + [ForeignKey("line_detail", "imp_id", "impression")]
     return Task(Catalog.build(specs, fks, {**f, "impression": target, "line_detail": detail}), "impression", ratios=(0.95, 0.025, 0.025), name="impression")
 
 
 def seen_task(spark: SparkSession, folder: str) -> Task:
     """Search stand-in: pairs of a buyer with events and a part; the label mixes click share and the part's popularity."""
-    t = read_tables(spark, folder, ["customer", "events", "orders", "lineitem", "part"])
+    t = read_dated(spark, folder, ["customer", "events", "orders", "lineitem", "part"])
     clicks = t["events"].groupBy(F.col("user_id").alias("_u")).agg(F.avg((F.col("event_type") == "click").cast("double")).alias("share"))
     popular = t["lineitem"].groupBy(F.col("l_partkey").alias("_p")).agg(F.count("*").alias("lines"))
     bought = t["lineitem"].join(t["orders"], F.col("l_orderkey") == F.col("o_orderkey")).join(clicks, F.col("o_custkey") == F.col("_u")).select(F.col("o_custkey").alias("user_id"), "l_partkey", F.round("share", 9).alias("share")).distinct()
@@ -126,7 +162,7 @@ def user_day_task(spark: SparkSession, folder: str, as_of: int | None = None) ->
 
     ``as_of`` keeps what is known at the end of that day of the month; days after it would give the label away.
     """
-    t = read_tables(spark, folder, ["events", "customer", "nation"])
+    t = read_dated(spark, folder, ["events", "customer", "nation"])
     ev = t["events"].withColumn("day", F.to_date("ts")).withColumn("ud_id", F.col("user_id") * 100 + F.dayofmonth("ts"))
     days = ev.select("ud_id", "user_id", "day").distinct()
     nxt = days.select(F.col("user_id").alias("_u"), F.date_sub("day", 1).alias("_d"))
@@ -141,7 +177,7 @@ def user_day_task(spark: SparkSession, folder: str, as_of: int | None = None) ->
 
 def buyer_task(spark: SparkSession, folder: str) -> Task:
     """Big buyers: the total price of a customer's order lines is the median or more; two steps back."""
-    cat = star_catalog(spark, folder, ["customer", "orders", "lineitem"])
+    cat = star_catalog(spark, folder, ["customer", "orders", "lineitem"], dates=True)
     f = cat.frames
     total = f["orders"].join(f["lineitem"], F.col("o_orderkey") == F.col("l_orderkey")).groupBy(F.col("o_custkey").alias("_c")).agg(F.sum("l_extendedprice").alias("total"))
     rows = f["customer"].join(total, F.col("c_custkey") == F.col("_c"), "left").withColumn("total", F.round(F.coalesce("total", F.lit(0.0)), 4))
@@ -151,7 +187,7 @@ def buyer_task(spark: SparkSession, folder: str) -> Task:
 
 def touch_task(spark: SparkSession, folder: str) -> Task:
     """Interaction motif: an event refers to a user and to an order whose buyer is another user."""
-    t = read_tables(spark, folder, ["events", "orders", "customer"])
+    t = read_dated(spark, folder, ["events", "orders", "customer"])
     n = t["orders"].count()
     ev = t["events"].withColumn("order_ref", F.col("event_id") % n).withColumn("label", (F.col("event_type") == "purchase").cast("int"))
     specs = [TableSpec("events", ("event_id",), ("value",)), SPEC["orders"], SPEC["customer"]]
@@ -164,16 +200,28 @@ def text_columns(df: DataFrame, column: str) -> tuple[DataFrame, list[str]]:
     return df.withColumns(stats), list(stats)
 
 
-def document_task(spark: SparkSession, folder: str, label: str = "quality") -> Task:
-    """Labels of documents, from figures of their text and the rows that share language, source or text."""
-    t = read_tables(spark, folder, ["labels", "documents"])
+def document_task(spark: SparkSession, folder: str, label: str = "quality", bridge: bool = False) -> Task:
+    """Labels of documents, from figures of their text and the rows that share language, source or text.
+
+    ``bridge``: further the passages of the benchmark that a document holds, as rows between the two.
+    """
+    t = read_tables(spark, folder, ["labels", "documents", *(["benchmark"] if bridge else [])])
     docs, stats = text_columns(t["documents"], "text")
     docs = docs.withColumn("group_id", F.md5("text")).drop("text")
     dims = {n: docs.select(F.col(c).alias(n)).distinct() for n, c in (("lang_key", "lang"), ("source_key", "source"), ("group_key", "group_id"))}
     rows = t["labels"].select(F.col("doc_id").alias("label_id"), "doc_id", F.col(label).alias("label"))
     specs = [TableSpec("labels", ("label_id",)), TableSpec("documents", ("doc_id",), tuple(stats)), TableSpec("langs", ("lang_key",)), TableSpec("sources", ("source_key",)), TableSpec("groups", ("group_key",))]
     fks = [ForeignKey("labels", "doc_id", "documents"), ForeignKey("documents", "lang", "langs"), ForeignKey("documents", "source", "sources"), ForeignKey("documents", "group_id", "groups")]
-    return Task(Catalog.build(specs, fks, {"labels": rows, "documents": docs, "langs": dims["lang_key"], "sources": dims["source_key"], "groups": dims["group_key"]}), "labels", name=f"document_{label}")
+    frames = {"labels": rows, "documents": docs, "langs": dims["lang_key"], "sources": dims["source_key"], "groups": dims["group_key"]}
+    if bridge:
+        from .ops.joins import contains_join
+
+        held = contains_join(t["documents"].select(F.col("doc_id").alias("held_doc"), "text"), "text", t["benchmark"].select("item_id", F.col("text").alias("needle")), "needle")
+        frames["passages"] = held.select(F.concat_ws(":", "held_doc", "item_id").alias("passage_id"), "held_doc", F.col("item_id").alias("held_item"))
+        frames["benchmark"], items = text_columns(t["benchmark"], "text")
+        specs += [TableSpec("passages", ("passage_id",)), TableSpec("benchmark", ("item_id",), tuple(items))]
+        fks += [ForeignKey("passages", "held_doc", "documents"), ForeignKey("passages", "held_item", "benchmark")]
+    return Task(Catalog.build(specs, fks, frames), "labels", name=f"document_{label}")
 
 
 def role_task(spark: SparkSession, folder: str) -> Task:
@@ -186,28 +234,37 @@ def role_task(spark: SparkSession, folder: str) -> Task:
     return Task(Catalog.build(specs, [ForeignKey("turns", "conv_id", "convs")], {"turns": df, "convs": convs}), "turns", name="role")
 
 
-def page_task(spark: SparkSession, folder: str) -> Task:
-    """Language of a page, from its markup with the language attribute taken out, and the pages of its host."""
+PAGE_LANGS = ("de", "en", "es", "fr")
+
+
+def page_task(spark: SparkSession, folder: str, lang: str | None = "en") -> Task:
+    """Language of a page, from its markup with the language attribute taken out, and the pages of its host.
+
+    ``lang``: is it this one?  None: which of PAGE_LANGS is it, pages of others left out.
+    """
     df = read_tables(spark, folder, ["pages"])["pages"]
-    lang = F.regexp_extract("html", r'<html lang="([a-z]+)"', 1)
-    df = df.withColumn("label", (lang == "en").cast("int")).withColumn("html", F.regexp_replace("html", r'<html lang="[a-z]+"', "<html"))
+    own = F.regexp_extract("html", r'<html lang="([a-z]+)"', 1)
+    label = (own == lang).cast("int") if lang else F.array_position(F.array(*map(F.lit, PAGE_LANGS)), own).cast("int") - 1
+    df = df.withColumn("label", label).filter("label >= 0").withColumn("html", F.regexp_replace("html", r'<html lang="[a-z]+"', "<html"))
     df = df.withColumn("host", F.regexp_extract("url", r"^[a-z]+://([^/]+)", 1))
     df, stats = text_columns(df, "html")
     df = df.select("page_id", "host", "label", *stats)
     specs = [TableSpec("pages", ("page_id",), tuple(stats)), TableSpec("hosts", ("host_key",))]
-    return Task(Catalog.build(specs, [ForeignKey("pages", "host", "hosts")], {"pages": df, "hosts": df.select(F.col("host").alias("host_key")).distinct()}), "pages", name="page")
+    cat = Catalog.build(specs, [ForeignKey("pages", "host", "hosts")], {"pages": df, "hosts": df.select(F.col("host").alias("host_key")).distinct()})
+    return Task(cat, "pages", name="page") if lang else Task(cat, "pages", kind="multiclass", classes=len(PAGE_LANGS), name="page_langs")
 
 
-def vector_task(spark: SparkSession, folder: str, label: int = 0) -> Task:
-    """One table: is this vector of class ``label``?"""
+def vector_task(spark: SparkSession, folder: str, label: int | None = 0, classes: int = 10) -> Task:
+    """One table: is this vector of class ``label``?  None: of which of ``classes``?"""
     from .features import vector_fields
 
     df = vector_fields(read_tables(spark, folder, ["embeddings"])["embeddings"].withColumnRenamed("label", "cls"), "embedding", 64)
-    df = df.withColumn("label", (F.col("cls") == label).cast("int")).drop("embedding", "cls")
-    return Task(Catalog.build([TableSpec("embeddings", ("vec_id",), tuple(f"v_{j}" for j in range(64)))], [], {"embeddings": df}), "embeddings", name="vector")
+    df = df.withColumn("label", (F.col("cls") == label).cast("int") if label is not None else F.col("cls").cast("int")).drop("embedding", "cls")
+    cat = Catalog.build([TableSpec("embeddings", ("vec_id",), tuple(f"v_{j}" for j in range(64)))], [], {"embeddings": df})
+    return Task(cat, "embeddings", name="vector") if label is not None else Task(cat, "embeddings", kind="multiclass", classes=classes, name="vector_classes")
 
 
 TASKS = {
     "purchase": purchase, "pair": pair, "orders": orders_task, "control": control_task, "impression": impression_task, "seen": seen_task, "user_day": user_day_task,
-    "buyer": buyer_task, "touch": touch_task, "quality": document_task, "toxic": lambda s, f: document_task(s, f, "toxic"), "role": role_task, "page": page_task, "vector": vector_task,
+    "buyer": buyer_task, "touch": touch_task, "quality": document_task, "toxic": lambda s, f: document_task(s, f, "toxic", True), "page_langs": lambda s, f: page_task(s, f, None), "vector_classes": lambda s, f: vector_task(s, f, None), "role": role_task, "page": page_task, "vector": vector_task,
 }

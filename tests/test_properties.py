@@ -72,12 +72,55 @@ def test_range_join_takes_all_lines(spark, tmp_path):
     spark.createDataFrame(lines, "l_orderkey long, l_extendedprice double").write.parquet(f"{tmp_path}/lineitem.parquet")
     spark.createDataFrame(orders, "o_orderkey long, o_totalprice double").write.parquet(f"{tmp_path}/orders.parquet")
     want = {o: n for o, t in orders if (n := sum(t <= p < t + 500 for _, p in lines))}
-    assert {r["o_orderkey"]: r["n"] for r in QUERIES["range_join_events_all"](spark, str(tmp_path)).collect()} == want
+    assert {r["o_orderkey"]: r["n"] for r in QUERIES["range_join_prices"](spark, str(tmp_path)).collect()} == want
 
 
 def test_khop_takes_every_order(spark, sf):
     from relprop.queries import QUERIES
 
-    got = QUERIES["khop_orders_k2_all"](spark, sf)
+    got = QUERIES["khop_orders_k2"](spark, sf)
     lines = spark.read.parquet(f"{sf}/lineitem.parquet").join(spark.read.parquet(f"{sf}/orders.parquet"), F.col("l_orderkey") == F.col("o_orderkey")).select("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey").distinct().count()
     assert got.filter("tbl = 'lineitem'").agg(F.sum("n")).first()[0] == lines and got.filter("tbl = 'orders'").count() == 7
+
+
+@pytest.mark.parametrize("depth", [0, 1, 2, 3])
+def test_layerwise_scores_are_those_of_packed_neighbourhoods(spark, sf, depth):
+    """Every target's logit, at any depth; rows that nothing refers to included."""
+    from relprop import layers, tasks
+    from relprop.train import Coder, Trained, packed_batches, rep_model
+
+    task = tasks.orders_task(spark, sf)
+    task = type(task)(task.catalog.with_frames({"orders": task.catalog.frame("orders").filter("o_orderkey < 200")}), "orders")
+    coder = Coder.fit(task)
+    model = rep_model(coder, task, depth, 4, squash=depth == 3)
+    params = model.init(3)
+    got = {r["key"]: r["logit"] for r in layers.transform(task, coder, model, params).collect()}
+    want = {r["key"]: r["logit"] for r in Trained(model, params).score(packed_batches(task, coder, depth, 64)).collect()}
+    assert got.keys() == want.keys() and all(abs(got[k] - want[k]) < 1e-6 * max(1, abs(want[k])) for k in want)
+
+
+def test_medians_and_ranks_are_exact(spark):
+    import numpy as np
+
+    from relprop import tasks
+
+    rng = np.random.default_rng(2)
+    for x in ([], [3.0], [1.0, 2.0], [5.0] * 7 + [1.0], rng.normal(size=2001).round(2).tolist(), rng.integers(0, 3, 500).astype(float).tolist(), rng.normal(size=1000).tolist()):
+        df = spark.createDataFrame([(i, float(v)) for i, v in enumerate(x)], "k long, x double")
+        assert tasks.median_of(df, "x") == (pytest.approx(float(np.median(x))) if x else None)
+        got = {r["k"]: r["r"] for r in tasks.percent_rank_of(df, "k", "x", "r").collect()}
+        assert got == {i: pytest.approx(sum(w < v for w in x) / max(1, len(x) - 1)) for i, v in enumerate(x)}
+
+
+def test_composite_references_are_refused():
+    from relprop.schema import Catalog, ForeignKey, TableSpec
+
+    with pytest.raises(ValueError, match="several"):
+        Catalog.build([TableSpec("a", ("x", "y")), TableSpec("b", ("z",))], [ForeignKey("b", "r", "a")])
+
+
+def test_node_keys_are_told_apart(spark):
+    from relprop.graph import node_key
+
+    df = spark.createDataFrame([("a/b", "c"), ("a", "b/c"), ("a\\", "b"), (None, "b"), ("\\N", "b"), ("", "b")], "x string, y string")
+    assert df.select(node_key(("x", "y")).alias("k")).distinct().count() == 6
