@@ -28,16 +28,20 @@ import json
 import unicodedata
 from array import array
 from bisect import bisect_left, bisect_right
+from collections.abc import Iterator
 
 import numpy as np
+import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import ArrayType, IntegerType, StructField, StructType
 
-from .base import arrow_map
+from .base import SLICE_ROWS, arrow_map
 
 #: Words kept per worker with their ids; beyond it the memo is emptied.  It only saves time.
-MEMO_WORDS = 600_000
+MEMO_WORDS = 200_000
 #: Bounds of the rows of arcs kept per worker.
 MEMO_BOUNDS = 6_000_000
 
@@ -303,10 +307,25 @@ class Tokenizer:
 def encode(df: DataFrame, tokenizer: str, text: str = "text", out: str = "ids") -> DataFrame:
     """Add ``out`` array<int>, the token ids of ``text``.  Null and empty texts have no ids; other columns stay.
 
-    ``tokenizer`` is the path of the vocabulary file, readable on every executor.
+    ``tokenizer`` is the path of the vocabulary file, readable on every executor.  A task holds the ids of SLICE_ROWS
+    texts at a time.
     """
-    ids = F.pandas_udf(_encode_series(tokenizer), "array<int>")
-    return df.withColumn(out, ids(F.col(text)))
+    schema = StructType([f for f in df.schema.fields if f.name != out] + [StructField(out, ArrayType(IntegerType()))])
+    arrow = to_arrow_schema(schema)
+    names = [f.name for f in schema.fields[:-1]]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tok = loaded(tokenizer)
+        for batch in batches:
+            for at in range(0, batch.num_rows, SLICE_ROWS):
+                part = batch.slice(at, SLICE_ROWS)
+                packed = [tok.packed(t) if t else b"" for t in part.column(part.schema.get_field_index(text)).to_pylist()]
+                ends = np.cumsum([0, *(len(x) // 4 for x in packed)], dtype=np.int32)
+                ids = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.frombuffer(b"".join(packed), "<i4")))
+                cols = [part.column(part.schema.get_field_index(n)).cast(f.type) for n, f in zip(names, arrow, strict=False)]
+                yield pa.RecordBatch.from_arrays([*cols, ids.cast(arrow.field(out).type)], schema=arrow)
+
+    return df.mapInArrow(run, schema)
 
 
 def decode(df: DataFrame, tokenizer: str, ids: str = "ids", out: str = "decoded") -> DataFrame:
@@ -314,17 +333,6 @@ def decode(df: DataFrame, tokenizer: str, ids: str = "ids", out: str = "decoded"
     return df.withColumn(out, F.pandas_udf(_decode_series(tokenizer), "string")(F.col(ids)))
 
 
-def _encode_series(path: str):
-    import pandas as pd
-
-    def run(texts: pd.Series) -> pd.Series:
-        tok = loaded(path)
-        return pd.Series([np.frombuffer(tok.packed(t), "<u4").astype("i4") if t else np.zeros(0, "i4") for t in texts])
-
-    run.__annotations__ = {"texts": pd.Series, "return": pd.Series}
-    return run
-
-
 def _decode_series(path: str):
     import pandas as pd
 
