@@ -7,10 +7,10 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import aggregate, features, flatten, graph, metrics, oracle, propagate, rollup, superset, synth, tasks
+from . import aggregate, features, fixed, flatten, graph, metrics, oracle, propagate, rollup, superset, synth, tasks
 from .ops import analytics, joins
 from .params import LatticeParams
-from .schema import part_of, read_tables, star_catalog
+from .schema import Task, part_of, read_tables, star_catalog
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLE: dict[str, str] = {}
@@ -327,36 +327,34 @@ def dfs_order_sensitivity(s, d):
     return values(s, rollup.order_report(_CAT, "orders", 3, orders), "first string, second string, only_first long, only_second long")
 
 
-# Graph networks over rows, with fixed weights.
+# Blocks and layers by their own code, with fixed weights.
 
-_RG = [LatticeParams(1, 5).weight("rgcn", 0, j) for j in range(4)]
+for _name in ("linear", "mlp", "fm", "deepfm"):
+    query(f"block_{_name}_part", fixed.block_sql(_name))(lambda s, d, name=_name: fixed.block_scores(tab(s, d, "part"), name))
 
 
-@query(
-    "rgcn_mean_layer_customer",
-    f"SELECT c_custkey, round(greatest(0.0, {oracle.num(_RG[0])} * c_acctbal + {oracle.num(_RG[1])} * coalesce(avg(o_totalprice), 0.0) + {oracle.num(_RG[2])} * coalesce(any_value(nb), 0.0)) / 7.0, 3) AS h FROM customer LEFT JOIN orders ON o_custkey = c_custkey LEFT JOIN (SELECT n_nationkey AS nk, n_regionkey::DOUBLE AS nb FROM nation) ON nk = c_nationkey GROUP BY c_custkey, c_acctbal",
-)
-def rgcn_mean_layer_customer(s, d):
-    c, o, n = tab(s, d, "customer"), tab(s, d, "orders"), tab(s, d, "nation")
-    mean = aggregate.neighbour_stats(o, "o_custkey", ["o_totalprice"]).select("key", "mean_o_totalprice")
-    df = c.join(mean, F.col("c_custkey") == F.col("key"), "left").join(F.broadcast(n), F.col("c_nationkey") == F.col("n_nationkey"), "left")
-    h = F.lit(_RG[0]) * F.col("c_acctbal") + F.lit(_RG[1]) * F.coalesce("mean_o_totalprice", F.lit(0.0)) + F.lit(_RG[2]) * F.coalesce(F.col("n_regionkey").cast("double"), F.lit(0.0))
-    return df.select("c_custkey", F.round(F.greatest(F.lit(0.0), h) / 7.0, 3).alias("h"))
+def _layer(backbone: str):
+    def run(s, d):
+        cat = star_catalog(s, d, ["orders", "customer", "lineitem"])
+        label = cat.frame("orders").withColumn("label", F.lit(0))
+        return fixed.layer_outputs(Task(cat.with_frames({"orders": label}), "orders"), backbone, {"orders": "o_totalprice", "customer": "c_acctbal", "lineitem": "l_quantity"})
 
+    query(f"layer_{backbone}_orders", fixed.layer_sql(backbone))(run)
 
-@query(
-    "gat_attention_orders",
-    "WITH e AS (SELECT o_orderkey, l_quantity, CASE WHEN z > 0 THEN z ELSE 0.2 * z END AS s FROM (SELECT o_orderkey, l_quantity, 0.05 * l_quantity - 0.000005 * o_totalprice AS z FROM orders JOIN lineitem ON l_orderkey = o_orderkey)), m AS (SELECT o_orderkey, max(s) AS top FROM e GROUP BY 1) SELECT e.o_orderkey, round(sum(exp(s - top) * l_quantity) / sum(exp(s - top)), 6) AS h FROM e JOIN m ON m.o_orderkey = e.o_orderkey GROUP BY 1",
-)
-def gat_attention_orders(s, d):
-    e = tab(s, d, "lineitem").select("l_orderkey", "l_quantity").join(tab(s, d, "orders").select("o_orderkey", "o_totalprice"), F.col("l_orderkey") == F.col("o_orderkey"))
-    z = F.lit(0.05) * F.col("l_quantity") - F.lit(0.000005) * F.col("o_totalprice")
-    e = e.withColumn("s", F.when(z > 0, z).otherwise(0.2 * z))
-    # Softmax over a segment: the maximum first, then two sums; both keep partial aggregation.
-    top = e.groupBy("o_orderkey").agg(F.max("s").alias("top")).withColumnRenamed("o_orderkey", "_o")
-    w = F.exp(F.col("s") - F.col("top"))
-    out = e.join(top, F.col("o_orderkey") == F.col("_o")).groupBy("o_orderkey").agg((F.sum(w * F.col("l_quantity")) / F.sum(w)).alias("h"))
-    return out.select("o_orderkey", F.round("h", 6).alias("h"))
+
+_layer("rgcn")
+_layer("gat")
+
+
+@query("layerwise_rep_orders")
+def layerwise_rep_orders(s, d):
+    """Every order scored round by round by a propagation model of depth 2; the tests hold it against packed neighbourhoods."""
+    from . import layers, train
+
+    task = tasks.orders_task(s, d)
+    coder = train.Coder.fit(task)
+    model = train.rep_model(coder, task, 2, 4)
+    return layers.transform(task, coder, model, model.init(0))
 
 
 # Tasks.
