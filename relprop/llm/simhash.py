@@ -46,14 +46,19 @@ def shingle_hashes(text: str | None, size: int = SHINGLE, seed: int = SEED) -> l
     return [h(b" ".join(s), seed) for s in zip(*(words[i:] for i in range(size)), strict=False)]
 
 
+def fingerprint(hashes: list[int] | np.ndarray) -> np.uint64:
+    """The bits that are set in more than half of the hashes; zero without any."""
+    if not len(hashes):
+        return np.uint64(0)
+    bits = np.unpackbits(np.asarray(hashes, np.uint64).astype(">u8").view(np.uint8).reshape(-1, 8), axis=1)
+    return np.packbits(2 * bits.sum(axis=0, dtype=np.int64) > len(hashes)).view(">u8")[0]
+
+
 def fingerprints_of(texts: list[str | None], size: int = SHINGLE) -> np.ndarray:
     """Unsigned 64-bit fingerprints: a bit is set if it is in more than half of the hashes."""
     out = np.zeros(len(texts), np.uint64)
     for i, t in enumerate(texts):
-        h = shingle_hashes(t, size)
-        if h:
-            bits = np.unpackbits(np.array(h, ">u8").view(np.uint8).reshape(-1, 8), axis=1)
-            out[i] = np.packbits(2 * bits.sum(axis=0, dtype=np.int64) > len(h)).view(">u8")[0]
+        out[i] = fingerprint(shingle_hashes(t, size))
     return out
 
 

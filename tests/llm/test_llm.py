@@ -573,6 +573,20 @@ def test_near_dedup_stage_keeps_one_of_each_near_copy(spark, sf, texts, monkeypa
     assert jaccard.deduplicate(df.filter("false")).count() == 0
 
 
+def test_near_dedup_stage_joins_by_the_trie(spark, sf, monkeypatch):
+    """With no candidates from the prefix filter, near copies are one document by the trie alone; others stay."""
+    import corpus_pipeline
+
+    rng = np.random.default_rng(5)
+    base = [f"w{i}" for i in rng.integers(0, 10**6, 3000)]
+    near = [*base[:-1], "other"]
+    made = [" ".join(base), " ".join(near), " ".join(f"w{i}" for i in rng.integers(0, 10**6, 300))]
+    assert int(simhash.fingerprints_of(made[:1], 5)[0] ^ simhash.fingerprints_of(made[1:2], 5)[0]).bit_count() <= simhash.BUDGET
+    monkeypatch.setattr(jaccard, "shared", lambda rows: rows.filter("false"))
+    df = spark.createDataFrame(list(enumerate(made)), "doc_id long, text string")
+    assert sorted(r["doc_id"] for r in corpus_pipeline.near_dedup_stage(spark, df, sf).collect()) == [0, 2]
+
+
 def test_components_of_a_long_path(spark):
     edges = spark.range(300).select(F.col("id").alias("a"), (F.col("id") + 1).alias("b")).unionByName(spark.createDataFrame([(1000, 1001), (1001, 1000), (7, 7)], "a long, b long"))
     got = {r["node"]: r["root"] for r in components.components(edges).collect()}
