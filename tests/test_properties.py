@@ -124,3 +124,12 @@ def test_node_keys_are_told_apart(spark):
 
     df = spark.createDataFrame([("a/b", "c"), ("a", "b/c"), ("a\\", "b"), (None, "b"), ("\\N", "b"), ("", "b")], "x string, y string")
     assert df.select(node_key(("x", "y")).alias("k")).distinct().count() == 6
+
+
+def test_deduplicated_stream_goes_to_files(spark, sf, monkeypatch):
+    """Rows of the stream are no table of the driver's memory."""
+    from relprop.ops import streaming
+    from relprop.queries import QUERIES
+
+    monkeypatch.setattr(streaming, "run_available", None)
+    assert QUERIES["stream_dedup"](spark, sf).first()["n"] == spark.read.parquet(f"{sf}/events.parquet").select("event_id").distinct().count()
