@@ -126,6 +126,18 @@ def test_node_keys_are_told_apart(spark):
     assert df.select(node_key(("x", "y")).alias("k")).distinct().count() == 6
 
 
+def test_range_counts_are_those_of_the_join(spark):
+    """Ties at both ends, empty bins, repeated keys, turned intervals, nulls and NaN; no plan pairs the two sides."""
+    from relprop.ops import joins
+
+    nan = float("nan")
+    left = spark.createDataFrame([(x,) for x in (0.0, 1.0, 1.0, 2.5, 9.5, 10.0, 31.0, -3.0, None, nan)], "v double")
+    spans = spark.createDataFrame([(1, 1.0, 2.5), (2, 0.0, 10.0), (2, 9.5, 40.0), (3, 50.0, 60.0), (4, 5.0, 1.0), (5, None, 3.0), (6, -10.0, 1.0), (7, 12.0, nan), (8, 10.0, 10.0)], "k long, lo double, hi double")
+    got = joins.range_counts(left, spans, "k", "v", "lo", "hi", 4.0)
+    want = left.join(spans, (F.col("v") >= F.col("lo")) & (F.col("v") < F.col("hi"))).groupBy("k").count()
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
+
+
 def test_deduplicated_stream_goes_to_files(spark, sf, monkeypatch):
     """Rows of the stream are no table of the driver's memory."""
     from relprop.ops import streaming
