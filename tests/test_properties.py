@@ -138,6 +138,20 @@ def test_range_counts_are_those_of_the_join(spark):
     assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
 
 
+def test_block_loops_are_the_join(spark, monkeypatch):
+    """Nested loops over many rows go over blocks, whose product is a small part of the rows'."""
+    from relprop.ops import joins
+
+    monkeypatch.setattr(joins, "LOOP_PAIRS", 1000)
+    left = spark.createDataFrame([(i % 40 if i % 7 else None, i) for i in range(300)], "a int, x long")
+    right = spark.createDataFrame([(i % 50, f"r{i}") for i in range(90)], "b long, y string")
+    for rows, by_block in ((joins.BROADCAST_ROWS, True), (10, False)):
+        got = joins.hinted(left, right, F.col("a") == F.col("b"), "shuffle_replicate_nl", rows=rows, keys=("a", "b"))
+        plan = got._jdf.queryExecution().executedPlan().toString()
+        assert ("CartesianProduct" in plan and "collect_list" in plan) == by_block
+        assert sorted(map(tuple, got.collect())) == sorted(map(tuple, left.join(right, F.col("a") == F.col("b")).collect()))
+
+
 def test_deduplicated_stream_goes_to_files(spark, sf, monkeypatch):
     """Rows of the stream are no table of the driver's memory."""
     from relprop.ops import streaming
