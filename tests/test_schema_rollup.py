@@ -133,3 +133,23 @@ def test_minmax_constant_clamp_null(spark):
     c = features.MinMaxCodec.fit(spark.createDataFrame([(1.0, 5.0), (3.0, 5.0)], "a double, b double"), ["a", "b"])
     got = c.transform(spark.createDataFrame([(9.0, 5.0), (2.0, None), (None, 1.0)], "a double, b double")).collect()
     assert [(r["a_unit"], r["b_unit"]) for r in got] == [(1.0, 0.0), (0.5, None), (None, 0.0)]
+
+
+def test_reports_on_the_schema_follow_the_rows(spark, sf, tmp_path):
+    """A reference that no row has, and a feature without a value, are no part of the reports."""
+    import os
+
+    from pyspark.sql import functions as F
+
+    from relprop.queries import QUERIES
+
+    for name in os.listdir(sf):
+        df = spark.read.parquet(f"{sf}/{name}")
+        if name == "orders.parquet":
+            df = df.withColumn("o_custkey", F.lit(None).cast("long")).withColumn("o_totalprice", F.lit(None).cast("double"))
+        if name == "lineitem.parquet":
+            df = df.withColumn("l_partkey", F.lit(None).cast("long"))
+        df.write.parquet(f"{tmp_path}/{name}")
+    both = {n: [{tuple(r) for r in QUERIES[n](spark, f).collect()} for f in (sf, str(tmp_path))] for n in ("schema_reach", "dfs_width", "dfs_path_coverage", "rep_walk_coverage", "dfs_order_sensitivity", "table_widths", "rerun_summary", "synthetic_schema1", "synthetic_schema2")}
+    assert all(a != b for a, b in both.values()), {n: v for n, v in both.items() if v[0] == v[1]}
+    assert max(r[1] for r in both["schema_reach"][1]) < max(r[1] for r in both["schema_reach"][0])
