@@ -153,3 +153,12 @@ def test_reports_on_the_schema_follow_the_rows(spark, sf, tmp_path):
     both = {n: [{tuple(r) for r in QUERIES[n](spark, f).collect()} for f in (sf, str(tmp_path))] for n in ("schema_reach", "dfs_width", "dfs_path_coverage", "rep_walk_coverage", "dfs_order_sensitivity", "table_widths", "rerun_summary", "synthetic_schema1", "synthetic_schema2")}
     assert all(a != b for a, b in both.values()), {n: v for n, v in both.items() if v[0] == v[1]}
     assert max(r[1] for r in both["schema_reach"][1]) < max(r[1] for r in both["schema_reach"][0])
+
+
+def test_order_sensitivity_is_over_given_tables(spark, sf, monkeypatch):
+    from relprop import experiments
+
+    seen = []
+    monkeypatch.setattr(experiments, "run", lambda task, *a, **k: seen.append(task) or (None, metrics.RunReport(task.name, "", 0, 0), None))
+    assert len(experiments.QUERY["train_order_sensitivity"](spark, sf)) == 8
+    assert all(task.catalog.frame("A").inputFiles() for task in seen)
