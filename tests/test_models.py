@@ -218,3 +218,14 @@ def test_streamed_scores_follow_touched_keys(spark, sf, tmp_path):
     q = q.option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True).start()
     q.awaitTermination()
     assert sum(seen) == spark.read.parquet(f"{sf}/events.parquet").select("user_id").distinct().count()
+
+
+@pytest.mark.parametrize("call", [lambda e, t: e.aggregator_ablation(t, 1), lambda e, t: e.row_block_ablation(t, 1), lambda e, t: e.base_model_ablation(t, 1), lambda e, t: e.row_networks(t, 1)])
+def test_runs_over_the_same_rows_share_their_batches(syn1, monkeypatch, call):
+    """Codes are fitted and neighbourhoods packed once, whatever the number of runs."""
+    from relprop import experiments, metrics
+
+    made, used = [], []
+    monkeypatch.setattr(experiments, "prepare", lambda task, depth: made.append(depth) or "ready")
+    monkeypatch.setattr(experiments, "run", lambda *a, ready=None, **k: used.append(ready) or (None, metrics.RunReport("t", "m", 1, 0), None))
+    assert len(call(experiments, syn1)) == len(used) and made == [1] and set(used) == {"ready"}
