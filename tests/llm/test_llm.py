@@ -587,6 +587,52 @@ def test_near_dedup_stage_joins_by_the_trie(spark, sf, monkeypatch):
     assert sorted(r["doc_id"] for r in corpus_pipeline.near_dedup_stage(spark, df, sf).collect()) == [0, 2]
 
 
+def test_near_dedup_stage_settles_a_wide_group_by_its_centre(spark, monkeypatch):
+    """A group whose members lie on both sides of 0.8: few pairs are made for each row of a key, and brute force links the same."""
+    rng = np.random.default_rng(11)
+    word = lambda: f"w{rng.integers(10**6)}"
+    base, made = [word() for _ in range(200)], []
+    for i in range(150):
+        t = list(base) if i % 5 else [*made[-1].split()[:100], *(word() for _ in range(90))] if i % 10 else list(base)
+        for _ in range(int(rng.integers(1, 14))):
+            t[int(rng.integers(len(t)))] = word()
+        made.append(" ".join(t))
+    monkeypatch.setattr(jaccard, "trie_parts", lambda marked: marked.selectExpr("node AS a", "node AS b").filter("false"))  # links pairs of less, too
+    seen, pairs = [], jaccard._pairs
+    monkeypatch.setattr(jaccard, "_pairs", lambda df, every: seen.append(df.count()) or pairs(df, every))
+    df = spark.createDataFrame(list(enumerate(made)), "doc_id long, text string").repartition(3)
+    want = brute_near_copies(made)
+    assert {r["doc_id"]: r["component_id"] for r in jaccard.near_copies(df).collect()} == dict(enumerate(want))
+    assert 10 < len(set(want)) < 140
+    assert sum(seen) < 20 * len(made), seen
+
+
+def test_difference_finds_every_pair():
+    """Of two sets of 0.8 or more, one near the centre is found by a shingle that the other asks for, if they are not both alike to it."""
+    rng = np.random.default_rng(4)
+    hits, late, rank = 0, np.arange(0, 10**6, 3, dtype=np.uint64), rng.permutation(10**6 // 3 + 1)
+    for _ in range(3000):
+        centre = rng.choice(10**6, int(rng.integers(1, 60)), replace=False).astype(np.uint64)
+
+        def edited(x, most):
+            x = x[rng.random(len(x)) >= rng.random() * most]
+            return np.unique(np.r_[x, rng.choice(10**6, int(rng.random() * most * len(centre)) + 1).astype(np.uint64)])
+
+        x = edited(centre, 0.7)
+        y = edited(x, 0.25)
+        (xl, xn, _, xf, xa), (yl, yn, _, yf, ya) = (jaccard.difference(s, np.sort(centre), late, rank) for s in (x, y))
+        both = len(np.intersect1d(x, y))
+        if 5 * both < 4 * (len(x) + len(y) - both) or (xl and yl):
+            continue
+        if yn and not xl:
+            hits += 1
+            assert len(np.intersect1d(xa, yf))
+        if xn and not yl:
+            hits += 1
+            assert len(np.intersect1d(ya, xf))
+    assert hits > 300
+
+
 def test_components_of_a_long_path(spark):
     edges = spark.range(300).select(F.col("id").alias("a"), (F.col("id") + 1).alias("b")).unionByName(spark.createDataFrame([(1000, 1001), (1001, 1000), (7, 7)], "a long, b long"))
     got = {r["node"]: r["root"] for r in components.components(edges).collect()}
