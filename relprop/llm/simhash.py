@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .base import arrow_map, cut, fresh, partitions_of
-from .components import components
+from .components import components, local_components
 
 BITS, BUDGET, SHINGLE, SEED = 64, 3, 3, 42
 HOT, SPLIT_BITS = 200_000, 6
@@ -71,21 +71,6 @@ def with_fingerprint(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
     return arrow_map(docs.select("doc_id", "text", F.xxhash64("text")), make, "doc_id long, th long, fp long")
 
 
-def local_components(n: int, a: np.ndarray, b: np.ndarray, label: np.ndarray | None = None) -> np.ndarray:
-    """Smallest index of each node's component."""
-    label = np.arange(n) if label is None else label
-    while len(a):
-        la, lb = label[a], label[b]
-        open_ = la != lb
-        if not open_.any():
-            break
-        a, b, la, lb = a[open_], b[open_], la[open_], lb[open_]
-        np.minimum.at(label, np.maximum(la, lb), np.minimum(la, lb))
-        while not np.array_equal(up := label[label], label):
-            label = up
-    return label
-
-
 def popcount(x: np.ndarray) -> np.ndarray:
     return np.bitwise_count(x)
 

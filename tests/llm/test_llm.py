@@ -607,6 +607,33 @@ def test_near_dedup_stage_settles_a_wide_group_by_its_centre(spark, monkeypatch)
     assert sum(seen) < 20 * len(made), seen
 
 
+def test_near_dedup_stage_spreads_shared_differences_only(spark, monkeypatch):
+    """Texts edited apart: a shingle that only one of them asks for makes no row, one round is enough, and stages are few."""
+    rng = np.random.default_rng(13)
+    word = lambda: f"w{rng.integers(10**6)}"
+    base, made = [word() for _ in range(200)], []
+    for _ in range(60):
+        t = list(base)
+        for at in rng.choice(200, 8, replace=False):
+            t[int(at)] = word()
+        made.append(" ".join(t))
+    made += [f"{made[i]} {word()} {word()}" for i in range(0, 60, 6)]
+    monkeypatch.setattr(jaccard, "trie_parts", lambda marked: marked.selectExpr("node AS a", "node AS b").filter("false"))
+    rounds, rows, around, spread = [], [], jaccard.around, jaccard._spread
+    monkeypatch.setattr(jaccard, "around", lambda *a: rounds.append(components.cut(around(*a))) or rounds[-1])
+    monkeypatch.setattr(jaccard, "_spread", lambda *a: rows.append(components.cut(spread(*a))) or rows[-1])
+    df = spark.createDataFrame(list(enumerate(made)), "doc_id long, text string").repartition(3)
+    stage = spark.sparkContext._jsc.sc().dagScheduler().nextStageId
+    began = stage()
+    got = {r["doc_id"]: r["component_id"] for r in jaccard.near_copies(df).collect()}
+    ended = stage()
+    assert got == dict(enumerate(brute_near_copies(made))) and len(set(got.values())) < len(made) - 9
+    asked = sum(r.agg(F.sum(F.size("asks"))).first()[0] for r in rounds)
+    made_rows = sum(r.count() for r in rows if "x" in r.columns)
+    assert asked > 1000 and made_rows < asked * 2 / 3, (asked, made_rows)
+    assert len(rounds) == 1 and ended - began < 150, (len(rounds), ended - began)
+
+
 def test_difference_finds_every_pair():
     """Of two sets of 0.8 or more, one near the centre is found by a shingle that the other asks for, if they are not both alike to it."""
     rng = np.random.default_rng(4)
@@ -633,6 +660,24 @@ def test_difference_finds_every_pair():
     assert hits > 300
 
 
+def test_components_of_a_small_graph_take_one_task(spark):
+    """With and without rounds the roots are the same; loops, repeats and an empty graph are taken."""
+    rng = np.random.default_rng(6)
+    pairs = [(int(a) - 300, int(b) - 300) for a, b in rng.integers(0, 600, (250, 2))] + [(i, i + 1) for i in range(1000, 1100)] + [(5, 5), (1001, 1000)]
+    edges = spark.createDataFrame(pairs, "a long, b long").repartition(5)
+    roots = lambda few: {r["node"]: r["root"] for r in components.components(edges, few).collect()}
+    seen = []
+    want = roots(0)
+    assert len(want) > 200 and roots(10**6) == want and roots(len(pairs) - 60) == want
+    assert components.components(edges.filter("false"), 100).count() == 0
+    stage = spark.sparkContext._jsc.sc().dagScheduler().nextStageId
+    for few in (0, 10**6):
+        began = stage()
+        components.components(edges, few).count()
+        seen.append(stage() - began)
+    assert seen[1] < seen[0] / 3, seen
+
+
 def test_components_of_a_long_path(spark):
     edges = spark.range(300).select(F.col("id").alias("a"), (F.col("id") + 1).alias("b")).unionByName(spark.createDataFrame([(1000, 1001), (1001, 1000), (7, 7)], "a long, b long"))
     got = {r["node"]: r["root"] for r in components.components(edges).collect()}
