@@ -229,3 +229,59 @@ def test_runs_over_the_same_rows_share_their_batches(syn1, monkeypatch, call):
     monkeypatch.setattr(experiments, "prepare", lambda task, depth: made.append(depth) or "ready")
     monkeypatch.setattr(experiments, "run", lambda *a, ready=None, **k: used.append(ready) or (None, metrics.RunReport("t", "m", 1, 0), None))
     assert len(call(experiments, syn1)) == len(used) and made == [1] and set(used) == {"ready"}
+
+
+def test_vectors_that_the_target_does_not_need_are_left_out():
+    """Scores are those of all tables and rows worked out; only the needed ones are."""
+    batch = small_batch()
+    batch.target, batch.label = np.array([5, 1, 1]), np.array([1.0, 0.0, 0.0])
+    for backbone in ("rgcn", "gat", "hgt"):
+        for depth in (0, 1, 2):
+            model, done = RowGnn(META, "A", depth, backbone, 4, 8), []
+            p = {k: Var(v) for k, v in model.init(0).items()}
+            whole = model.forward(batch, p, trace=[]).value
+            layer = model.layer
+            model.layer = lambda i, b, h, p, t, *only: done.append((i, t, *map(len, only[:1] if only and only[0] is not None else []))) or layer(i, b, h, p, t, *only)
+            assert np.allclose(model.forward(batch, p).value, whole)
+            assert [x for x in done if x[0] == depth - 1] == ([(depth - 1, "A", 2)] if depth else [])
+
+
+@pytest.mark.parametrize("depth", [0, 1, 2, 3])
+def test_packed_rows_are_those_within_reach(spark, sf, depth):
+    from relprop import graph, train
+
+    names = ["customer", "orders", "lineitem", "part"]
+    cat = star_catalog(spark, sf, names)
+    cat = cat.with_frames({"orders": cat.frame("orders").withColumn("label", (F.col("o_orderkey") % 2).cast("int"))})
+    task = train.Task(cat, "orders")
+    packed = packed_batches(task, Coder.fit(task), depth, 300).collect()
+    got = {r["batch_id"]: {t: train.unpack(r["blob"])[0].rows(t) for t in names} for r in packed}
+    batches = spark.createDataFrame([(r["batch_id"], int(k)) for r in packed for k in train.unpack(r["blob"])[1]], "batch_id long, o_orderkey long")
+    want = {b: dict.fromkeys(names, 0) for b in got}
+    for t, df in graph.khop_subgraph(cat, "orders", batches, depth).items():
+        for r in df.join(cat.frame(t), list(cat.key(t))).groupBy("batch_id").count().collect():  # rows that share a key all count
+            want[r["batch_id"]][t] = r["count"]
+    assert got == want and batches.distinct().count() == cat.frame("orders").count()
+
+
+def test_packed_batches_are_not_dealt_again(syn1, monkeypatch):
+    from pyspark.sql.classic.dataframe import DataFrame
+
+    from relprop.train import prepare
+
+    ready = prepare(syn1, 1, 20)
+    assert ready.packed.select("worker").distinct().count() == 400 // 20 // 8
+    monkeypatch.setattr(DataFrame, "repartition", lambda *a: pytest.fail("batches are shuffled again"))
+    assert run(syn1, "rep", 1, Fit(epochs=2), d=4, ready=ready)[0].history
+
+
+def test_a_dictionary_is_found_once(spark):
+    from relprop.features import CategoryCodec
+
+    reads = spark.sparkContext.accumulator(0)
+    seen = F.udf(lambda v: reads.add(1) or v)
+    df = spark.createDataFrame([("b",), ("a",), (None,), ("Z",)], "k string").coalesce(1)
+    codec = CategoryCodec.fit([(df.select(seen("k").alias("k")), "k", "d")])
+    before = reads.value
+    got = {r["k"]: r["i"] for r in codec.transform(df, "k", "i").collect()}
+    assert got == {"Z": 1, "a": 2, "b": 3, None: 0} and reads.value == before
