@@ -285,3 +285,23 @@ def test_a_dictionary_is_found_once(spark):
     before = reads.value
     got = {r["k"]: r["i"] for r in codec.transform(df, "k", "i").collect()}
     assert got == {"Z": 1, "a": 2, "b": 3, None: 0} and reads.value == before
+
+
+def registered(name, syn1, monkeypatch):
+    """What a query asks of its runs, without running them: (method, depth, fit, options) of each."""
+    from relprop import experiments, metrics
+
+    asked = []
+    monkeypatch.setattr(experiments.tasks, "orders_task", lambda *a: syn1)
+    monkeypatch.setattr(experiments, "prepare", lambda task, depth, **k: "ready")
+    monkeypatch.setattr(experiments, "run", lambda task, method, depth, how, **k: asked.append((method, depth, how, k)) or (None, metrics.RunReport("t", method, depth, 0), None))
+    experiments.QUERY[name](None, None)
+    return asked
+
+
+def test_parameters_of_a_round_take_effect(spark, sf, syn1, monkeypatch):
+    """The orders task leads from orders to customers and lines and back, so one table has vectors of two rounds from depth 3 on."""
+    star = {"orders": TableMeta("orders", ["x"], [], [("o.c", "customer")], [("l.o", "lineitem")]), "customer": TableMeta("customer", ["x"], [], [], [("o.c", "orders")]), "lineitem": TableMeta("lineitem", ["x"], [], [("l.o", "orders")], [])}
+    for _, depth, _, _ in registered("ablation_aggregator", syn1, monkeypatch):
+        rounds = [t for tables in Rep(star, "orders", depth, 4)._need().values() for t in tables]
+        assert len(rounds) > len(set(rounds))
