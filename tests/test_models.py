@@ -305,3 +305,13 @@ def test_parameters_of_a_round_take_effect(spark, sf, syn1, monkeypatch):
     for _, depth, _, _ in registered("ablation_aggregator", syn1, monkeypatch):
         rounds = [t for tables in Rep(star, "orders", depth, 4)._need().values() for t in tables]
         assert len(rounds) > len(set(rounds))
+
+
+def test_baselines_have_both_heads_and_the_whole_roll_up(syn1, monkeypatch):
+    from relprop import experiments
+
+    plans = []
+    plan = experiments.rollup.rollup_plan
+    monkeypatch.setattr(experiments.rollup, "rollup_plan", lambda cat, target, depth, *a: plans.append(depth) or plan(cat, target, depth, *a))
+    asked = registered("train_baselines_orders", syn1, monkeypatch)
+    assert [k["head"] for *_, k in asked] == ["deepfm", "transformer"] * 3 and set(plans) == {2}
