@@ -315,3 +315,9 @@ def test_baselines_have_both_heads_and_the_whole_roll_up(syn1, monkeypatch):
     monkeypatch.setattr(experiments.rollup, "rollup_plan", lambda cat, target, depth, *a: plans.append(depth) or plan(cat, target, depth, *a))
     asked = registered("train_baselines_orders", syn1, monkeypatch)
     assert [k["head"] for *_, k in asked] == ["deepfm", "transformer"] * 3 and set(plans) == {2}
+
+
+def test_row_networks_train_at_full_size(syn1, monkeypatch):
+    asked = registered("train_rowgnn_orders", syn1, monkeypatch)
+    assert [m for m, *_ in asked] == ["rgcn", "gat", "hgt", "rep"]
+    assert all(depth == 2 and how == Fit() and k["d"] == 16 and k.get("width", 64) == 64 for _, depth, how, k in asked)
